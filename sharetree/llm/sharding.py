@@ -26,7 +26,7 @@ PER_ROW_BYTES = 8
 
 
 def ranges_for(n_rows: int) -> int:
-    return max(16, -(-n_rows // ROWS_PER_RANGE))
+    return max(256, -(-n_rows // ROWS_PER_RANGE))
 
 
 def _first_ranks(rows: DataFrame, group: list[str], bucket: str) -> DataFrame:
