@@ -16,8 +16,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from sharetree.llm.storage import materialize
+
 #: Poisson rates above this are drawn as a sum of equal parts, for exp(-rate) must not vanish.
 PART_RATE = 200.0
+#: Sources whose distributions (some kilobytes each at most) may be broadcast.
+MAX_BROADCAST_SOURCES = 10_000
 
 
 def uniform(*parts: Column) -> Column:
@@ -64,8 +68,11 @@ def mix(docs: DataFrame, weights: dict[str | None, float], default_weight: float
     """All columns of ``docs``, repeated to the target weights, with ``copy`` (0 first) and ``shuffle_key`` beside them."""
     spark = docs.sparkSession
     rows = docs.select(F.struct("*").alias("row"), F.col("source").alias("source"))
-    # a row a source: bounded by the number of sources; past the session's own broadcast limit Spark joins by shuffle
-    rated = rows.join(rates(docs, weights, default_weight, epochs, per_row).select(F.col("source").alias("of"), "parts", "cdf"), F.col("source").eqNullSafe(F.col("of")))
+    rated = materialize(rates(docs, weights, default_weight, epochs, per_row).select(F.col("source").alias("of"), "parts", "cdf"), "mix-rates")
+    # a row a source; counted before it is sent out, joined by shuffle beyond the bound
+    if rated.count() <= MAX_BROADCAST_SOURCES:
+        rated = F.broadcast(rated)
+    rated = rows.join(rated, F.col("source").eqNullSafe(F.col("of")))
     rated = rated.withColumn("digest", F.md5(F.concat_ws(":", F.coalesce(F.col("row.doc_id").cast("string"), F.lit("~")), F.coalesce("row.text", F.lit("")))))
     drawn = rated.withColumn("times", poisson(F.col("cdf"), F.col("parts"), seed, F.col("digest"))).where("times > 0")
     copies = drawn.select("row", "digest", F.explode(F.sequence(F.lit(0), F.col("times") - 1)).alias("copy"))
