@@ -41,6 +41,13 @@ def op3_stratified_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "source", "position")
 
 
+def op6_line_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sharetree.llm.quality import fit_from, score
+
+    docs = table(spark, sf_dir, "documents")
+    return score(docs, fit_from(docs, table(spark, sf_dir, "labels")))
+
+
 def op7_chat_prefix_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     from sharetree.llm.chat import chat_digests
 
@@ -61,11 +68,39 @@ def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_token_store, op2_poisson_mix, op3_stratified_shards, op7_chat_prefix_tree, op8_iso_media, op9_decontaminate)}
+def op10_minhash_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sharetree.llm.near_duplicates import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents")).drop("text_key")
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_token_store, op2_poisson_mix, op3_stratified_shards, op6_line_crf, op7_chat_prefix_tree, op8_iso_media, op9_decontaminate, op10_minhash_bayes)}
 
 _WORD = "[^\\x{00}-\\x{2F}\\x{3A}-\\x{60}\\x{7B}-\\x{7F}]+"
 
 ORACLES: dict[str, str] = {
+    "op2_poisson_mix": f"""
+WITH RECURSIVE s AS (SELECT source, sum(strlen(coalesce(text, '')) + 8) AS bytes, CASE source {" ".join(f"WHEN '{k}' THEN {v}" for k, v in MIX_WEIGHTS.items())} ELSE 1.0 END::DOUBLE AS weight FROM documents GROUP BY source),
+r AS (SELECT source, weight / (SELECT sum(weight) FROM s) * 1.0::DOUBLE * (SELECT sum(bytes) FROM s)::DOUBLE / bytes::DOUBLE AS rate FROM s),
+c AS (SELECT source, rate, 0 AS k, exp(-rate) AS p, exp(-rate) AS cdf FROM r WHERE rate > 0
+      UNION ALL SELECT source, rate, k + 1, p * rate / (k + 1), cdf + p * rate / (k + 1) FROM c WHERE k < ceil(rate + 12 * sqrt(rate) + 20)),
+l AS (SELECT source, list(cdf ORDER BY k) AS cdf FROM c GROUP BY source),
+d AS (SELECT *, md5(coalesce(CAST(doc_id AS VARCHAR), '~') || ':' || coalesce(text, '')) AS digest FROM documents),
+t AS (SELECT d.*, len(list_filter(l.cdf, lambda x: x <= CAST('0x' || substr(md5('{SEED}:1:' || digest), 1, 13) AS BIGINT) / 4503599627370496.0::DOUBLE)) AS times
+      FROM d JOIN l ON d.source IS NOT DISTINCT FROM l.source)
+SELECT doc_id, text, lang, source, n_chars, CAST(copy AS INTEGER) AS copy, md5('{SEED + 1}:' || digest || ':' || copy) AS shuffle_key
+FROM (SELECT *, unnest(range(times)) AS copy FROM t)""",
+    "op10_minhash_bayes": """
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x{20}\\x{09}-\\x{0D}]+') AS w FROM documents),
+g AS (SELECT DISTINCT doc_id, array_to_string(w[i : i + least(len(w), 5) - 1], ' ') AS g
+      FROM (SELECT doc_id, w, unnest(generate_series(1, len(w) - least(len(w), 5) + 1)) AS i FROM d WHERE len(w) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
+p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS m FROM g x JOIN g y ON x.g = y.g AND x.doc_id < y.doc_id GROUP BY ALL),
+e AS (SELECT a, b FROM p JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b WHERE 100 * m >= 75 * (na.n + nb.n - m)),
+u AS (SELECT a, b FROM e UNION SELECT b, a FROM e),
+r AS (SELECT doc_id, doc_id AS c FROM d UNION SELECT r.doc_id, u.b FROM r JOIN u ON r.c = u.a)
+SELECT d.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, min(r.c) AS component_id, d.doc_id = min(r.c) AS kept
+FROM d LEFT JOIN n USING (doc_id) JOIN r USING (doc_id) GROUP BY d.doc_id, n.n""",
     "op9_decontaminate": f"""
 WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_WORD}'), []) AS w FROM documents),
 b AS (SELECT item_id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_WORD}') AS w FROM benchmark WHERE text IS NOT NULL),
