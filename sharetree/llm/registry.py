@@ -41,6 +41,18 @@ def op3_stratified_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "source", "position")
 
 
+def op4_deep_shallow(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sharetree.llm.substring_dedup import repeated_bytes
+
+    return repeated_bytes(table(spark, sf_dir, "documents"))
+
+
+def op5_phrase_automata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sharetree.llm.substring_dedup import repeated_words
+
+    return repeated_words(table(spark, sf_dir, "documents"))
+
+
 def op6_line_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
     from sharetree.llm.quality import fit_from, score
 
@@ -74,7 +86,7 @@ def op10_minhash_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents")).drop("text_key")
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_token_store, op2_poisson_mix, op3_stratified_shards, op6_line_crf, op7_chat_prefix_tree, op8_iso_media, op9_decontaminate, op10_minhash_bayes)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_token_store, op2_poisson_mix, op3_stratified_shards, op4_deep_shallow, op5_phrase_automata, op6_line_crf, op7_chat_prefix_tree, op8_iso_media, op9_decontaminate, op10_minhash_bayes)}
 
 _WORD = "[^\\x{00}-\\x{2F}\\x{3A}-\\x{60}\\x{7B}-\\x{7F}]+"
 
@@ -101,6 +113,14 @@ u AS (SELECT a, b FROM e UNION SELECT b, a FROM e),
 r AS (SELECT doc_id, doc_id AS c FROM d UNION SELECT r.doc_id, u.b FROM r JOIN u ON r.c = u.a)
 SELECT d.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, min(r.c) AS component_id, d.doc_id = min(r.c) AS kept
 FROM d LEFT JOIN n USING (doc_id) JOIN r USING (doc_id) GROUP BY d.doc_id, n.n""",
+    "op5_phrase_automata": """
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(regexp_extract_all(text, '[^\\x{20}\\x{09}-\\x{0D}]+'), []) AS w FROM documents),
+g AS (SELECT rid, doc_id, i, md5(array_to_string(w[i : i + 49], ' ')) AS g FROM (SELECT *, unnest(generate_series(1, len(w) - 49)) AS i FROM d WHERE len(w) >= 50)),
+f AS (SELECT g, min(doc_id) AS first FROM g GROUP BY g),
+c AS (SELECT DISTINCT rid, unnest(generate_series(i, i + 49)) AS p FROM g JOIN f USING (g) WHERE doc_id > first),
+k AS (SELECT d.rid, string_agg(x, ' ' ORDER BY d.p) AS kept, count(*) AS n FROM (SELECT rid, unnest(w) AS x, generate_subscripts(w, 1) AS p FROM d) d ANTI JOIN c ON d.rid = c.rid AND d.p = c.p GROUP BY d.rid)
+SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(len(w) - coalesce(n, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM d LEFT JOIN k USING (rid)""",
     "op9_decontaminate": f"""
 WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_WORD}'), []) AS w FROM documents),
 b AS (SELECT item_id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_WORD}') AS w FROM benchmark WHERE text IS NOT NULL),
