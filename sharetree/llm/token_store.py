@@ -117,7 +117,7 @@ class Encoder:
     batches, in a table of bounded size.  Texts with other white space are encoded as they are.
     """
 
-    KEEP = 400_000
+    KEEP = 1_000_000
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -126,6 +126,7 @@ class Encoder:
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.known: dict[str, bytes] = {}
         self.piece_bytes = self._lengths() if self._byte_level(path) else None
+        self.kind = "<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4"
 
     @staticmethod
     def _byte_level(path: str) -> bool:
@@ -152,9 +153,9 @@ class Encoder:
             (ids,) = self._ids(["".join(some)])
             ends = np.cumsum([len(p.encode()) for p in some])
             cuts = np.searchsorted(np.cumsum(self.piece_bytes[ids]), ends, side="left") + 1
-            blob, at = ids.astype("<u4").tobytes(), 0
-            for p, cut in zip(some, cuts.tolist()):
-                self.known[p] = blob[4 * at : 4 * cut]
+            blob, at, size = ids.astype(self.kind).tobytes(), 0, int(self.kind[-1])
+            for p, cut in zip(some, (size * cuts).tolist()):
+                self.known[p] = blob[at:cut]
                 at = cut
 
     def __call__(self, texts: list[str]) -> list[np.ndarray]:
@@ -181,10 +182,10 @@ class Encoder:
         # every piece but a document's first begins with the cut's own character, so joined pieces are cut again there
         heads = [p for p in fresh if p[0] not in " \n"]
         for p, ids in zip(heads, self._ids(heads)):
-            self.known[p] = ids.astype("<u4").tobytes()
+            self.known[p] = ids.astype(self.kind).tobytes()
         self._learn([p for p in fresh if p[0] in " \n"])
         whole, known = iter(self._ids(odd)), self.known
-        return [next(whole) if p is None else np.frombuffer(b"".join(map(known.__getitem__, p)), "<u4") for p in split]
+        return [next(whole) if p is None else np.frombuffer(b"".join(map(known.__getitem__, p)), self.kind) for p in split]
 
 
 #: White space, as the pre-tokenizer's pattern has it, beside space and line feed.
@@ -205,11 +206,12 @@ def _writer(tokenizer: str, end_id: int):
         encode, part = encoder(tokenizer), TaskContext.get().partitionId()
         held: list[np.ndarray] = []
         ids: list[int | None] = []
+        starts: list[int] = []
+        end = np.array([end_id], np.uint32)
         n = base = segment = 0
 
         def flush() -> pa.RecordBatch:
-            starts = np.concatenate(([0], np.cumsum([len(x) for x in held])))[:-1]
-            columns = [[part], [segment], [base], [n], [ids], [starts.tolist()], [encode_segment(np.concatenate(held))]]
+            columns = [[part], [segment], [base], [n], [ids], [starts], [encode_segment(np.concatenate(held))]]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, _STORE_ARROW)], names=_STORE_NAMES)
 
         for batch in batches:
@@ -217,12 +219,13 @@ def _writer(tokenizer: str, end_id: int):
             for a in range(0, len(texts), 500):
                 some = [x or "" for x in texts.slice(a, 500).to_pylist()]
                 for doc_id, x in zip(doc_ids[a : a + 500], encode(some)):
-                    held.append(np.append(x, np.uint32(end_id)).astype(np.uint32))
+                    held += [x, end]
+                    starts.append(n)
                     ids.append(doc_id)
-                    n += len(held[-1])
+                    n += len(x) + 1
                     if n >= SEGMENT_TOKENS:
                         yield flush()
-                        base, segment, n, held, ids = base + n, segment + 1, 0, [], []
+                        base, segment, n, held, ids, starts = base + n, segment + 1, 0, [], [], []
         if held:
             yield flush()
 
