@@ -54,13 +54,15 @@ def windows(benchmark: DataFrame, n: int = N) -> DataFrame:
 
 
 def hits(docs: DataFrame, benchmark: DataFrame, n: int = N, max_broadcast: int = MAX_BROADCAST) -> DataFrame:
-    """All columns of ``docs`` in a struct ``row``, n_words, and ``found``: the verified hits (start, len, window)."""
+    """All columns of ``docs`` in a struct ``row``, n_words, ``rid`` (0 or more), and ``found``: the verified hits (start, len, window)."""
     grams = windows(benchmark, n)
     # the benchmark is small against the corpus; its number of windows is checked, not assumed
     some = grams.select("len", "key", "window").limit(max_broadcast + 1).collect()
     few = len(some) <= max_broadcast
     lengths = sorted({row["len"] for row in some}) if few else list(range(1, n + 1))
-    split = docs.select(F.struct(*docs.columns).alias("row"), words("text").alias("w"))
+    # a filter that also asks for the row id stays above this projection; else the optimizer would move the cutting into words
+    # into the lambdas below, where it would run again for each word
+    split = docs.select(F.struct(*docs.columns).alias("row"), words("text").alias("w"), F.monotonically_increasing_id().alias("rid"))
 
     def at(length: int) -> Column:
         """(start, len, window) of each position whose key, then whose words, are in the set."""
@@ -73,14 +75,13 @@ def hits(docs: DataFrame, benchmark: DataFrame, n: int = N, max_broadcast: int =
 
     empty = F.expr("cast(array() as array<struct<start:int,len:int,window:string>>)")
     spots = F.concat(*(at(length) for length in lengths)) if lengths else empty
-    rows = split.select("row", F.size("w").alias("n_words"), spots.alias("found"))
+    rows = split.select("row", F.size("w").alias("n_words"), spots.alias("found"), "rid")
     if few:
         return rows
     # every position meets the windows in a shuffled join; positions of a document come back together by its row id
-    rows = rows.withColumn("rid", F.monotonically_increasing_id())
     each = rows.select("rid", F.explode("found").alias("spot"))
     true = each.join(grams.select("window"), F.col("spot.window") == F.col("window"), "left_semi").groupBy("rid").agg(F.collect_list("spot").alias("found"))
-    return rows.drop("found").join(true, "rid", "left").select("row", "n_words", F.coalesce("found", empty).alias("found"))
+    return rows.drop("found").join(true, "rid", "left").select("row", "n_words", "rid", F.coalesce("found", empty).alias("found"))
 
 
 def _covered(found: Column) -> Column:
@@ -106,7 +107,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, n: int = N, max_broadca
 def remove_contaminated(docs: DataFrame, benchmark: DataFrame, max_hit_share: float = 0.0, n: int = N, max_broadcast: int = MAX_BROADCAST) -> DataFrame:
     """The documents, all columns, of which at most the given share of words lies inside benchmark windows; moves no document."""
     found = hits(docs, benchmark, n, max_broadcast)
-    return found.where(_covered(F.col("found")) <= F.lit(float(max_hit_share)) * F.col("n_words")).select("row.*")
+    return found.where((F.col("rid") >= 0) & (_covered(F.col("found")) <= F.lit(float(max_hit_share)) * F.col("n_words"))).select("row.*")
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, n: int = N, max_broadcast: int = MAX_BROADCAST) -> DataFrame:

@@ -85,7 +85,7 @@ class Field:
     def marginals(self, x: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
         """Probability that each line is good, expected counts of label pairs, and the sum of the log partition functions."""
         score = np.zeros((len(x), 2))
-        score[:, 1] = x @ self.weights
+        score[:, 1] = np.einsum("ij,j->i", x, self.weights)  # not BLAS: its threads would fight the other tasks'
         order = np.argsort(-counts, kind="stable")
         lengths = counts[order]
         first = (np.concatenate(([0], np.cumsum(counts)))[:-1])[order]
@@ -143,7 +143,7 @@ def fit(texts: list[bytes], labels: list[int], rounds: int = ROUNDS) -> Field:
         for px, pc, v, weight in parts:
             good, expected, _ = field.marginals(px, pc)
             per_line = weight / np.repeat(pc, pc)
-            g = g - px.T @ ((v - good) * per_line)
+            g = g - np.einsum("ij,i->j", px, (v - good) * per_line)
             seen = np.zeros((2, 2))
             seen[int(v), int(v)] = (pc - 1).sum()
             h = h - (seen - expected) * weight / max(1.0, pc.mean())
