@@ -7,7 +7,8 @@ under a flat prior, is below ``MISS``; what is left is verified on the full sets
 
 Buckets are not spelt out into pairs.  First every member meets only the bucket's hub (its member first in one global order),
 links are verified and components formed.  Then, in buckets whose members are still in different components, pairs across
-components are compared, by signatures, inside the task that holds the bucket.  A bucket of more than ``BUCKET`` members
+components are compared, by signatures, inside the task that holds the bucket: first a forest of the most similar ones, then all that is
+still apart.  A bucket of more than ``BUCKET`` members
 is first divided by each other band of its members, again and again; as members that are linked agree in other bands too, links are kept up
 to the chance that a band catches them at all.
 
@@ -123,28 +124,59 @@ def _prune(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows)], names=["hub", "node"])
 
 
-def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Likely pairs across components of a bucket, hub left out; the rows come sorted by bucket."""
+def _across(floor: int):
+    """Likely pairs across components of a bucket, hub left out; the rows come sorted by bucket.
 
-    def pairs(nodes: np.ndarray, comps: np.ndarray, signatures: np.ndarray) -> Iterator[pa.RecordBatch]:
-        if len(set(comps.tolist())) > 1:
-            for i in range(len(nodes) - 1):
-                others = np.flatnonzero(comps[i + 1 :] != comps[i]) + i + 1
-                hit = others[likely(np.broadcast_to(signatures[i], (len(others), HASHES)), signatures[others])] if len(others) else others
-                if len(hit):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(hit), nodes[i])), pa.array(nodes[hit])], names=["hub", "node"])
+    With a floor, only pairs with so many equal hashes, and of those only a forest that joins the components, the most equal pairs
+    first; without one all pairs that the posterior doesn't rule out.
+    """
 
-    held: list[tuple] = []
-    last = None
-    for batch in batches:
-        for row in zip(*(c.to_pylist() for c in batch.columns)):
-            if row[0] != last and held:
-                yield from pairs(*_stacked(held))
-                held = []
-            last = row[0]
-            held.append(row)
-    if held:
-        yield from pairs(*_stacked(held))
+    def found(nodes: np.ndarray, comps: np.ndarray, signatures: np.ndarray) -> Iterator[np.ndarray]:
+        for i in range(len(nodes) - 1):
+            others = np.flatnonzero(comps[i + 1 :] != comps[i]) + i + 1
+            if not len(others):
+                continue
+            if floor:
+                equal = (signatures[others] == signatures[i]).sum(1)
+                hit = equal >= floor
+                others, equal = others[hit], equal[hit]
+            else:
+                others = others[likely(np.broadcast_to(signatures[i], (len(others), HASHES)), signatures[others])]
+                equal = np.zeros(len(others), np.int64)
+            yield np.stack([equal, np.full(len(others), i), others])
+
+    def pairs(rows: list[tuple]) -> pa.RecordBatch:
+        nodes, comps, signatures = _stacked(rows)
+        some = np.concatenate([np.zeros((3, 0), np.int64), *found(nodes, comps, signatures)], 1)
+        if floor:
+            up = {c: c for c in set(comps.tolist())}
+
+            def root(c: int) -> int:
+                while up[c] != c:
+                    up[c] = c = up[up[c]]
+                return c
+
+            keep = []
+            for k in np.argsort(-some[0], kind="stable").tolist():
+                x, y = root(int(comps[some[1, k]])), root(int(comps[some[2, k]]))
+                if x != y:
+                    up[x] = y
+                    keep.append(k)
+            some = some[:, keep]
+        return pa.RecordBatch.from_arrays([pa.array(nodes[some[1]]), pa.array(nodes[some[2]])], names=["hub", "node"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns)):
+                if held and row[0] != held[0][0]:
+                    yield pairs(held)
+                    held = []
+                held.append(row)
+        if held:
+            yield pairs(held)
+
+    return run
 
 
 def _stacked(rows: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -222,16 +254,20 @@ def links(classes: DataFrame, texts_of, bucket: int = BUCKET) -> DataFrame:
         return materialize(verify(candidates, texts), "near-links")
 
     both = pairs.join(signed.select(F.col("node").alias("hub"), F.col("signature").alias("s1")), "hub").join(signed.withColumnRenamed("signature", "s2"), "node")
-    first = confirmed(materialize(both.select("hub", "node", "s1", "s2").mapInArrow(_prune, "hub long, node long"), "near-pairs"))
-    parts = components(first)
-    # pairs with the hub have been decided; others are open where a bucket still spans components
-    open_rows = rows.where("n > 2").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    spans = open_rows.where("hub <> node").groupBy("bucket").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1")
-    left = open_rows.where("hub <> node").join(spans.select("bucket"), "bucket").select("bucket", "node", "component")
-    left = materialize(left.join(signed, "node").select("bucket", "node", "component", "signature"), "near-open")
-    left = _divided(left, bucket).repartition("bucket").sortWithinPartitions("bucket").select("bucket", "node", "component", "signature")
-    more = materialize(left.mapInArrow(_across, "hub long, node long").distinct(), "near-pairs")
-    return first if more.isEmpty() else first.unionByName(confirmed(more))
+    edges = confirmed(materialize(both.select("hub", "node", "s1", "s2").mapInArrow(_prune, "hub long, node long"), "near-pairs"))
+    # pairs with the hub have been decided; others are open where a bucket still spans components.  Most of those join by a few
+    # very similar pairs, so a forest of these goes first, and every other pair is looked at for what is still apart then
+    for floor in (HASHES * PERCENT // 100, 0):
+        parts = components(edges)
+        open_rows = rows.where("n > 2 and hub <> node").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
+        spans = open_rows.groupBy("bucket").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1")
+        left = open_rows.join(spans.select("bucket"), "bucket").select("bucket", "node", "component")
+        left = materialize(left.join(signed, "node").select("bucket", "node", "component", "signature"), "near-open")
+        left = _divided(left, bucket).repartition("bucket").sortWithinPartitions("bucket").select("bucket", "node", "component", "signature")
+        more = materialize(left.mapInArrow(_across(floor), "hub long, node long").distinct(), "near-pairs")
+        if not more.isEmpty():
+            edges = edges.unionByName(confirmed(more))
+    return edges
 
 
 def near_duplicates(docs: DataFrame, bucket: int = BUCKET) -> DataFrame:
