@@ -22,7 +22,7 @@ from sharetree.llm.storage import materialize
 #: Bits of a packed number that hold the position; the others hold the leading bits of the hash.
 POSITION_BITS = np.uint64(31)
 #: Contexts of an anchor that one task sorts; anchors with more are settled by counting windows.
-GROUP = 4_000
+GROUP = 20_000
 #: The place of a null doc_id: after all others.
 LAST = (1 << 63) - 1
 
@@ -56,7 +56,7 @@ def distinct_texts(docs: DataFrame) -> DataFrame:
 
 def _anchor_rows(find: Callable[[bytes], tuple[np.ndarray, np.ndarray]]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (b.slice(a, 500) for b in batches for a in range(0, b.num_rows, 500)):
             hashes, keys, places = [np.zeros(0, np.int64)], [], [np.zeros(0, np.int64)]
             for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 h, at = find(text.encode())

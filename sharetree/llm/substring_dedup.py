@@ -35,7 +35,7 @@ LENGTH, SEED_BYTES = 400, 64
 #: Words of a repeated window, and of the part that anchors hash.
 WORDS, SEED_WORDS = 50, 10
 #: Characters of passages that one automaton holds.
-AUTOMATON_CHARS = 2_000_000
+AUTOMATON_CHARS = 200_000
 SPANS = "text_key string, start int, stop int"
 #: A stretch around an anchor: ``places`` are the anchor's positions in the text, ``before`` the units before it.
 STRETCHES = "anchor long, large boolean, text_key string, doc long, places array<int>, before int, stretch binary"
@@ -98,7 +98,7 @@ def _cut(words: bool, length: int, seed: int):
 def _by_anchor(batches: Iterator[pa.RecordBatch]) -> Iterator[list[dict]]:
     """The rows of each anchor; they come sorted by it."""
     held: list[dict] = []
-    for batch in batches:
+    for batch in (b.slice(a, 1000) for b in batches for a in range(0, b.num_rows, 1000)):
         for row in batch.to_pylist():
             if held and held[0]["anchor"] != row["anchor"]:
                 yield held
@@ -137,19 +137,25 @@ def _repeated(length: int):
 
 def _passages(length: int, automaton_chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shard: list[tuple[list[dict], set[str]]] = []
+        stretches: list[dict] = []
+        shard: list[str] = []
         size = 0
         for rows in _by_anchor(batches):
             if len({r["doc"] for r in rows}) < 2:
                 continue
-            passages = _confirmed(rows, length)
-            if passages:
-                shard.append((rows, passages))
-                size += sum(map(len, passages))
-            if size > automaton_chars:
-                yield _span_batch(_occurrences(shard))
-                shard, size = [], 0
-        yield _span_batch(_occurrences(shard) if shard else [])
+            passages = sorted(_confirmed(rows, length))
+            chars = sum(map(len, passages))
+            if not passages:
+                continue
+            if size + chars > automaton_chars and shard:
+                yield _span_batch(_occurrences(stretches, shard))
+                stretches, shard, size = [], [], 0
+            if chars > automaton_chars:  # one anchor's passages in several automata, each of which sees all its stretches
+                for a in range(0, len(passages), max(1, len(passages) * automaton_chars // chars)):
+                    yield _span_batch(_occurrences(rows, passages[a : a + max(1, len(passages) * automaton_chars // chars)]))
+            else:
+                stretches, shard, size = stretches + rows, shard + passages, size + chars
+        yield _span_batch(_occurrences(stretches, shard) if shard else [])
 
     return run
 
@@ -167,31 +173,28 @@ def _confirmed(rows: list[dict], length: int) -> set[str]:
     return out
 
 
-def _occurrences(shard: list[tuple[list[dict], set[str]]]) -> list[tuple[str, int, int]]:
-    """Places of the shard's passages in documents after each passage's first, by Aho-Corasick over all the shard's stretches."""
+def _occurrences(stretches: list[dict], passages: list[str]) -> list[tuple[str, int, int]]:
+    """Places of the passages in documents after each passage's first, by Aho-Corasick over all the stretches, which run through twice."""
     import ahocorasick
 
     automaton = ahocorasick.Automaton()
-    for _, passages in shard:
-        for p in passages:
-            automaton.add_word(p, p)
+    for i, p in enumerate(dict.fromkeys(passages)):
+        automaton.add_word(p, (i, len(p), p.count(" ") - 1))
     automaton.make_automaton()
-    first: dict[str, int] = {}
-    hits: list[tuple[dict, str, str, int]] = []
-    for rows, _ in shard:
-        for row in rows:
-            stretch = f" {row['stretch'].decode()} "
-            for end, p in automaton.iter(stretch):
-                first[p] = min(first.get(p, LAST), row["doc"])
-                hits.append((row, stretch, p, end))
-    out, starts = [], {}
-    for row, stretch, p, end in hits:
-        if row["doc"] > first[p]:
-            if id(row) not in starts:  # word that each character position belongs to
-                starts = {id(row): np.cumsum(np.frombuffer(stretch.encode("utf-32-le"), "<u4") == 32)}
-            a = int(starts[id(row)][end - len(p) + 1]) - 1 - row["before"]
-            b = a + p.count(" ") - 1
-            out += [(row["text_key"], at + a, at + b) for at in row["places"]]
+    first = [LAST] * len(passages)
+    for row in stretches:
+        doc = row["doc"]
+        for _, (i, _, _) in automaton.iter(f" {row['stretch'].decode()} "):
+            if doc < first[i]:
+                first[i] = doc
+    out = []
+    for row in stretches:
+        stretch, doc = f" {row['stretch'].decode()} ", row["doc"]
+        found = {(end - n + 1, words) for end, (i, n, words) in automaton.iter(stretch) if doc > first[i]}
+        if found:
+            word = np.cumsum(np.frombuffer(stretch.encode("utf-32-le"), "<u4") == 32) - 1 - row["before"]
+            for a, b in merge([(int(word[at]), int(word[at]) + words) for at, words in found]):
+                out += [(row["text_key"], at + a, at + b) for at in row["places"]]
     return out
 
 
@@ -267,7 +270,7 @@ def _judge(words: bool, length: int, digest: bool):
     show = (lambda x: hashlib.sha256(x).hexdigest()) if digest else (lambda x: x.decode("utf-8", "replace"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (b.slice(a, 500) for b in batches for a in range(0, b.num_rows, 500)):
             rows = []
             for key, text, first, copies, spans in zip(*(c.to_pylist() for c in batch.columns)):
                 data = text.encode()
