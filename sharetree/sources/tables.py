@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from sharetree.sources.scratch import scratch
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -18,7 +20,11 @@ def ranked(df: DataFrame, *keys: str | Column, name: str = "place") -> DataFrame
     """
     rows = df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("_id", F.monotonically_increasing_id())
     rows = rows.withColumns({"_part": F.shiftright("_id", 33), "_in": F.col("_id").bitwiseAND((1 << 33) - 1)})
+    # bounds of a range exchange are drawn anew each time it runs, so the rows are written once and both readers see the same parts
+    path = scratch(df.sparkSession, "ranked")
+    rows.drop("_id").write.parquet(path)
+    rows = df.sparkSession.read.parquet(path)
     counts = rows.groupBy("_part").agg(F.count("*").alias("_n"))
     before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
     firsts = counts.select("_part", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_first"))
-    return rows.join(firsts, "_part").withColumn(name, F.col("_first") + F.col("_in")).drop("_id", "_part", "_in", "_first")
+    return rows.join(firsts, "_part").withColumn(name, F.col("_first") + F.col("_in")).drop("_part", "_in", "_first")
