@@ -192,7 +192,7 @@ add("agg_shape_stats", of_nodes("talk", lambda d: d.agg(F.max("depth").alias("de
 add("agg_having_frequent", of_nodes("talk", lambda d: d.groupBy("label").agg(F.count("*").alias("n")).where("n > 100")), _TALK_NODES + f"SELECT label, {N} FROM t GROUP BY label HAVING count(*) > 100")
 add("cube_label_depth", of_nodes("talk", lambda d: d.cube("label", "depth").agg(F.count("*").alias("n"))), _TALK_NODES + f"SELECT label, depth, {N} FROM t GROUP BY CUBE (label, depth)")
 add("rollup_depth_label", of_nodes("talk", lambda d: d.rollup("depth", "label").agg(F.count("*").alias("n"))), _TALK_NODES + f"SELECT depth, label, {N} FROM t GROUP BY ROLLUP (depth, label)")
-add("pivot_label_depth", of_nodes("talk", lambda d: d.groupBy("label").pivot("depth", [0, 1]).agg(F.count("*")).select("label", F.col("0").alias("d0"), F.col("1").alias("d1"))), _TALK_NODES + "SELECT label, CAST(nullif(count(*) FILTER (depth = 0), 0) AS BIGINT) AS d0, CAST(nullif(count(*) FILTER (depth = 1), 0) AS BIGINT) AS d1 FROM t GROUP BY label")
+add("pivot_label_depth", of_nodes("talk", lambda d: d.groupBy("label").pivot("depth", [0, 1]).agg(F.count(F.lit(1))).select("label", F.col("0").alias("d0"), F.col("1").alias("d1"))), _TALK_NODES + "SELECT label, CAST(nullif(count(*) FILTER (depth = 0), 0) AS BIGINT) AS d0, CAST(nullif(count(*) FILTER (depth = 1), 0) AS BIGINT) AS d1 FROM t GROUP BY label")
 add("agg_child_signature", of_nodes("talk", lambda d: d.where("depth = 1").groupBy("unit").agg(F.array_join(F.sort_array(F.collect_list(F.struct("pre", "label")))["label"], ",").alias("children"))), _TALK_NODES + "SELECT unit, string_agg(label, ',' ORDER BY pre) AS children FROM t WHERE depth = 1 GROUP BY unit")
 add("win_sibling_ord", of_nodes("talk", lambda d: d.where("depth = 1").select("unit", "pre", F.row_number().over(Window.partitionBy("unit", "parent_pre", "label").orderBy("pre")).alias("nth"))), _TALK_NODES + "SELECT unit, pre, CAST(row_number() OVER (PARTITION BY unit, parent_pre, label ORDER BY pre) AS INTEGER) AS nth FROM t WHERE depth = 1")
 add("win_next_sibling", of_nodes("talk", lambda d: d.where("depth = 1").select("unit", "pre", F.lead("label").over(Window.partitionBy("unit", "parent_pre").orderBy("pre")).alias("next_label"))), _TALK_NODES + "SELECT unit, pre, lead(label) OVER (PARTITION BY unit, parent_pre ORDER BY pre) AS next_label FROM t WHERE depth = 1")
