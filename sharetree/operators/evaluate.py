@@ -17,6 +17,8 @@ from sharetree.functions import grammar as G
 from sharetree.plans.query import FOLLOWING, PathQuery, QueryError, StepWalker, Walker, compile_query, parse, probe_bits
 from sharetree.sources.forests import Forest
 
+#: Bytes that one string value can hold.
+MAX_STRING = 2**31 - 16
 COMPRESSORS: dict[str, Callable[[list[str], list[int]], G.Grammar]] = {
     "binary": G.binary_dag,
     "hybrid": G.hybrid_dag,
@@ -208,19 +210,107 @@ def selectivity(forest: Forest, query: str | Walker) -> DataFrame:
     return both.select("n", "total", (F.col("n") / F.col("total")).alias("ratio"))
 
 
-def locate(forest: Forest, query: str | Walker, with_label: bool = False, **options) -> DataFrame:
-    """unit and pre (from 1, inside the unit) of every selected node."""
-    rows = _answers(forest, query, "locate", **options)[0].select("unit", F.explode("found").alias("pre"))
+def _places(forest: Forest) -> dict[int, int]:
+    """Numbers of the top nodes in the top tree's pre-order, from 1."""
+    return {i: n for n, (i, _, _) in enumerate(forest.top, 1)}
+
+
+def _above(forest: Forest, selected: list[int]) -> dict[int, int]:
+    """For each top node, how many selected top nodes hold it, itself included."""
+    chosen, out = set(selected), {}
+    for i, parent, _ in forest.top:
+        out[i] = out.get(parent, 0) + (i in chosen)
+    return out
+
+
+def locate(forest: Forest, query: str | Walker, with_label: bool = False, top: bool = True, **options) -> DataFrame:
+    """unit and pre (from 1, inside the unit) of every selected node.
+
+    A selected top node has a null unit, and its pre is its number in the top tree; ``limit`` holds for the top tree as for a unit.
+    ``top``: False gives the nodes of the units only.
+    """
+    rows, selected = _answers(forest, query, "locate", **options)
+    rows = rows.select("unit", F.explode("found").alias("pre"))
     if with_label:
         rows = rows.join(forest.units.select("unit", "labels"), "unit").select("unit", "pre", F.expr("labels[cast(pre - 1 as int)]").alias("label"))
+    if top and selected:
+        place, label = _places(forest), {i: w for i, _, w in forest.top}
+        own = sorted((place[i], label[i]) for i in selected)[: options.get("limit")]
+        above = forest.units.sparkSession.createDataFrame([(None, n, w) for n, w in own], "unit long, pre long, label string")
+        rows = rows.unionByName(above.select(*rows.columns))
     return rows
 
 
-def serialize(forest: Forest, query: str | Walker, **options) -> DataFrame:
-    """unit, pre and xml of every selected node."""
-    return _answers(forest, query, "serialize", **options)[0].select("unit", F.explode("found").alias("f")).select("unit", "f.pre", "f.xml")
-
-
-def serialized_size(forest: Forest, query: str | Walker, **options) -> DataFrame:
-    """One row: nodes of all selected subtrees together (units only)."""
-    return _answers(forest, query, "size", **options)[0].agg(F.coalesce(F.sum("s"), F.lit(0)).cast("long").alias("s"))
+def _xml(labels: list[str], depths: list[int]) -> str:
+    out, way = [], []
+    for w, d in zip(labels, depths):
+        while len(way) > d:
+            out.append(G.token_text((">", way.pop())))
+        out.append(G.token_text(("<", w)))
+        way.append(w)
+    return "".join([*out, *(G.token_text((">", w)) for w in reversed(way))])
+
+
+def _written(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        texts = [_xml(labels, depths) for labels, depths in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist())]
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], names=["entry", "xml"])
+
+
+def top_pieces(forest: Forest, chosen: list[int]) -> DataFrame:
+    """pre, step, before and xml: the XML of each chosen top node (pre: its number in the top tree) in pieces, to be joined in the order of step and before.
+
+    A piece is a bracket of a top node or the whole XML of a unit, so no row grows with the corpus.
+    """
+    spark, place, kids, label = forest.units.sparkSession, _places(forest), _children(forest.top), {i: w for i, _, w in forest.top}
+    brackets, slots = [], []
+    for i in chosen:
+        todo, step = [("<", i)], 0
+        while todo:
+            kind, k = todo.pop()
+            brackets.append((place[i], step, 0, G.token_text((kind, label[k]))))
+            if kind == "<":
+                slots.append((k, place[i], step + 1))
+                todo += [(">", k), *(("<", x) for x in reversed(kids.get(k, [])))]
+            step += 2
+    entries, units = dictionary(forest)
+    below = units.join(F.broadcast(spark.createDataFrame(slots, "top int, pre long, step long")), "top")
+    texts = entries.mapInArrow(_written, "entry string, xml string")
+    own = below.join(texts, "entry").select("pre", "step", F.col("before").cast("long").alias("before"), "xml")
+    return own.unionByName(spark.createDataFrame(brackets, "pre long, step long, before long, xml string"))
+
+
+def serialize(forest: Forest, query: str | Walker, top: bool = True, **options) -> DataFrame:
+    """unit, pre and xml of every selected node; top nodes as in ``locate``.
+
+    The XML of a top node is one string, put together from its units; one beyond what a string can hold is an error (``top_pieces``
+    gives any).  ``nested=False`` leaves out what lies below a selected top node as well.  ``top``: False looks at the units alone.
+    """
+    rows, selected = _answers(forest, query, "serialize", **options)
+    rows = rows.select("unit", F.explode("found").alias("f")).select("unit", "f.pre", "f.xml")
+    if not top or not selected:
+        return rows
+    if not options.get("nested", True):
+        above, parent = _above(forest, selected), {i: p for i, p, _ in forest.top}
+        selected = [i for i in selected if above.get(parent[i], 0) == 0]
+        covered = forest.units.sparkSession.createDataFrame([(i,) for i, n in above.items() if n], "top int")
+        rows = rows.join(forest.units.join(F.broadcast(covered), "top").select("unit"), "unit", "left_anti")
+    pieces = top_pieces(forest, selected)
+    longest = pieces.groupBy("pre").agg(F.sum(F.octet_length("xml")).alias("bytes")).agg(F.max("bytes")).first()[0]
+    if longest > MAX_STRING:
+        raise QueryError("the XML of a selected top node is longer than a string can be; top_pieces gives it in pieces")
+    whole = F.array_join(F.sort_array(F.collect_list(F.struct("step", "before", "xml")))["xml"], "")
+    return rows.unionByName(pieces.groupBy("pre").agg(whole.alias("xml")).select(F.lit(None).cast("long").alias("unit"), "pre", "xml"))
+
+
+def serialized_size(forest: Forest, query: str | Walker, top: bool = True, **options) -> DataFrame:
+    """One row: nodes of all selected subtrees together.  ``top``: False leaves out the subtrees of selected top nodes."""
+    rows, selected = _answers(forest, query, "size", **options)
+    size = rows.agg(F.coalesce(F.sum("s"), F.lit(0)).alias("s"))
+    if top and selected:
+        # a node counts once for each selected top node that holds it
+        above = _above(forest, selected)
+        weights = forest.units.sparkSession.createDataFrame([x for x in above.items() if x[1]], "top int, above long")
+        more = forest.units.join(F.broadcast(weights), "top").agg(F.coalesce(F.sum((F.size("labels") * F.col("above")).cast("decimal(38,0)")), F.lit(0)).alias("more"))
+        size = size.crossJoin(more).select((F.col("s") + F.col("more") + F.lit(sum(above.values()))).alias("s"))
+    return size.select(F.col("s").cast("long").alias("s"))

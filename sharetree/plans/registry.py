@@ -125,11 +125,17 @@ add("locate_depthmod_talk", on("talk", evaluate.locate, depth_mod(3, 2)), TALK +
 add("locate_orders_trade", on("trade", evaluate.locate, "//order"), "WITH l AS (SELECT o_custkey, o_orderkey, 2 + 2 * (SELECT count(*) FROM lineitem WHERE l_orderkey = o_orderkey) AS s FROM orders JOIN customer ON o_custkey = c_custkey) SELECT CAST(o_custkey AS BIGINT) AS unit, CAST(3 + coalesce(sum(s) OVER (PARTITION BY o_custkey ORDER BY o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS pre FROM l")
 _CONV = TALK + "SELECT CAST(conv_id AS BIGINT) AS unit, CAST(1 AS BIGINT) AS pre, '<conv>' || string_agg('<' || label || '></' || label || '>', '' ORDER BY k) || '</conv>' AS xml FROM n GROUP BY conv_id"
 add("serialize_conv_talk", on("talk", evaluate.serialize, "/corpus/conv"), _CONV)
-add("serialize_outermost_talk", on("talk", evaluate.serialize, "//*", nested=False), _CONV)
+add("serialize_outermost_talk", on("talk", evaluate.serialize, "//*", top=False, nested=False), _CONV)
 add("serialize_user_log", on("log", evaluate.serialize, "//user"), LOG + "SELECT CAST(user_id AS BIGINT) AS unit, CAST(1 AS BIGINT) AS pre, '<user>' || string_agg('<' || label || '></' || label || '>', '' ORDER BY k) || '</user>' AS xml FROM n GROUP BY user_id")
 add("serialize_ul_pages", on("pages", evaluate.serialize, "//ul"))
-add("serialized_size_talk", on("talk", evaluate.serialized_size, "//*"), "SELECT CAST(2 * count(*) + count(DISTINCT conv_id) AS BIGINT) AS s FROM conversations")
-add("serialized_size_pages", on("pages", evaluate.serialized_size, "//*"), PAGES + "SELECT CAST(sum(depth + 1) AS BIGINT) AS s FROM n")
+add("serialized_size_talk", on("talk", evaluate.serialized_size, "//*", top=False), "SELECT CAST(2 * count(*) + count(DISTINCT conv_id) AS BIGINT) AS s FROM conversations")
+add("serialized_size_pages", on("pages", evaluate.serialized_size, "//*", top=False), PAGES + "SELECT CAST(sum(depth + 1) AS BIGINT) AS s FROM n")
+# the same over the whole tree, nodes above units included (those above look at the units alone, as their oracles do)
+add("serialize_whole_outermost_talk", on("talk", evaluate.serialize, "//*", nested=False), f"WITH c AS ({_CONV}) SELECT CAST(NULL AS BIGINT) AS unit, CAST(1 AS BIGINT) AS pre, '<corpus>' || string_agg(xml, '' ORDER BY unit) || '</corpus>' AS xml FROM c")
+add("serialized_size_whole_talk", on("talk", evaluate.serialized_size, "//*"), "SELECT CAST(3 * count(*) + 2 * count(DISTINCT conv_id) + 1 AS BIGINT) AS s FROM conversations")
+add("serialized_size_whole_pages", on("pages", evaluate.serialized_size, "//*"), PAGES + "SELECT CAST(sum(depth + 2) + 1 AS BIGINT) AS s FROM n")
+add("serialized_size_whole_trade", on("trade", evaluate.serialized_size, "//*"), f"SELECT CAST(1 + 2 * (SELECT count(*) FROM region) + 3 * (SELECT count(*) FROM nation) + 9 * (SELECT count(*) FROM customer) + 11 * (SELECT count(*) FROM orders JOIN customer ON o_custkey = c_custkey) + 13 * (SELECT count(*) FROM {LINES}) AS BIGINT) AS s")
+add("locate_nation_trade", on("trade", evaluate.locate, "//nation"), "SELECT CAST(NULL AS BIGINT) AS unit, CAST(1 + row_number() OVER (ORDER BY n_regionkey, n_nationkey) + dense_rank() OVER (ORDER BY n_regionkey) AS BIGINT) AS pre FROM nation JOIN region ON n_regionkey = r_regionkey")
 
 # ---- string programs
 

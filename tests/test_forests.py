@@ -89,3 +89,23 @@ def test_known_counts_on_the_pages(spark):
     assert n == baseline.structural(f, "//p/b").count() == sum(r.n for r in baseline.paths(f, "//p/b").collect()) == evaluate.locate(f, "//p/b").count()
     size = programs.traversal_programs(f).collect()
     assert all(r.size <= 6 * r.edges for r in size)
+
+
+@pytest.mark.parametrize("text", ["//*", "//b", "/c", "//b[./a/c]", "/c/b/following-sibling::b", "//a", "//b/a"])
+def test_locate_and_serialize_take_in_the_nodes_above_units(forest, text):
+    f, labels, depths = forest
+    hits = [i + 1 for i in brute(text, labels, depths)]
+    ends = [next((j for j in range(i + 1, len(depths)) if depths[j] <= depths[i]), len(depths)) for i in range(len(depths))]
+    assert evaluate.locate(f, text).count() == len(hits)
+    assert evaluate.serialized_size(f, text).first().s == sum(ends[u - 1] - u + 1 for u in hits)
+    outer = [u for u in hits if not any(v < u <= ends[v - 1] for v in hits)]
+    for nested, wanted in ((True, hits), (False, outer)):
+        xml = [evaluate._xml(labels[u - 1 : ends[u - 1]], [d - depths[u - 1] for d in depths[u - 1 : ends[u - 1]]]) for u in wanted]
+        assert sorted(r.xml for r in evaluate.serialize(f, text, nested=nested).collect()) == sorted(xml)
+    top = {i + 1: w for i, w in enumerate("cbb")}
+    assert all(top[r.pre] == r.label for r in evaluate.locate(f, text, with_label=True).where("unit is null").collect())
+
+
+def test_everything_selected_on_the_pages(spark):
+    assert evaluate.serialized_size(FORESTS["pages"](spark, "/root/testdata/sf0.01"), "//*").first().s == 58_219  # SURVEY W4
+    assert [(r.unit, r.pre) for r in evaluate.locate(FORESTS["trade"](spark, "/root/testdata/sf0.001"), "/trade").collect()] == [(None, 1)]
