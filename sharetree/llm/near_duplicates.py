@@ -38,7 +38,7 @@ WORDS, PERCENT = 5, 75
 HASHES, ROWS = 128, 4
 BANDS = HASHES // ROWS
 BATCH, MISS = 16, 1e-6
-#: Members of a bucket that one task compares with each other; larger buckets are divided.
+#: Members of a bucket that one task compares with each other, about; larger buckets are cut into blocks.
 BUCKET = 4_000
 #: Members that meet one copy of a hub's text.
 HUB_SHARE = 500
@@ -124,11 +124,10 @@ def _prune(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows)], names=["hub", "node"])
 
 
-def _across(floor: int):
-    """Likely pairs across components of a bucket, hub left out; the rows come sorted by bucket.
+def _forest(floor: int):
+    """A forest of pairs across components of a bucket, hub left out, that joins the components, the most equal pairs first.
 
-    With a floor, only pairs with so many equal hashes, and of those only a forest that joins the components, the most equal pairs
-    first; without one all pairs that the posterior doesn't rule out.
+    Only pairs with at least so many equal hashes; the rows come sorted by bucket.
     """
 
     def found(nodes: np.ndarray, comps: np.ndarray, signatures: np.ndarray) -> Iterator[np.ndarray]:
@@ -136,33 +135,28 @@ def _across(floor: int):
             others = np.flatnonzero(comps[i + 1 :] != comps[i]) + i + 1
             if not len(others):
                 continue
-            if floor:
-                equal = (signatures[others] == signatures[i]).sum(1)
-                hit = equal >= floor
-                others, equal = others[hit], equal[hit]
-            else:
-                others = others[likely(np.broadcast_to(signatures[i], (len(others), HASHES)), signatures[others])]
-                equal = np.zeros(len(others), np.int64)
+            equal = (signatures[others] == signatures[i]).sum(1)
+            hit = equal >= floor
+            others, equal = others[hit], equal[hit]
             yield np.stack([equal, np.full(len(others), i), others])
 
     def pairs(rows: list[tuple]) -> pa.RecordBatch:
         nodes, comps, signatures = _stacked(rows)
         some = np.concatenate([np.zeros((3, 0), np.int64), *found(nodes, comps, signatures)], 1)
-        if floor:
-            up = {c: c for c in set(comps.tolist())}
-
-            def root(c: int) -> int:
-                while up[c] != c:
-                    up[c] = c = up[up[c]]
-                return c
-
-            keep = []
-            for k in np.argsort(-some[0], kind="stable").tolist():
-                x, y = root(int(comps[some[1, k]])), root(int(comps[some[2, k]]))
-                if x != y:
-                    up[x] = y
-                    keep.append(k)
-            some = some[:, keep]
+        up = {c: c for c in set(comps.tolist())}
+
+        def root(c: int) -> int:
+            while up[c] != c:
+                up[c] = c = up[up[c]]
+            return c
+
+        keep = []
+        for k in np.argsort(-some[0], kind="stable").tolist():
+            x, y = root(int(comps[some[1, k]])), root(int(comps[some[2, k]]))
+            if x != y:
+                up[x] = y
+                keep.append(k)
+        some = some[:, keep]
         return pa.RecordBatch.from_arrays([pa.array(nodes[some[1]]), pa.array(nodes[some[2]])], names=["hub", "node"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -179,6 +173,48 @@ def _across(floor: int):
     return run
 
 
+def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """All pairs across components that the posterior doesn't rule out, of two blocks or of one with itself.
+
+    Rows of (bucket, node, component, signature, x, y, block), sorted by bucket, x and y.
+    """
+    least = least_matches()[0]
+
+    def pairs(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+        nodes, comps, signatures = _stacked(rows)
+        first = np.ascontiguousarray(signatures[:, :BATCH])
+        side = np.array([r[6] == r[4] for r in rows])
+        one = rows[0][4] == rows[0][5]
+        left, right = (np.arange(len(rows)),) * 2 if one else (np.flatnonzero(side), np.flatnonzero(~side))
+        if len(left) > len(right):
+            left, right = right, left
+        there, theirs = first[right], comps[right]
+        kept: list[np.ndarray] = []
+        n = 0
+        for k, i in enumerate(left.tolist()):
+            at = k + 1 if one else 0
+            apart = np.flatnonzero(theirs[at:] != comps[i]) + at
+            others = right[apart[(there[apart] == first[i]).sum(1) >= least]]
+            if len(others):
+                others = others[likely(np.broadcast_to(signatures[i], (len(others), HASHES)), signatures[others])]
+                kept.append(np.stack([np.full(len(others), i), others]))
+                n += len(others)
+            if n > 100_000 or (k == len(left) - 1 and kept):
+                some = np.sort(nodes[np.concatenate(kept, 1)], 0)
+                yield pa.RecordBatch.from_arrays([pa.array(some[0]), pa.array(some[1])], names=["hub", "node"])
+                kept, n = [], 0
+
+    held: list[tuple] = []
+    for batch in batches:
+        for row in zip(*(c.to_pylist() for c in batch.columns)):
+            if held and (row[0], row[4], row[5]) != (held[0][0], held[0][4], held[0][5]):
+                yield from pairs(held)
+                held = []
+            held.append(row)
+    if held:
+        yield from pairs(held)
+
+
 def _stacked(rows: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.array([r[1] for r in rows], np.int64), np.array([r[2] for r in rows], np.int64), np.frombuffer(b"".join(r[3] for r in rows), "<u4").reshape(-1, HASHES)
 
@@ -218,7 +254,10 @@ def _bands(classes: DataFrame, carry: list[str]) -> DataFrame:
 
 
 def _divided(rows: DataFrame, size: int) -> DataFrame:
-    """Buckets of (bucket, node, component, signature) of at most ``size`` members: larger ones are divided by each band of their members."""
+    """Buckets of (bucket, node, component, signature) of at most ``size`` members: larger ones are divided by each band of their members.
+
+    Pairs that agree in few bands are lost, so this is for the forest pass alone; what it leaves apart is looked at whole after it.
+    """
     for _ in range(BANDS):
         counts = rows.groupBy("bucket").agg(F.count("*").alias("n"))
         large = counts.where(F.col("n") > size)
@@ -235,6 +274,33 @@ def _divided(rows: DataFrame, size: int) -> DataFrame:
     return rows
 
 
+def _blocked(rows: DataFrame, size: int) -> DataFrame:
+    """Rows of (bucket, node, component, signature), each once for every task (x, y: two blocks of its bucket) that it is in, with its block.
+
+    A bucket of at most ``size`` members is one block.  In a larger one, components that fill a good part of a block have blocks of their
+    own and the others are dealt whole.  Every two members of different components meet in exactly one task; two blocks that lie in one
+    and the same component have none.  (Two blocks of equal hash are a block: larger, with nothing left out.)
+    """
+    whole = lambda d: d.select("bucket", "node", "component", "signature", *(F.lit(0).cast("long").alias(x) for x in ("x", "y", "block")))
+    large = rows.groupBy("bucket").agg(F.count("*").alias("n")).where(F.col("n") > size).select("bucket")
+    if large.isEmpty():
+        return whole(rows)
+    members = rows.join(large, "bucket", "left_semi")
+    counts = members.groupBy("bucket", "component").agg(F.count("*").alias("own"))
+    own = counts.where(F.col("own") * 4 >= size)
+    rest = counts.where(F.col("own") * 4 < size).groupBy("bucket").agg(F.sum("own").alias("rest"))
+    alone = F.xxhash64("component", F.pmod(F.xxhash64("node"), F.ceil(F.col("own") / size)))
+    block = F.when(F.col("own").isNotNull(), alone).otherwise(F.pmod(F.xxhash64("component"), F.ceil(F.col("rest") / size)))
+    placed = members.join(own, ["bucket", "component"], "left").join(rest, "bucket", "left").select("bucket", "node", "component", "signature", block.cast("long").alias("block"))
+    blocks = placed.groupBy("bucket", "block").agg(F.min("component").alias("c0"), F.max("component").alias("c1"))
+    blocks = materialize(blocks, "near-blocks")
+    second = blocks.select("bucket", F.col("block").alias("y"), F.col("c0").alias("d0"), F.col("c1").alias("d1"))
+    tasks = blocks.withColumnRenamed("block", "x").join(second, "bucket").where("x <= y and least(c0, d0) <> greatest(c1, d1)")
+    tasks = tasks.select("bucket", "x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block"))
+    cut = placed.join(tasks, ["bucket", "block"]).select("bucket", "node", "component", "signature", "x", "y", "block")
+    return whole(rows.join(large, "bucket", "left_anti")).unionByName(cut)
+
+
 def links(classes: DataFrame, texts_of, bucket: int = BUCKET) -> DataFrame:
     """Verified edges (a, b) that connect all classes (node, signature) which any candidate link connects.
 
@@ -257,14 +323,18 @@ def links(classes: DataFrame, texts_of, bucket: int = BUCKET) -> DataFrame:
     edges = confirmed(materialize(both.select("hub", "node", "s1", "s2").mapInArrow(_prune, "hub long, node long"), "near-pairs"))
     # pairs with the hub have been decided; others are open where a bucket still spans components.  Most of those join by a few
     # very similar pairs, so a forest of these goes first, and every other pair is looked at for what is still apart then
-    for floor in (HASHES * PERCENT // 100, 0):
+    for last in (False, True):
         parts = components(edges)
         open_rows = rows.where("n > 2 and hub <> node").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
         spans = open_rows.groupBy("bucket").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1")
         left = open_rows.join(spans.select("bucket"), "bucket").select("bucket", "node", "component")
         left = materialize(left.join(signed, "node").select("bucket", "node", "component", "signature"), "near-open")
-        left = _divided(left, bucket).repartition("bucket").sortWithinPartitions("bucket").select("bucket", "node", "component", "signature")
-        more = materialize(left.mapInArrow(_across(floor), "hub long, node long").distinct(), "near-pairs")
+        if last:
+            found = _blocked(left, bucket).repartition("bucket", "x", "y").sortWithinPartitions("bucket", "x", "y").mapInArrow(_across, "hub long, node long")
+        else:
+            left = _divided(left, bucket).repartition("bucket").sortWithinPartitions("bucket").select("bucket", "node", "component", "signature")
+            found = left.mapInArrow(_forest(HASHES * PERCENT // 100), "hub long, node long")
+        more = materialize(found.distinct(), "near-pairs")
         if not more.isEmpty():
             edges = edges.unionByName(confirmed(more))
     return edges

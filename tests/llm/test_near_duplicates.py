@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from sharetree.llm.components import components
-from sharetree.llm.near_duplicates import HASHES, deduplicate, least_matches, near_duplicates, signature
+from sharetree.llm.near_duplicates import HASHES, ROWS, deduplicate, least_matches, links, near_duplicates, signature
 
 
 def sets_of(text):
@@ -77,3 +77,21 @@ def test_bounds_and_signatures():
     items = np.unique(np.random.default_rng(1).integers(0, 1 << 63, 2000).astype(np.uint64))
     near = np.concatenate([items[:1800], items[1800:] + np.uint64(1)])
     assert abs((signature(items) == signature(near)).mean() - 1800 / 2200) < 0.15
+
+
+@pytest.mark.parametrize("bucket", [4000, 8, 3])
+def test_a_link_that_shares_only_a_large_bucket(spark, bucket):
+    r = np.random.default_rng(3)
+    table = r.integers(0, 1 << 32, (30, HASHES)).astype("<u4")
+    table[:, :ROWS] = 7  # one bucket of all
+    table[1] = table[0]
+    table[1, ROWS::ROWS] += 1  # the pair agrees in no other band
+    # as many small components, and one that fills blocks of its own
+    table[20:] = table[20]
+    words = [" ".join(f"w{i}x{j}" for j in range(40)) for i in range(30)]
+    words[1] = words[0] + " more"
+    words[20:] = [words[20] + " z" * i for i in range(10)]
+    classes = spark.createDataFrame([(i, bytearray(table[i].tobytes())) for i in range(30)], "node long, signature binary")
+    texts = spark.createDataFrame(list(enumerate(words)), "node long, text string")
+    parts = {x.node: x.component for x in components(links(classes, lambda nodes: texts.join(nodes, "node"), bucket)).collect()}
+    assert parts == {0: 0, 1: 0} | dict.fromkeys(range(20, 30), 20)
