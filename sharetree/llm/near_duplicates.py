@@ -6,11 +6,11 @@ compared batch by batch; it is dropped as soon as the posterior probability that
 under a flat prior, is below ``MISS``; what is left is verified on the full sets.
 
 Buckets are not spelt out into pairs.  First every member meets only the bucket's hub (its member first in one global order),
-links are verified and components formed.  Then, in buckets whose members are still in different components, pairs across
-components are compared, by signatures, inside the task that holds the bucket: first a forest of the most similar ones, then all that is
-still apart.  A bucket of more than ``BUCKET`` members
-is first divided by each other band of its members, again and again; as members that are linked agree in other bands too, links are kept up
-to the chance that a band catches them at all.
+links are verified and components formed.  Then, in buckets whose members are still in different components, a forest of the most similar
+pairs across components is verified.  What is still apart then is compared whole, every pair across components, in tasks of two blocks of a
+bucket: by signatures first, which gives the members that are not ruled out, each once; then those bring their texts, each once, and the task
+verifies their pairs on full sets and gives the links that join components, fewer than it has members.  So no rows grow with the
+pairs of a bucket.  (For the forest, which only saves work, a bucket of more than ``BUCKET`` members is divided by other bands.)
 
 Chance that a link is missed: by the bands (1 - 0.75**4)**32 < 6e-6 at the threshold itself, less above; by the prune below MISS.
 
@@ -40,6 +40,8 @@ BANDS = HASHES // ROWS
 BATCH, MISS = 16, 1e-6
 #: Members of a bucket that one task compares with each other, about; larger buckets are cut into blocks.
 BUCKET = 4_000
+#: Bytes of text that weigh as much as a member.
+TEXT_BYTES = 4_096
 #: Members that meet one copy of a hub's text.
 HUB_SHARE = 500
 
@@ -159,28 +161,18 @@ def _forest(floor: int):
         some = some[:, keep]
         return pa.RecordBatch.from_arrays([pa.array(nodes[some[1]]), pa.array(nodes[some[2]])], names=["hub", "node"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
-        for batch in batches:
-            for row in zip(*(c.to_pylist() for c in batch.columns)):
-                if held and row[0] != held[0][0]:
-                    yield pairs(held)
-                    held = []
-                held.append(row)
-        if held:
-            yield pairs(held)
-
-    return run
+    return lambda batches: map(pairs, _tasks(batches, (0,)))
 
 
 def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """All pairs across components that the posterior doesn't rule out, of two blocks or of one with itself.
+    """The members of a task (two blocks of a bucket, or one with itself) that the posterior doesn't rule out with one of another component.
 
-    Rows of (bucket, node, component, signature, x, y, block), sorted by bucket, x and y.
+    Rows of (bucket, node, component, signature, x, y, block), sorted by bucket, x and y.  A member comes out once for its task, however
+    many partners it has.
     """
     least = least_matches()[0]
 
-    def pairs(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+    def members(rows: list[tuple]) -> pa.RecordBatch:
         nodes, comps, signatures = _stacked(rows)
         first = np.ascontiguousarray(signatures[:, :BATCH])
         side = np.array([r[6] == r[4] for r in rows])
@@ -189,30 +181,107 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if len(left) > len(right):
             left, right = right, left
         there, theirs = first[right], comps[right]
-        kept: list[np.ndarray] = []
-        n = 0
+        open_ = np.zeros(len(rows), bool)
         for k, i in enumerate(left.tolist()):
             at = k + 1 if one else 0
             apart = np.flatnonzero(theirs[at:] != comps[i]) + at
             others = right[apart[(there[apart] == first[i]).sum(1) >= least]]
             if len(others):
                 others = others[likely(np.broadcast_to(signatures[i], (len(others), HASHES)), signatures[others])]
-                kept.append(np.stack([np.full(len(others), i), others]))
-                n += len(others)
-            if n > 100_000 or (k == len(left) - 1 and kept):
-                some = np.sort(nodes[np.concatenate(kept, 1)], 0)
-                yield pa.RecordBatch.from_arrays([pa.array(some[0]), pa.array(some[1])], names=["hub", "node"])
-                kept, n = [], 0
+                open_[others] = True
+                open_[i] |= len(others) > 0
+        task = [pa.array([rows[0][i]] * int(open_.sum()), pa.int64()) for i in (0, 4, 5)]
+        blocks = pa.array(np.array([r[6] for r in rows], np.int64)[open_])
+        return pa.RecordBatch.from_arrays([*task, blocks, pa.array(nodes[open_]), pa.array(comps[open_])], names=["bucket", "x", "y", "block", "node", "component"])
+
+    yield from map(members, _tasks(batches, (0, 4, 5)))
+
 
+def _tasks(batches: Iterator[pa.RecordBatch], key: tuple[int, ...]) -> Iterator[list[tuple]]:
+    """The rows of each key; they come sorted by it."""
     held: list[tuple] = []
     for batch in batches:
         for row in zip(*(c.to_pylist() for c in batch.columns)):
-            if held and (row[0], row[4], row[5]) != (held[0][0], held[0][4], held[0][5]):
-                yield from pairs(held)
+            if held and any(row[i] != held[0][i] for i in key):
+                yield held
                 held = []
             held.append(row)
     if held:
-        yield from pairs(held)
+        yield held
+
+
+def shared_items(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Sizes of the intersections of the sets ``left`` (rows) with the sets ``right`` (columns); equal lists, or no set in both.
+
+    Items of many sets are counted by a product of incidence tables, a part of the columns at a time, the others pair by pair from the lists
+    of sets that have them.
+    """
+    one = left is right
+    owners = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    _, codes, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    order = np.argsort(codes, kind="stable")
+    owners, codes = owners[order], codes[order]
+    stops = np.cumsum(counts)
+    at = np.zeros(len(sets), np.int64)
+    at[left], at[right] = np.arange(len(left)), np.arange(len(right))
+    of_left = np.zeros(len(sets), bool)
+    of_left[left] = True
+    out = np.zeros((len(left), len(right)), np.float32)
+    many = 16 * counts > len(sets)
+    dense = np.flatnonzero(many & (counts > 1))
+    column = np.full(len(counts), -1)
+    for a in range(0, len(dense), 2048):
+        some = dense[a : a + 2048]
+        column[:] = -1
+        column[some] = np.arange(len(some))
+        mine = column[codes]
+        has = np.zeros((len(sets), len(some)), np.float32)
+        has[owners[mine >= 0], mine[mine >= 0]] = 1
+        out += has[left] @ has[right].T
+    entry = np.flatnonzero(~many[codes])
+    for step in range(1, int(counts[~many].max(initial=1))):
+        entry = entry[entry + step < stops[codes[entry]]]
+        i, j = owners[entry], owners[entry + step]
+        if not one:
+            cross = of_left[i] != of_left[j]
+            i, j = i[cross], j[cross]
+            i, j = np.where(of_left[i], i, j), np.where(of_left[i], j, i)
+        np.add.at(out, (at[i], at[j]), 1)
+        if one:
+            np.add.at(out, (at[j], at[i]), 1)
+    return out
+
+
+def _exact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Links on full sets that join the components of a task's members: rows of (bucket, x, y, block, node, component, text), sorted by bucket, x and y."""
+
+    def joined(rows: list[tuple]) -> pa.RecordBatch:
+        sets = [shingles(r[6].encode()) for r in rows]
+        sizes, comps = np.array([len(x) for x in sets], np.float32), np.array([r[5] for r in rows])
+        one, side = rows[0][1] == rows[0][2], np.array([r[3] == r[1] for r in rows])
+        left = np.arange(len(rows)) if one else np.flatnonzero(side)
+        right = left if one else np.flatnonzero(~side)
+        up = {c: c for c in comps.tolist()}
+
+        def root(c: int) -> int:
+            while up[c] != c:
+                up[c] = c = up[up[c]]
+            return c
+
+        a, b = [], []
+        both = shared_items(sets, left, right)
+        for k in range(len(left)):
+            i = left[k]
+            linked = (100 * both[k] >= PERCENT * (sizes[i] + sizes[right] - both[k])) & (comps[right] != comps[i])
+            for j in right[linked].tolist():
+                x, y = root(int(comps[i])), root(int(comps[j]))
+                if x != y:
+                    up[x] = y
+                    a.append(rows[i][4])
+                    b.append(rows[j][4])
+        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    yield from map(joined, _tasks(batches, (0, 1, 2)))
 
 
 def _stacked(rows: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -275,18 +344,18 @@ def _divided(rows: DataFrame, size: int) -> DataFrame:
 
 
 def _blocked(rows: DataFrame, size: int) -> DataFrame:
-    """Rows of (bucket, node, component, signature), each once for every task (x, y: two blocks of its bucket) that it is in, with its block.
+    """Rows of (bucket, node, component, signature, weight), each once for every task (x, y: two blocks of its bucket) that it is in, with its block.
 
-    A bucket of at most ``size`` members is one block.  In a larger one, components that fill a good part of a block have blocks of their
+    A bucket of at most ``size`` weight, which is 1 for a member and more for a long text, is one block.  In a larger one, components that fill a good part of a block have blocks of their
     own and the others are dealt whole.  Every two members of different components meet in exactly one task; two blocks that lie in one
     and the same component have none.  (Two blocks of equal hash are a block: larger, with nothing left out.)
     """
     whole = lambda d: d.select("bucket", "node", "component", "signature", *(F.lit(0).cast("long").alias(x) for x in ("x", "y", "block")))
-    large = rows.groupBy("bucket").agg(F.count("*").alias("n")).where(F.col("n") > size).select("bucket")
+    large = rows.groupBy("bucket").agg(F.sum("weight").alias("n")).where(F.col("n") > size).select("bucket")
     if large.isEmpty():
         return whole(rows)
     members = rows.join(large, "bucket", "left_semi")
-    counts = members.groupBy("bucket", "component").agg(F.count("*").alias("own"))
+    counts = members.groupBy("bucket", "component").agg(F.sum("weight").alias("own"))
     own = counts.where(F.col("own") * 4 >= size)
     rest = counts.where(F.col("own") * 4 < size).groupBy("bucket").agg(F.sum("own").alias("rest"))
     alone = F.xxhash64("component", F.pmod(F.xxhash64("node"), F.ceil(F.col("own") / size)))
@@ -323,20 +392,24 @@ def links(classes: DataFrame, texts_of, bucket: int = BUCKET) -> DataFrame:
     edges = confirmed(materialize(both.select("hub", "node", "s1", "s2").mapInArrow(_prune, "hub long, node long"), "near-pairs"))
     # pairs with the hub have been decided; others are open where a bucket still spans components.  Most of those join by a few
     # very similar pairs, so a forest of these goes first, and every other pair is looked at for what is still apart then
-    for last in (False, True):
-        parts = components(edges)
-        open_rows = rows.where("n > 2 and hub <> node").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    def still_open() -> DataFrame:
+        open_rows = rows.where("n > 2 and hub <> node").join(components(edges), "node", "left").withColumn("component", F.coalesce("component", "node"))
         spans = open_rows.groupBy("bucket").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1")
-        left = open_rows.join(spans.select("bucket"), "bucket").select("bucket", "node", "component")
-        left = materialize(left.join(signed, "node").select("bucket", "node", "component", "signature"), "near-open")
-        if last:
-            found = _blocked(left, bucket).repartition("bucket", "x", "y").sortWithinPartitions("bucket", "x", "y").mapInArrow(_across, "hub long, node long")
-        else:
-            left = _divided(left, bucket).repartition("bucket").sortWithinPartitions("bucket").select("bucket", "node", "component", "signature")
-            found = left.mapInArrow(_forest(HASHES * PERCENT // 100), "hub long, node long")
-        more = materialize(found.distinct(), "near-pairs")
-        if not more.isEmpty():
-            edges = edges.unionByName(confirmed(more))
+        return open_rows.join(spans.select("bucket"), "bucket").select("bucket", "node", "component")
+
+    left = materialize(still_open().join(signed, "node").select("bucket", "node", "component", "signature"), "near-open")
+    left = _divided(left, bucket).repartition("bucket").sortWithinPartitions("bucket").select("bucket", "node", "component", "signature")
+    more = materialize(left.mapInArrow(_forest(HASHES * PERCENT // 100), "hub long, node long").distinct(), "near-pairs")
+    if not more.isEmpty():
+        edges = edges.unionByName(confirmed(more))
+    weights = texts.select("node", (F.ceil(F.octet_length("text") / TEXT_BYTES) + 1).alias("weight"))
+    left = materialize(still_open().join(signed, "node").join(weights, "node").select("bucket", "node", "component", "signature", "weight"), "near-open")
+    tasks = _blocked(left, bucket).repartition("bucket", "x", "y").sortWithinPartitions("bucket", "x", "y")
+    likely_ = materialize(tasks.mapInArrow(_across, "bucket long, x long, y long, block long, node long, component long"), "near-likely")
+    if not likely_.isEmpty():
+        held = likely_.join(texts, "node").select("bucket", "x", "y", "block", "node", "component", "text")
+        held = held.repartition("bucket", "x", "y").sortWithinPartitions("bucket", "x", "y")
+        edges = edges.unionByName(materialize(held.mapInArrow(_exact, "a long, b long").distinct(), "near-links"))
     return edges
 
 
