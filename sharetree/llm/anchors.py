@@ -21,7 +21,7 @@ from sharetree.llm.storage import materialize
 
 #: Bits of a packed number that hold the position; the others hold the leading bits of the hash.
 POSITION_BITS = np.uint64(31)
-#: Contexts of an anchor that one task sorts; anchors with more are settled by counting windows.
+#: Contexts that one task sorts; an anchor with more is divided by what its windows have in common.
 GROUP = 20_000
 #: The place of a null doc_id: after all others.
 LAST = (1 << 63) - 1
@@ -45,7 +45,7 @@ def anchors(hashes: np.ndarray, reach: int) -> np.ndarray:
 
 
 def text_key(text: Column | None = None) -> Column:
-    return F.md5(F.coalesce(F.col("text") if text is None else text, F.lit("")))
+    return F.unhex(F.md5(F.coalesce(F.col("text") if text is None else text, F.lit(""))))
 
 
 def distinct_texts(docs: DataFrame) -> DataFrame:
@@ -57,13 +57,14 @@ def distinct_texts(docs: DataFrame) -> DataFrame:
 def _anchor_rows(find: Callable[[bytes], tuple[np.ndarray, np.ndarray]]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in (b.slice(a, 500) for b in batches for a in range(0, b.num_rows, 500)):
-            hashes, keys, places = [np.zeros(0, np.int64)], [], [np.zeros(0, np.int64)]
-            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            hashes, rows, places = [np.zeros(0, np.int64)], [], [np.zeros(0, np.int64)]
+            for text in batch.column(1).to_pylist():
                 h, at = find(text.encode())
                 hashes.append(h.view(np.int64))
                 places.append(at)
-                keys += [key] * len(at)
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(hashes)), pa.array(keys, pa.string()), pa.array(np.concatenate(places).astype(np.int32))], names=["anchor", "text_key", "at"])
+                rows.append(len(at))
+            keys = batch.column(0).take(pa.array(np.repeat(np.arange(batch.num_rows), rows)))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(hashes)), keys, pa.array(np.concatenate(places).astype(np.int32))], names=["anchor", "text_key", "at"])
 
     return run
 
@@ -74,15 +75,10 @@ def shared_anchors(docs: DataFrame, find: Callable[[bytes], tuple[np.ndarray, np
     ``within_text``: a second place in the same text is elsewhere too.  ``large``: more than ``group`` places share the anchor.
     """
     rows = docs.where(F.octet_length("text") >= least_bytes).select(text_key().alias("text_key"), "text")
-    found = materialize(rows.mapInArrow(_anchor_rows(find), "anchor long, text_key string, at int"), "anchors")
-    place = F.struct("text_key", "at") if within_text else F.col("text_key")
-    twice = found.groupBy("anchor").agg(F.min(place).alias("a"), F.max(place).alias("b")).where("a <> b").select("anchor")
+    found = materialize(rows.mapInArrow(_anchor_rows(find), "anchor long, text_key binary, at int"), "anchors")
+    # two places of equal hash would hide each other only where an anchor has no third one: 2**-64 for each anchor
+    place = F.xxhash64("text_key", "at") if within_text else F.xxhash64("text_key")
+    twice = found.groupBy("anchor").agg(F.min(place).alias("a"), F.max(place).alias("b"), F.count("*").alias("n")).where("a <> b").select("anchor", (F.col("n") > group).alias("large"))
     # sets merge before they are shuffled, so many copies of a text arrive as one
-    spots = found.join(twice, "anchor").groupBy("text_key").agg(F.collect_set(F.struct("anchor", "at")).alias("spots"))
-    spots = materialize(spots, "anchor-spots")
-    sizes = spots.select(F.explode("spots.anchor").alias("anchor")).groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > group).select("anchor")
-    if sizes.isEmpty():
-        return spots.select("text_key", F.transform("spots", lambda s: F.struct(s["anchor"].alias("anchor"), s["at"].alias("at"), F.lit(False).alias("large"))).alias("spots"))
-    each = spots.select("text_key", F.explode("spots").alias("s")).select("text_key", "s.*")
-    marked = each.join(sizes.withColumn("large", F.lit(True)), "anchor", "left")
-    return materialize(marked.groupBy("text_key").agg(F.collect_list(F.struct("anchor", "at", F.coalesce("large", F.lit(False)).alias("large"))).alias("spots")), "anchor-spots")
+    spots = found.join(twice, "anchor").groupBy("text_key").agg(F.collect_set(F.struct("anchor", "at", "large")).alias("spots"))
+    return materialize(spots, "anchor-spots")

@@ -8,8 +8,10 @@ sides together is a repeated string when it has ``LENGTH`` bytes.  All its place
 Aho-Corasick automata, one after the other for each shard of anchors, and runs all stretches of documents that can hold the shard's passages through them:
 the first run finds each passage's first document, the second takes every occurrence in later ones.
 
-Only stretches around shared anchors leave their document.  An anchor with very many places is settled without
-gathering them: its windows are counted by digest in a partial aggregation (``_by_windows``), the same result by other means.
+Only stretches around shared anchors leave their document.  An anchor with more than ``GROUP`` places is divided before it is sorted
+(``_divided``): the windows that it is the anchor of are cut into halves by their offset, again and again, and its stretches dealt by what all windows of a
+half have in common; stretches that are equal in a whole half are settled there and one of them goes on.  Each part is sorted, or
+run through automata, like a small anchor.
 
 Defined cases: null and empty texts lose nothing; texts shorter than a window lose nothing; copies of a text are judged as separate
 documents (rows with equal doc_id too, save that for words only a smaller doc_id counts); a null doc_id comes after all others; an
@@ -19,7 +21,9 @@ empty table gives an empty result; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+from array import array
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -28,6 +32,7 @@ from pyspark.sql import functions as F
 
 from sharetree.llm.anchors import GROUP, LAST, anchors, distinct_texts, shared_anchors, text_key
 from sharetree.llm.rolling import windows_hash, word_hashes
+from sharetree.llm.storage import materialize
 from sharetree.llm.suffix_sort import extents
 
 #: Bytes of a repeated string, and of the part that anchors hash.
@@ -36,11 +41,20 @@ LENGTH, SEED_BYTES = 400, 64
 WORDS, SEED_WORDS = 50, 10
 #: Characters of passages that one automaton holds.
 AUTOMATON_CHARS = 200_000
-SPANS = "text_key string, start int, stop int"
+SPANS = "text_key binary, start int, stop int"
+#: Bytes of stretches that wait for one automaton.
+HELD_BYTES = 32_000_000
+#: Tasks over which the members of one kind of stretch are dealt, where it is looked up.
+SALTS = 8
 #: A stretch around an anchor: ``places`` are the anchor's positions in the text, ``before`` the units before it.
-STRETCHES = "anchor long, large boolean, text_key string, doc long, places array<int>, before int, stretch binary"
+STRETCHES = "anchor long, large boolean, text_key binary, doc long, places array<int>, before int, stretch binary"
 _STRETCH_NAMES = [c.split()[0] for c in STRETCHES.split(", ")]
-_STRETCH_KINDS = [pa.int64(), pa.bool_(), pa.string(), pa.int64(), pa.list_(pa.int32()), pa.int32(), pa.binary()]
+_STRETCH_KINDS = [pa.int64(), pa.bool_(), pa.binary(), pa.int64(), pa.list_(pa.int32()), pa.int32(), pa.binary()]
+_SORTED = ["anchor", "text_key", "doc", "places", "before", "stretch"]
+#: A part of a large anchor: the windows that begin ``least`` to ``most`` units before it, where stretches agree in all that these have in common.
+PARTS = "anchor long, least int, most int, text_key binary, doc long, places array<int>, before int, stretch binary, size int, kind binary"
+_PART_NAMES = [c.split()[0] for c in PARTS.split(", ")]
+_PART_KINDS = [pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.list_(pa.int32()), pa.int32(), pa.binary(), pa.int32(), pa.binary()]
 
 
 def byte_anchors(length: int = LENGTH, seed: int = SEED_BYTES):
@@ -89,44 +103,56 @@ def _cut(words: bool, length: int, seed: int):
                         before = min(at, reach)
                         part = units[at - before : at + length]
                         rows.setdefault((spot["anchor"], spot["large"], key, doc, before, b" ".join(part) if words else part), []).append(at)
-                columns = [*zip(*((h, g, k, d, p, b, s) for (h, g, k, d, b, s), p in rows.items()))] or [[]] * 7
-                yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(columns, _STRETCH_KINDS)], names=_STRETCH_NAMES)
+                yield _batch([(h, g, k, d, p, b, s) for (h, g, k, d, b, s), p in rows.items()], _STRETCH_KINDS, _STRETCH_NAMES)
 
     return run
 
 
-def _by_anchor(batches: Iterator[pa.RecordBatch]) -> Iterator[list[dict]]:
-    """The rows of each anchor; they come sorted by it."""
-    held: list[dict] = []
-    for batch in (b.slice(a, 1000) for b in batches for a in range(0, b.num_rows, 1000)):
-        for row in batch.to_pylist():
-            if held and held[0]["anchor"] != row["anchor"]:
-                yield held
-                held = []
-            held.append(row)
+def _batch(rows: list[tuple], kinds: list[pa.DataType], names: list[str]) -> pa.RecordBatch:
+    columns = list(zip(*rows)) or [[]] * len(kinds)
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names=names)
+
+
+def _by_anchor(batches: Iterator[pa.RecordBatch]) -> Iterator[list[list]]:
+    """The columns of each anchor's rows, without the anchor; they come sorted by it."""
+    last, held = None, []
+    for batch in (b.slice(a, 2000) for b in batches for a in range(0, b.num_rows, 2000)):
+        at, columns = batch.column(0).to_numpy(), [c.to_pylist() for c in batch.columns[1:]]
+        cuts = [0, *(np.flatnonzero(at[1:] != at[:-1]) + 1).tolist(), len(at)]
+        for a, b in zip(cuts, cuts[1:]):
+            if held and at[a] == last:
+                for have, column in zip(held, columns):
+                    have += column[a:b]
+            else:
+                if held:
+                    yield held
+                last, held = at[a], [c[a:b] for c in columns]
     if held:
         yield held
 
 
-def _span_batch(spans: list[tuple[str, int, int]]) -> pa.RecordBatch:
-    columns = list(zip(*spans)) or [[]] * 3
-    return pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(columns, (pa.string(), pa.int32(), pa.int32()))], names=["text_key", "start", "stop"])
+def _kinds(stretches: list[bytes], befores: list[int]) -> dict[tuple[bytes, int], list[int]]:
+    """The rows of each different stretch."""
+    out: dict[tuple[bytes, int], list[int]] = {}
+    for i, kind in enumerate(zip(stretches, befores)):
+        out.setdefault(kind, []).append(i)
+    return out
+
+
+def _span_batch(spans: list[tuple[bytes, int, int]]) -> pa.RecordBatch:
+    return _batch(spans, [pa.binary(), pa.int32(), pa.int32()], ["text_key", "start", "stop"])
 
 
 def _repeated(length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        spans: list[tuple[str, int, int]] = []
-        for rows in _by_anchor(batches):
-            groups: dict[tuple[bytes, int], list[dict]] = {}
-            for row in rows:
-                groups.setdefault((row["stretch"], row["before"]), []).append(row)
-            kinds = list(groups)
+        spans: list[tuple[bytes, int, int]] = []
+        for keys, _, places, befores, stretches in _by_anchor(batches):
+            kinds = _kinds(stretches, befores)
             found = extents([s[:b][::-1] for s, b in kinds], [s[b:] for s, b in kinds], None, 1, length) if len(kinds) > 1 else [[]]
-            for (s, b), pairs in zip(kinds, found):
-                members = groups[s, b]
-                if len(members) > 1 or len(members[0]["places"]) > 1:  # the whole stretch stands at two places
-                    pairs = [*pairs, (b, len(s) - b)] if len(s) >= length else pairs
-                spans += [(m["text_key"], at - l, at + r) for m in members for at in m["places"] for l, r in pairs]
+            for ((s, b), members), pairs in zip(kinds.items(), found):
+                if len(s) >= length and (len(members) > 1 or len(places[members[0]]) > 1):  # the whole stretch stands at two places
+                    pairs = [(b, len(s) - b)]
+                spans += [(keys[m], at - l, at + r) for m in members for at in places[m] for l, r in pairs]
             if len(spans) > 20_000:
                 yield _span_batch(spans)
                 spans = []
@@ -135,92 +161,140 @@ def _repeated(length: int):
     return run
 
 
+class _Kind:
+    """A different stretch of an anchor, with the rows that have it: (doc, text_key, places)."""
+
+    __slots__ = ("stretch", "before", "rows", "first")
+
+    def __init__(self, stretch: bytes, before: int, rows: list[tuple]):
+        self.stretch, self.before, self.rows, self.first = stretch, before, rows, min(r[0] for r in rows)
+
+
 def _passages(length: int, automaton_chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        stretches: list[dict] = []
+        waiting: list[_Kind] = []
         shard: list[str] = []
-        size = 0
-        for rows in _by_anchor(batches):
-            if len({r["doc"] for r in rows}) < 2:
-                continue
-            passages = sorted(_confirmed(rows, length))
-            chars = sum(map(len, passages))
+        chars = held = 0
+        for keys, docs, places, befores, stretches in _by_anchor(batches):
+            kinds = [_Kind(*kind, [(docs[i], keys[i], places[i]) for i in rows]) for kind, rows in _kinds(stretches, befores).items()]
+            passages = sorted(_confirmed(kinds, length))
+            own, size = sum(map(len, passages)), sum(len(k.stretch) for k in kinds)
             if not passages:
                 continue
-            if size + chars > automaton_chars and shard:
-                yield _span_batch(_occurrences(stretches, shard))
-                stretches, shard, size = [], [], 0
-            if chars > automaton_chars:  # one anchor's passages in several automata, each of which sees all its stretches
-                for a in range(0, len(passages), max(1, len(passages) * automaton_chars // chars)):
-                    yield _span_batch(_occurrences(rows, passages[a : a + max(1, len(passages) * automaton_chars // chars)]))
+            if shard and (chars + own > automaton_chars or held + size > HELD_BYTES):
+                yield _span_batch(_occurrences(waiting, shard))
+                waiting, shard, chars, held = [], [], 0, 0
+            if own > automaton_chars:  # one anchor's passages in several automata, each of which sees all its stretches
+                step = max(1, len(passages) * automaton_chars // own)
+                for a in range(0, len(passages), step):
+                    yield _span_batch(_occurrences(kinds, passages[a : a + step]))
             else:
-                stretches, shard, size = stretches + rows, shard + passages, size + chars
-        yield _span_batch(_occurrences(stretches, shard) if shard else [])
+                waiting += kinds
+                shard += passages
+                chars, held = chars + own, held + size
+        yield _span_batch(_occurrences(waiting, shard) if shard else [])
 
     return run
 
 
-def _confirmed(rows: list[dict], length: int) -> set[str]:
+def _confirmed(kinds: list[_Kind], length: int) -> set[str]:
     """The passages of at least ``length`` words around the anchor that a stretch shares with one of a smaller doc_id."""
-    hashed = [word_hashes(np.frombuffer(r["stretch"], np.uint8)) for r in rows]
-    lefts = [h[: r["before"]][::-1].astype(">u8").tobytes() for h, r in zip(hashed, rows)]
-    rights = [h[r["before"] :].astype(">u8").tobytes() for h, r in zip(hashed, rows)]
+    words = [k.stretch.split(b" ") for k in kinds]
     out = set()
-    for row, pairs in zip(rows, extents(lefts, rights, [r["doc"] for r in rows], 8, length)):
-        if pairs:
-            words = row["stretch"].decode().split(" ")
-            out |= {" ".join(["", *words[row["before"] - l : row["before"] + r], ""]) for l, r in pairs}
-    return out
-
-
-def _occurrences(stretches: list[dict], passages: list[str]) -> list[tuple[str, int, int]]:
-    """Places of the passages in documents after each passage's first, by Aho-Corasick over all the stretches, which run through twice."""
+    if len(kinds) > 1:
+        if len(kinds) == 2:
+            unit, parts = 1, words
+        else:
+            unit, parts = 8, [word_hashes(np.frombuffer(k.stretch, np.uint8)) for k in kinds]
+        lefts, rights = [p[: k.before][::-1] for p, k in zip(parts, kinds)], [p[k.before :] for p, k in zip(parts, kinds)]
+        if unit == 8:
+            lefts, rights = [x.astype(">u8").tobytes() for x in lefts], [x.astype(">u8").tobytes() for x in rights]
+        for k, w, pairs in zip(kinds, words, extents(lefts, rights, [k.first for k in kinds], unit, length)):
+            out |= {b" ".join([b"", *w[k.before - l : k.before + r], b""]).decode() for l, r in pairs}
+    # a stretch that a second document has is a passage as a whole
+    return out | {f" {k.stretch.decode()} " for k, w in zip(kinds, words) if len(w) >= length and len(k.rows) > 1 and max(k.rows)[0] > k.first}
+
+
+def _occurrences(kinds: list[_Kind], passages: list[str]) -> list[tuple[bytes, int, int]]:
+    """Places of the passages in documents after each passage's first, by Aho-Corasick over all the different stretches."""
     import ahocorasick
 
-    automaton = ahocorasick.Automaton()
-    for i, p in enumerate(dict.fromkeys(passages)):
-        automaton.add_word(p, (i, len(p), p.count(" ") - 1))
+    automaton, passages = ahocorasick.Automaton(), list(dict.fromkeys(passages))
+    for i, p in enumerate(passages):
+        automaton.add_word(p, i)
     automaton.make_automaton()
-    first = [LAST] * len(passages)
-    for row in stretches:
-        doc = row["doc"]
-        for _, (i, _, _) in automaton.iter(f" {row['stretch'].decode()} "):
-            if doc < first[i]:
-                first[i] = doc
+    sizes, words = [len(p) for p in passages], [p.count(" ") - 1 for p in passages]
+    first, hits = [LAST] * len(passages), []
+    for k in kinds:
+        found = array("i")
+        for end, i in automaton.iter(f" {k.stretch.decode()} "):
+            found.append(end - sizes[i] + 1)
+            found.append(i)
+            if k.first < first[i]:
+                first[i] = k.first
+        hits.append(found)
     out = []
-    for row in stretches:
-        stretch, doc = f" {row['stretch'].decode()} ", row["doc"]
-        found = {(end - n + 1, words) for end, (i, n, words) in automaton.iter(stretch) if doc > first[i]}
-        if found:
-            word = np.cumsum(np.frombuffer(stretch.encode("utf-32-le"), "<u4") == 32) - 1 - row["before"]
-            for a, b in merge([(int(word[at]), int(word[at]) + words) for at, words in found]):
-                out += [(row["text_key"], at + a, at + b) for at in row["places"]]
+    for k, found in zip(kinds, hits):
+        if not found:
+            continue
+        word = np.cumsum(np.frombuffer(f" {k.stretch.decode()} ".encode("utf-32-le"), "<u4") == 32) - 1 - k.before
+        spots = [(int(word[at]), int(word[at]) + words[i], first[i]) for at, i in zip(found[::2], found[1::2])]
+        earlier = merge([(a, b) for a, b, doc in spots if doc < k.first])
+        later = merge([(a, b) for a, b, _ in spots])
+        for doc, key, places in k.rows:
+            out += [(key, at + a, at + b) for at in places for a, b in (later if doc > k.first else earlier)]
     return out
 
 
-def _windows(words: bool, length: int):
-    """A row for each window that has the anchor inside, with its digest."""
+def _halves(words: bool, length: int, divide: bool):
+    """The rows of both halves of each row's offsets (or of all of them, as a first step), cut to what the windows of the half can hold."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for row in batch.to_pylist():
-                units = row["stretch"].split(b" ") if words else row["stretch"]
-                parts = [units[i : i + length] for i in range(min(row["before"], len(units) - length) + 1)]
-                digests = [hashlib.blake2b(b" ".join(p) if words else p, digest_size=16).digest() for p in parts]
-                for at in row["places"]:
-                    starts = np.arange(len(parts), dtype=np.int32) + (at - row["before"])
-                    yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array([row["text_key"]] * len(parts), pa.string()), pa.array([row["doc"]] * len(parts), pa.int64()), pa.array(starts)], names=["digest", "text_key", "doc", "start"])
+        for batch in (b.slice(a, 1000) for b in batches for a in range(0, b.num_rows, 1000)):
+            rows = []
+            for anchor, low, high, key, doc, places, before, stretch in zip(*(c.to_pylist() for c in batch.columns)):
+                units = stretch.split(b" ") if words else stretch
+                mid = (low + high) // 2
+                for least, most in ((low, mid), (mid + 1, high)) if divide else ((low, high),):
+                    left, right = min(before, most), min(len(units) - before, length - least)
+                    if least > most or left + right < length:  # no window of the half lies in the stretch
+                        continue
+                    part, common = units[before - left : before + right], units[before - least : before + length - most]
+                    if words:
+                        part, common = b" ".join(part), b" ".join(common)
+                    name = hashlib.blake2b(b"%d %d %d " % (anchor, least, most) + common, digest_size=8).digest()
+                    kind = hashlib.blake2b(b"%d " % left + part, digest_size=16).digest()
+                    rows.append((int.from_bytes(name, "little", signed=True) if divide else anchor, least, most, key, doc, places, left, part, left + right, kind))
+            yield _batch(rows, _PART_KINDS, _PART_NAMES)
 
     return run
 
 
-def _by_windows(stretches: DataFrame, words: bool, length: int) -> DataFrame:
-    """Spans of the repeated windows of anchors with too many places for one task."""
-    rows = stretches.mapInArrow(_windows(words, length), "digest binary, text_key string, doc long, start int")
-    place = F.struct("text_key", "start")
-    seen = rows.groupBy("digest").agg(F.min("doc").alias("first"), F.min(place).alias("a"), F.max(place).alias("b")).where("a <> b").select("digest", "first")
-    found = rows.join(seen, "digest")
-    return (found.where("doc > first") if words else found).select("text_key", "start", (F.col("start") + length).cast("int").alias("stop"))
+def _divided(large: DataFrame, words: bool, length: int, reach: int, group: int) -> tuple[DataFrame, DataFrame]:
+    """Stretches of large anchors as parts of at most ``group`` different ones, and the spans that were settled on the way.
+
+    Each step halves the offsets of a part that is still larger; a part of one offset has one kind of stretch, so the steps are logarithmic in ``reach``.
+    Stretches equal over a whole part share all its windows: all of them (for words: those after the first document) lose the
+    stretch, and one goes on to meet the others.
+    """
+    rows = large.select("anchor", F.lit(0).alias("least"), F.lit(reach).alias("most"), "text_key", "doc", "places", "before", "stretch")
+    ready, settled, divide = [], [], False
+    while True:
+        cut = materialize(rows.mapInArrow(_halves(words, length, divide), PARTS), "anchor-parts")
+        place = F.struct("text_key", F.element_at("places", 1).alias("at"))
+        kinds = cut.groupBy("anchor", "kind").agg(F.sum(F.size("places")).alias("n"), F.min("doc").alias("first"), F.min(place).alias("chosen"))
+        parts = kinds.groupBy("anchor").agg(F.count("*").alias("kinds"))
+        salted = kinds.select("*", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+        known = cut.withColumn("salt", F.pmod(F.xxhash64("text_key", "places"), F.lit(SALTS)).cast("int")).join(salted, ["anchor", "kind", "salt"])
+        known = materialize(known.withColumns({"lost": F.col("doc") > F.col("first") if words else F.col("n") > 1, "goes_on": F.col("doc") == F.col("first") if words else place == F.col("chosen")}), "anchor-kinds")
+        start = F.explode(F.transform("places", lambda at: at - F.col("before")))
+        settled.append(known.where("lost").select("text_key", start.alias("start"), "size").select("text_key", "start", (F.col("start") + F.col("size")).alias("stop")))
+        rest = known.where("goes_on").join(parts.where("kinds > 1"), "anchor").select("anchor", "least", "most", "text_key", "doc", "places", "before", "stretch", "kinds")
+        ready.append(rest.where(F.col("kinds") <= group).select(*_SORTED))
+        rows = rest.where(F.col("kinds") > group).drop("kinds")
+        if rows.isEmpty():
+            return reduce(DataFrame.unionByName, ready), reduce(DataFrame.unionByName, settled)
+        divide = True
 
 
 def _spans(docs: DataFrame, words: bool, length: int, seed: int, group: int, automaton_chars: int) -> DataFrame:
@@ -231,18 +305,20 @@ def _spans(docs: DataFrame, words: bool, length: int, seed: int, group: int, aut
     # both uses of the texts read the same exchange
     stretches = texts.join(spots, "text_key", "left").mapInArrow(_cut(words, length, seed), STRETCHES)
     sort = _passages(length, automaton_chars) if words else _repeated(length)
-    small = stretches.where("not large") if _any_large(spots) else stretches
-    spans = small.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(sort, SPANS)
-    if _any_large(spots):
-        spans = spans.unionByName(_by_windows(stretches.where("large"), words, length))
+    settled = None
+    if spots.where(F.exists("spots", lambda s: s["large"])).isEmpty():
+        rows = stretches.select(*_SORTED)
+    else:
+        stretches = materialize(stretches, "stretches")
+        parts, settled = _divided(stretches.where("large"), words, length, length - seed, group)
+        rows = stretches.where("not large").select(*_SORTED).unionByName(parts)
+    spans = rows.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(sort, SPANS)
+    if settled is not None:
+        spans = spans.unionByName(settled)
     merged = spans.groupBy("text_key").agg(F.collect_set(F.struct("start", "stop")).alias("spans"))
     return texts.join(merged, "text_key", "left")
 
 
-def _any_large(spots: DataFrame) -> bool:
-    return not spots.where(F.exists("spots", lambda s: s["large"])).isEmpty()
-
-
 def merge(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     """Maximal runs that the spans cover."""
     out: list[tuple[int, int]] = []
@@ -266,7 +342,7 @@ def _kept(units, runs: list[tuple[int, int]]) -> list:
 def _judge(words: bool, length: int, digest: bool):
     """What is left of each text: for its first document and for the other ones that have it."""
     names = ["text_key", "first", "n_units", "n_removed", "n_spans", "kept", "all_removed", "all_kept"]
-    kinds = [pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_(), pa.string()]
+    kinds = [pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_(), pa.string()]
     show = (lambda x: hashlib.sha256(x).hexdigest()) if digest else (lambda x: x.decode("utf-8", "replace"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -284,9 +360,9 @@ def _judge(words: bool, length: int, digest: bool):
                 kept = b" ".join(w for p in parts for w in p) if words else b"".join(parts)
                 rest = b"" if whole else b" ".join(units) if words else data
                 rows.append((key, first, n, sum(b - a for a, b in runs), len(runs), show(kept), whole, show(rest) if copies > 1 else None))
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=names)
+            yield _batch(rows, kinds, names)
 
-    schema = "text_key string, first long, n_units long, n_removed long, n_spans long, kept string, all_removed boolean, all_kept string"
+    schema = "text_key binary, first long, n_units long, n_removed long, n_spans long, kept string, all_removed boolean, all_kept string"
     return lambda df: df.mapInArrow(run, schema)
 
 

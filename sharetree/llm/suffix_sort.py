@@ -150,11 +150,11 @@ def extents(lefts: list[bytes], rights: list[bytes], ranks: list[int] | None, un
                     out[x].append((l, r))
         return out
     order, shared = deep_shallow(rights)
-    by_left, left_shared = deep_shallow(lefts)
+    shared = [s - s % unit for s in shared]
+    by_left, _ = deep_shallow(lefts)
     place = [0] * n
     for i, x in enumerate(by_left):
         place[x] = i
-    del left_shared
     best = [-1] * n
     full = [len(x) // unit for x in lefts]
 
