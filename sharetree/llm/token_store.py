@@ -25,6 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -112,19 +113,23 @@ class Segment:
 class Encoder:
     """Ids of whole texts by the tokenizers library.
 
-    Text is cut where the pre-tokenizer of a byte-level BPE always cuts: before a single space or line feed between two
-    other characters.  The pieces of a batch that are new are encoded together, and their ids are kept for later
-    batches, in a table of bounded size.  Texts with other white space are encoded as they are.
+    Text is cut where the pre-tokenizer of a byte-level BPE always cuts: before each space or line feed, as long as no three stand
+    together and no two at the end.  A batch's pieces are cut and numbered as Arrow does dictionaries; those that are new are encoded together,
+    and their ids are kept for later batches, in a table of bounded size.  Texts with other white space are encoded as they are.
     """
 
+    #: Pieces in each of the two parts of the table; when the newer is full it becomes the older, and the older goes.
     KEEP = 1_000_000
+    #: Bytes of text that are cut and looked up at once.
+    BYTES = 1 << 23
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-        self.known: dict[str, bytes] = {}
+        self.newer: dict[bytes, bytes] = {}
+        self.older: dict[bytes, bytes] = {}
         self.piece_bytes = self._lengths() if self._byte_level(path) else None
         self.kind = "<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4"
 
@@ -147,49 +152,111 @@ class Encoder:
     def _ids(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn(self, pieces: list[str]) -> None:
-        for a in range(0, len(pieces), 2000):
-            some = pieces[a : a + 2000]
-            (ids,) = self._ids(["".join(some)])
-            ends = np.cumsum([len(p.encode()) for p in some])
+    def _learn(self, pieces: list[bytes]) -> None:
+        """Pieces that begin with white space and have more: joined ones are cut again where they begin."""
+        for a in range(0, len(pieces), 500):
+            some = pieces[a : a + 500]
+            (ids,) = self._ids([b"".join(some).decode()])
+            ends = np.cumsum([len(p) for p in some])
             cuts = np.searchsorted(np.cumsum(self.piece_bytes[ids]), ends, side="left") + 1
             blob, at, size = ids.astype(self.kind).tobytes(), 0, int(self.kind[-1])
             for p, cut in zip(some, (size * cuts).tolist()):
-                self.known[p] = blob[at:cut]
+                self.newer[p] = blob[at:cut]
                 at = cut
 
-    def __call__(self, texts: list[str]) -> list[np.ndarray]:
+    def _known(self, pieces: list[bytes]) -> list[bytes]:
+        """The ids of each piece, packed."""
+        if len(self.newer) > self.KEEP:
+            self.newer, self.older = {}, self.newer
+        newer, older = self.newer, self.older
+        found = [newer.get(p) for p in pieces]
+        fresh = [p for p, x in zip(pieces, found) if x is None]
+        if not fresh:
+            return found
+        if older:
+            again = [older.get(p) for p in fresh]
+            newer.update((p, x) for p, x in zip(fresh, again) if x is not None)
+            fresh = [p for p, x in zip(fresh, again) if x is None]
+        apart = [p for p in fresh if p[0] not in b" \n" or len(p) == 1]
+        for p, ids in zip(apart, self._ids([p.decode() for p in apart])):
+            newer[p] = ids.astype(self.kind).tobytes()
+        self._learn([p for p in fresh if p[0] in b" \n" and len(p) > 1])
+        return [newer[p] if x is None else x for p, x in zip(pieces, found)]
+
+    def __call__(self, texts: list[str] | pa.Array) -> list[np.ndarray]:
+        texts = pc.fill_null(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()), "")
         if self.piece_bytes is None:
-            return self._ids(texts)
-        split: list[list[str] | None] = []
-        odd: list[str] = []
-        for x in texts:
-            if not x or x[0].isspace() or x[-1].isspace() or "\0" in x:
-                split.append(None)
-                odd.append(x)
-                continue
-            pieces = x.replace(" ", "\0 ").replace("\n", "\0\n").split("\0")
-            # a piece of white space alone means a run of it, which is not cut; other white space may touch a cut
-            if " " in pieces or "\n" in pieces or any(c in x for c in _OTHER_SPACE):
-                split.append(None)
-                odd.append(x)
-            else:
-                split.append(pieces)
-        fresh = set().union(*(p for p in split if p)) - self.known.keys() if split else set()
-        if len(self.known) + len(fresh) > self.KEEP:
-            self.known = {}
-            fresh = set().union(*(p for p in split if p))
-        # every piece but a document's first begins with the cut's own character, so joined pieces are cut again there
-        heads = [p for p in fresh if p[0] not in " \n"]
-        for p, ids in zip(heads, self._ids(heads)):
-            self.known[p] = ids.astype(self.kind).tobytes()
-        self._learn([p for p in fresh if p[0] in " \n"])
-        whole, known = iter(self._ids(odd)), self.known
-        return [next(whole) if p is None else np.frombuffer(b"".join(map(known.__getitem__, p)), self.kind) for p in split]
-
-
-#: White space, as the pre-tokenizer's pattern has it, beside space and line feed.
-_OTHER_SPACE = tuple(c for c in map(chr, range(0x3001)) if c.isspace() and c not in " \n" or c == "\x85")
+            return self._ids(texts.to_pylist())
+        offsets, _ = _buffer(texts)
+        cuts = np.unique(np.searchsorted(offsets, np.arange(0, offsets[-1] + 1, self.BYTES))).tolist()
+        return [x for a, b in zip(cuts, [*cuts[1:], len(texts)]) for x in self._some(texts.slice(a, b - a))]
+
+    def _some(self, texts: pa.Array) -> list[np.ndarray]:
+        whole = _uncut(*_buffer(texts))
+        if not whole.any():
+            return self._by_pieces(texts)
+        odd, rest = iter(self._ids(texts.filter(pa.array(whole)).to_pylist())), iter(self._by_pieces(texts.filter(pa.array(~whole))))
+        return [next(odd) if x else next(rest) for x in whole.tolist()]
+
+    def _by_pieces(self, texts: pa.Array) -> list[np.ndarray]:
+        offsets, data = _buffer(texts)
+        if not len(data):
+            return [np.zeros(0, self.kind)] * len(texts)
+        cut = _SPACES[data]
+        cut[offsets[:-1][offsets[:-1] < offsets[1:]]] = True
+        starts = np.flatnonzero(cut)
+        bounds = np.append(starts, len(data)).astype(np.int32)
+        pieces = pa.Array.from_buffers(pa.binary(), len(starts), [None, pa.py_buffer(bounds), pa.py_buffer(data)]).dictionary_encode()
+        known, which = self._known(pieces.dictionary.to_pylist()), pieces.indices.to_numpy()
+        size = int(self.kind[-1])
+        lengths = np.fromiter(map(len, known), np.int64, len(known)) // size
+        ids, begins = np.frombuffer(b"".join(known), self.kind), np.cumsum(lengths) - lengths
+        own = lengths[which]
+        ends = np.cumsum(own)
+        out = ids[np.repeat(begins[which] - ends + own, own) + np.arange(ends[-1])]
+        stops = np.concatenate(([0], ends))[np.searchsorted(starts, offsets)]
+        return [out[a:b] for a, b in zip(stops[:-1].tolist(), stops[1:].tolist())]
+
+
+def _buffer(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Offsets (from 0) and bytes of an array of strings without nulls."""
+    if not len(texts):
+        return np.zeros(1, np.int64), np.zeros(0, np.uint8)
+    _, offsets, data = texts.buffers()
+    kind = np.int64 if pa.types.is_large_string(texts.type) else np.int32
+    offsets = np.frombuffer(offsets, kind)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64)
+    data = np.frombuffer(data, np.uint8)[offsets[0] : offsets[-1]] if data is not None else np.zeros(0, np.uint8)
+    return offsets - offsets[0], data
+
+
+def _uncut(offsets: np.ndarray, data: np.ndarray) -> np.ndarray:
+    """Which texts can't be cut before spaces and line feeds: those with other white space, three in a row, or two at the end."""
+    out = np.zeros(len(offsets) - 1, bool)
+    if not len(data):
+        return out
+    row = lambda at: np.searchsorted(offsets, at, side="right") - 1
+    space = _SPACES[data]
+    runs = np.flatnonzero(space[:-2] & space[1:-1] & space[2:])
+    runs = runs[row(runs) == row(runs + 2)]
+    out[row(runs)] = True
+    last, long = offsets[1:] - 1, np.diff(offsets) > 1
+    out[long] |= space[last[long]] & space[last[long] - 1]
+    out[row(np.flatnonzero(_OTHER[data]))] = True
+    leads = np.flatnonzero(_LEADS[data])
+    leads = leads[leads + 1 < len(data)]
+    pair = data[leads].astype(np.int64) << 8 | data[leads + 1]
+    out[row(leads[np.isin(pair, _PAIRS)])] = True
+    leads, pair = leads[leads + 2 < len(data)], pair[leads + 2 < len(data)]
+    out[row(leads[np.isin(pair << 8 | data[leads + 2], _TRIPLES)])] = True
+    return out
+
+
+#: White space, as the pre-tokenizer's pattern has it (and a few control characters to be safe), beside space and line feed, in UTF-8.
+_OTHER_SPACE = [c.encode() for c in map(chr, range(0x3001)) if (c.isspace() or c == "\x85") and c not in " \n"]
+_flags = lambda values: np.isin(np.arange(256), values)
+_SPACES, _OTHER = _flags([10, 32]), _flags([c[0] for c in _OTHER_SPACE if len(c) == 1])
+_LEADS = _flags([c[0] for c in _OTHER_SPACE if len(c) > 1])
+_PAIRS, _TRIPLES = (np.array([int.from_bytes(c) for c in _OTHER_SPACE if len(c) == n]) for n in (2, 3))
 
 _encoders: dict[str, Encoder] = {}
 
@@ -216,9 +283,8 @@ def _writer(tokenizer: str, end_id: int):
 
         for batch in batches:
             doc_ids, texts = batch.column(0).to_pylist(), batch.column(1)
-            for a in range(0, len(texts), 500):
-                some = [x or "" for x in texts.slice(a, 500).to_pylist()]
-                for doc_id, x in zip(doc_ids[a : a + 500], encode(some)):
+            for a in range(0, len(texts), 2000):
+                for doc_id, x in zip(doc_ids[a : a + 2000], encode(texts.slice(a, 2000))):
                     held += [x, end]
                     starts.append(n)
                     ids.append(doc_id)
@@ -256,7 +322,8 @@ def _reader(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             part, _, base, n, doc_ids, starts, codes = (batch.column(k)[i].as_py() for k in range(7))
             segment = Segment(codes)
             stops = starts[1:] + [n]
-            crcs = [zlib.crc32(segment.slice(a, b).astype("<u4").tobytes()) for a, b in zip(starts, stops)]
+            tokens = segment.slice(0, n).astype("<u4")
+            crcs = [zlib.crc32(tokens[a:b]) for a, b in zip(starts, stops)]
             at = np.array(starts, np.int64)
             yield pa.RecordBatch.from_arrays(
                 [pa.array([part] * len(at), pa.int32()), pa.array(doc_ids, pa.int64()), pa.array(at + base), pa.array(np.array(stops, np.int64) - at), pa.array(crcs, pa.int64())],
