@@ -8,10 +8,12 @@ Everything is iterative: sibling chains make binary trees thousands of nodes dee
 
 from __future__ import annotations
 
+import itertools
+from bisect import bisect_right
 from collections import Counter, defaultdict
 from dataclasses import dataclass
 
-from sharetree.plans.query import PathQuery, Walker, probe_bits
+from sharetree.plans.query import CHILD, DESCENDANT, PathQuery, QueryError, Step, Walker, compile_query, probe_bits
 
 NULL = ("_",)
 #: Counts are exact up to this; more is an error.
@@ -156,12 +158,19 @@ def unranked_dag(labels: list[str], depths: list[int]) -> tuple[list[tuple[str,
     of = [0] * len(labels)
     for i in reversed(range(len(labels))):
         of[i] = ids.setdefault((labels[i], tuple(of[k] for k in kids[i])), len(ids))
-    return list(ids), of[roots[0]]
+    return list(ids), of[roots[0]] if roots else -1
+
+
+def nothing() -> Grammar:
+    """The grammar of the empty forest."""
+    return Grammar(0, {0: [NULL]}, {0: 0})
 
 
 def binary_dag(labels: list[str], depths: list[int]) -> Grammar:
     """The minimal DAG of the first-child, next-sibling form: one template for each distinct subtree, one label in each."""
     kids, roots = from_tree(labels, depths)
+    if not roots:
+        return nothing()
     after = [-1] * len(labels)
     for some in [*kids, roots]:
         for a, b in zip(some, some[1:]):
@@ -176,7 +185,12 @@ def binary_dag(labels: list[str], depths: list[int]) -> Grammar:
 
 
 def hybrid_dag(labels: list[str], depths: list[int]) -> Grammar:
-    """The binary DAG of the unranked DAG: each distinct subtree's child list becomes a sibling chain, and chains share their tails."""
+    """The binary DAG of the unranked DAG: each distinct subtree's child list becomes a sibling chain, and chains share their tails.
+
+    For one tree; a forest with several roots has the binary DAG.
+    """
+    if depths.count(0) != 1:
+        return binary_dag(labels, depths)
     nodes, root = unranked_dag(labels, depths)
     bodies: dict = {}
     tails: dict[tuple, object] = {}
@@ -273,15 +287,15 @@ def inline_single(g: Grammar) -> Grammar:
     return Grammar(g.start, bodies, dict.fromkeys(bodies, 0))
 
 
-def digrams(g: Grammar, max_rank: int = 4, rounds: int = 50, least: int = 3) -> Grammar:
-    """Replace the most frequent pair of a label or template and one of its arguments by a template, again and again.
+def digrams(g: Grammar, max_rank: int = 4, rounds: int | None = None, least: int = 3) -> Grammar:
+    """Replace the most frequent pair of a label or template and one of its arguments by a template, while one occurs ``least`` times.
 
-    Starts from a plain grammar, so repeated subtrees are shared already.
+    Starts from a plain grammar, so repeated subtrees are shared already.  ``rounds``: a bound on the replacements, if any is wanted.
     """
     g = inline_single(g)
     bodies, ranks = {t: list(b) for t, b in g.bodies.items()}, dict(g.ranks)
     work = Grammar(g.start, bodies, ranks)
-    for r in range(rounds):
+    for r in itertools.count() if rounds is None else range(rounds):
         count: Counter = Counter()
         parsed = {t: _parsed(work, b) for t, b in bodies.items()}
         for t, (kids, _) in parsed.items():
@@ -428,8 +442,11 @@ def tree_size(g: Grammar) -> int:
     return count(g, user_walker([(0, None, True, 0, 0)]))
 
 
-def mark(g: Grammar, walker: Walker) -> Grammar:
-    """The grammar of the same tree with selected labels marked; at most one template for each (state, template)."""
+def mark(g: Grammar, walker: Walker, keep: bool = False, stats: dict | None = None) -> Grammar:
+    """The grammar of the same tree with selected labels marked; at most one template for each (state, template).
+
+    ``keep``: labels keep the filter bits that they carry.  ``stats`` takes the number of templates before unreachable ones go.
+    """
     memo = behaviours(g, walker)
     bodies, ranks = {}, {}
     for (t, q), _ in memo.items():
@@ -439,9 +456,11 @@ def mark(g: Grammar, walker: Walker) -> Grammar:
             if s[0] == "t":
                 s = ("t", (p, s[1]))
             elif s[0] in "lm":
-                s = ("m" if walker.rule(p, s[1], s[2] if len(s) > 2 else 0)[0] else "l", s[1])
+                s = ("m" if walker.rule(p, s[1], s[2] if len(s) > 2 else 0)[0] else "l", s[1], *(s[2:] if keep else ()))
             body.append(s)
         bodies[q, t], ranks[q, t] = body, g.ranks[t]
+    if stats is not None:
+        stats["made"] = len(bodies)
     return trim(Grammar((walker.start, g.start), bodies, ranks))
 
 
@@ -488,12 +507,13 @@ def gaps(g: Grammar, weigh=lambda s: 1) -> dict:
     return out
 
 
-def locate(g: Grammar, walker: Walker | None = None, limit: int | None = None, offsets: str = "lazy") -> list[int]:
+def locate(g: Grammar, walker: Walker | None = None, limit: int | None = None, offsets: str = "lazy", with_label: bool = False) -> list:
     """Pre-order numbers (from 1) of the selected nodes, in order.  Without a walker, of the marked nodes.
 
     ``lazy``: lengths bottom-up, then top-down into stretches that hold marks.  ``eager``: offset lists for every template, bottom-up.
-    ``limit``: only the first ones; stretches past them aren't entered.
+    ``limit``: only the first ones; stretches past them aren't entered.  ``with_label``: (number, label) of each.
     """
+    of = (lambda u, w: (u, w)) if with_label else (lambda u, w: u)
     marked = g if walker is None else mark(g, walker)
     table = gaps(marked)
     if offsets == "eager":
@@ -503,12 +523,12 @@ def locate(g: Grammar, walker: Walker | None = None, limit: int | None = None, o
             for s, places in zip(marked.bodies[t], table[t][1]):
                 for j, (gap, off, _) in enumerate(places):
                     if s[0] == "m" and j == 0:
-                        own[gap].append(off)
+                        own[gap].append((off, s[1]))
                     elif s[0] == "t":
-                        own[gap] += [off + x for x in lists[s[1]][j]]
+                        own[gap] += [(off + x, w) for x, w in lists[s[1]][j]]
             lists[t] = [sorted(x) for x in own]
-        return [x + 1 for x in lists[marked.start][0]][:limit]
-    out: list[int] = []
+        return [of(x + 1, w) for x, w in lists[marked.start][0]][:limit]
+    out: list = []
     # (template, first number of each gap, marks that come before each gap)
     todo = [(marked.start, (1,), (0,))]
     while todo:
@@ -517,7 +537,7 @@ def locate(g: Grammar, walker: Walker | None = None, limit: int | None = None, o
             if s[0] == "m":
                 gap, off, seen = places[0]
                 if limit is None or before[gap] + seen < limit:
-                    out.append(starts[gap] + off)
+                    out.append(of(starts[gap] + off, s[1]))
             elif s[0] == "t" and any(m for _, m in table[s[1]][0]):
                 ranks = tuple(before[gap] + seen for gap, _, seen in places)
                 if limit is None or min(r for r, (_, m) in zip(ranks, table[s[1]][0]) if m) < limit:
@@ -525,47 +545,67 @@ def locate(g: Grammar, walker: Walker | None = None, limit: int | None = None, o
     return sorted(out)
 
 
+def node_at(g: Grammar, pre: int, table: dict | None = None) -> tuple[object, str]:
+    """The template whose body makes the node with a pre-order number, and its label: one template a step, chosen by its stretches."""
+    table = gaps(g) if table is None else table
+    t, starts, u = g.start, (0,), pre - 1
+    while True:
+        for s, places in zip(g.bodies[t], table[t][1]):
+            if s[0] in "lm":
+                if starts[places[0][0]] + places[0][1] == u:
+                    return t, s[1]
+            elif s[0] == "t":
+                begins = tuple(starts[gap] + off for gap, off, _ in places)
+                if any(a <= u < a + n for a, (n, _) in zip(begins, table[s[1]][0])):
+                    t, starts = s[1], begins
+                    break
+        else:
+            raise IndexError(pre)
+
+
 # ---- traversals as string programs
 
 
 def traversal(g: Grammar) -> dict:
     """A string program of the bracket sequence: (template, gap) -> list of ("<", label), (">", label) or ("r", (template, gap)).
 
-    Closing brackets stand after the left child and before the right child, so the sequence is the unranked tree's XML.
+    Closing brackets stand after the left child and before the right child, so the sequence is the unranked tree's XML.  Brackets of
+    marked labels have a third entry.
     """
-    out: dict = {}
-    for t in g.order():
-        body, at, stack = g.bodies[t], 0, []
-        own: list[list[tuple]] = [[]]
+    return {(t, j): x for t in g.order() for j, x in enumerate(_traversed(g, t))}
 
-        def piece(i: int, gap: int, own=own, body=body) -> None:
-            s = body[i]
-            if s[0] == "t":
-                own[-1].append(("r", (s[1], gap)))
-            elif gap < 2:
-                own[-1].append(("<" if gap == 0 else ">", s[1]))
 
-        while at < len(body):
-            s = body[at]
-            if s[0] == "y":
-                own.append([])
-            elif s[0] != "_":
-                piece(at, 0)
-                if g.arity(s):
-                    stack.append([at, 1, g.arity(s)])
-                    at += 1
-                    continue
-            at += 1
-            while stack:
-                top = stack[-1]
-                piece(top[0], top[1])
-                top[1] += 1
-                if top[1] <= top[2]:
-                    break
-                stack.pop()
-        for j, x in enumerate(own):
-            out[t, j] = x
-    return out
+def _traversed(g: Grammar, t: object) -> list[list[tuple]]:
+    """The stretches of one template."""
+    body, at, stack = g.bodies[t], 0, []
+    own: list[list[tuple]] = [[]]
+
+    def piece(i: int, gap: int) -> None:
+        s = body[i]
+        if s[0] == "t":
+            own[-1].append(("r", (s[1], gap)))
+        elif gap < 2:
+            own[-1].append(("<" if gap == 0 else ">", s[1], *((True,) if s[0] == "m" else ())))
+
+    while at < len(body):
+        s = body[at]
+        if s[0] == "y":
+            own.append([])
+        elif s[0] != "_":
+            piece(at, 0)
+            if g.arity(s):
+                stack.append([at, 1, g.arity(s)])
+                at += 1
+                continue
+        at += 1
+        while stack:
+            top = stack[-1]
+            piece(top[0], top[1])
+            top[1] += 1
+            if top[1] <= top[2]:
+                break
+            stack.pop()
+    return own
 
 
 def program_size(p: dict) -> int:
@@ -592,6 +632,21 @@ def _lengths(p: dict) -> dict:
     return out
 
 
+def program_at(p: dict, start, i: int, lengths: dict | None = None) -> tuple:
+    """Token i: one part of a rule a step."""
+    lengths = _lengths(p) if lengths is None else lengths
+    x = ("r", start)
+    if not 0 <= i < lengths[start]:
+        raise IndexError(i)
+    while x[0] == "r":
+        for x in p[x[1]]:
+            n = lengths[x[1]] if x[0] == "r" else 1
+            if i < n:
+                break
+            i -= n
+    return x
+
+
 def program_tokens(p: dict, start, first: int = 0, last: int | None = None):
     """The tokens from ``first`` to ``last``; parts outside are skipped by their lengths."""
     lengths = _lengths(p)
@@ -618,31 +673,28 @@ def subtree(g: Grammar, pre: int, element_only: bool = True) -> Grammar:
 
     ``element_only``: without the node's later siblings (the right child of the binary form).
     """
-    table = gaps(g)
+    body = subtree_body(g, pre, gaps(g), element_only)
+    return trim(Grammar("__at", {**g.bodies, "__at": body}, {**g.ranks, "__at": 0}))
+
+
+def subtree_body(g: Grammar, pre: int, table: dict, element_only: bool = True) -> list:
+    """The body of the new start; ``table`` is ``gaps(g)``."""
     body, u = [("t", g.start)], pre - 1
-    work = Grammar("__at", dict(g.bodies), dict(g.ranks) | {"__at": 0})
 
     def inline(use: list) -> list:
-        t, args = use[0][1], []
-        kids, ends = _parsed(work, use)
-        for k in kids[0]:
-            args.append(use[k : ends[k]])
-        return [y for s in g.bodies[t] for y in (args[s[1] - 1] if s[0] == "y" else [s])]
+        kids, ends = _parsed(g, use)
+        args = [use[k : ends[k]] for k in kids[0]]
+        return [y for s in g.bodies[use[0][1]] for y in (args[s[1] - 1] if s[0] == "y" else [s])]
 
     while True:
-        work.bodies["__at"] = body
-        local = gaps_of(work, body, table)
-        kids, ends = _parsed(work, body)
+        local = gaps_of(g, body, table)
+        _, ends = _parsed(g, body)
         hit = next((i for i, s in enumerate(body) if s[0] in "lmt" and any(a <= u < a + n for a, n in local[i])), None)
         if hit is None:
             raise IndexError(pre)
         use = body[hit : ends[hit]]
         if body[hit][0] != "t":
-            if element_only:
-                k = _parsed(work, use)[0][0]
-                use = [*use[: k[1]], NULL]
-            work.bodies["__at"] = use
-            return trim(work)
+            return [*use[: _parsed(g, use)[0][0][1]], NULL] if element_only else use
         u -= local[hit][0][0]
         body = inline(use)
 
@@ -679,15 +731,25 @@ def gaps_of(g: Grammar, body: list, table: dict) -> list[list[tuple[int, int]]]:
 
 def subtrees_program(g: Grammar, numbers: list[int]) -> tuple[dict, object]:
     """One string program for the concatenated subtrees at the given pre-order numbers, any rank: a start body for each."""
-    program: dict = {}
-    refs = []
+    table, refs = gaps(g), []
+    program = traversal(g)
     for u in sorted(numbers):
-        s = subtree(g, u)
-        s = Grammar(("at", u), {(("at", u) if t == "__at" else t): b for t, b in s.bodies.items()}, {(("at", u) if t == "__at" else t): r for t, r in s.ranks.items()})
-        program |= traversal(s)
-        refs.append(("r", ((("at", u)), 0)))
+        own = Grammar(("at", u), {("at", u): subtree_body(g, u, table)}, g.ranks | {("at", u): 0})
+        program[("at", u), 0] = _traversed(own, ("at", u))[0]
+        refs.append(("r", (("at", u), 0)))
     program["__all"] = refs
-    return program, "__all"
+    return _reached(program, "__all"), "__all"
+
+
+def _reached(program: dict, start) -> dict:
+    """The rules of a string program that its start uses."""
+    out, todo = {start: program[start]}, [start]
+    while todo:
+        for x in program[todo.pop()]:
+            if x[0] == "r" and x[1] not in out:
+                out[x[1]] = program[x[1]]
+                todo.append(x[1])
+    return out
 
 
 def subtrees_program_dag(g: Grammar, numbers: list[int]) -> tuple[dict, object]:
@@ -695,80 +757,226 @@ def subtrees_program_dag(g: Grammar, numbers: list[int]) -> tuple[dict, object]:
     g = node_normal(g)
     program: dict = {}
     for t, body in g.bodies.items():
+        if body == [NULL]:
+            continue
         refs = [("r", ("list", s[1])) if s[0] == "t" else None for s in body[1:]]
         program["element", t] = [("<", body[0][1]), *([refs[0]] if refs[0] else []), (">", body[0][1])]
         program["list", t] = [("r", ("element", t)), *([refs[1]] if refs[1] else [])]
+    program["__all"] = [("r", ("element", t)) for t in elements_at(g, numbers)]
+    return program, "__all"
+
+
+def elements_at(g: Grammar, numbers: list[int]) -> list:
+    """The templates of the nodes with the given numbers, in order, in a grammar in node normal form.
+
+    All numbers go down together, so a sibling chain is walked once, however many of its nodes are wanted.
+    """
+    numbers = sorted(numbers)
     sizes = {t: x[0][0][0] for t, x in gaps(g).items()}
+    if numbers and not 1 <= numbers[0] <= numbers[-1] <= sizes[g.start]:
+        raise IndexError(numbers[-1])
     size = lambda s: sizes[s[1]] if s[0] == "t" else 0
-    refs = []
-    for u in sorted(numbers):
-        t, at = g.start, u - 1
-        while at:
-            _, left, right = g.bodies[t]
-            at -= 1
-            if at < size(left):
-                t = left[1]
+    out: list = [None] * len(numbers)
+    todo = [(g.start, 1, 0, len(numbers))] if numbers else []
+    while todo:
+        t, first, low, high = todo.pop()
+        _, left, right = g.bodies[t]
+        while low < high and numbers[low] == first:
+            out[low], low = t, low + 1
+        mid = bisect_right(numbers, first + size(left), low, high)
+        if low < mid:
+            todo.append((left[1], first + 1, low, mid))
+        if mid < high:
+            todo.append((right[1], first + 1 + size(left), mid, high))
+    return out
+
+
+class Balanced:
+    """Strings as nodes of balanced binary trees that share their parts; joining two costs the difference of their heights."""
+
+    def __init__(self) -> None:
+        self.ids: dict[tuple, int] = {}
+        self.parts: list[tuple] = []
+        #: height, tokens, opening brackets, change of depth, least depth after any token
+        self.facts: list[tuple[int, int, int, int, int]] = []
+
+    def _node(self, part: tuple, facts: tuple) -> int:
+        got = self.ids.setdefault(part, len(self.parts))
+        if got == len(self.parts):
+            self.parts.append(part)
+            self.facts.append(facts)
+        return got
+
+    def leaf(self, token: tuple) -> int:
+        step = 1 if token[0] == "<" else -1
+        return self._node(token, (0, 1, int(step > 0), step, step))
+
+    def pair(self, a: int, b: int) -> int:
+        (h, n, o, d, low), (k, m, p, e, least) = self.facts[a], self.facts[b]
+        return self._node((a, b), (max(h, k) + 1, n + m, o + p, d + e, min(low, d + least)))
+
+    def join(self, a: int | None, b: int | None) -> int | None:
+        if a is None or b is None:
+            return b if a is None else a
+        height = lambda x: self.facts[x][0]
+        if abs(height(a) - height(b)) < 2:
+            return self.pair(a, b)
+        if height(a) > height(b):
+            left, right = self.parts[a]
+            right = self.join(right, b)
+            if height(right) < height(left) + 2:
+                return self.pair(left, right)
+            x, y = self.parts[right]
+            if height(x) <= height(y):
+                return self.pair(self.pair(left, x), y)
+            u, v = self.parts[x]
+            return self.pair(self.pair(left, u), self.pair(v, y))
+        left, right = self.parts[b]
+        left = self.join(a, left)
+        if height(left) < height(right) + 2:
+            return self.pair(left, right)
+        x, y = self.parts[left]
+        if height(y) <= height(x):
+            return self.pair(x, self.pair(y, right))
+        u, v = self.parts[y]
+        return self.pair(self.pair(x, u), self.pair(v, right))
+
+    def cut(self, a: int, first: int, last: int) -> int | None:
+        """Tokens first to last of a node."""
+        n = self.facts[a][1]
+        if last <= 0 or first >= n:
+            return None
+        if first <= 0 and last >= n:
+            return a
+        left, right = self.parts[a]
+        n = self.facts[left][1]
+        return self.join(self.cut(left, first, last), self.cut(right, first - n, last - n))
+
+    def opening(self, a: int, u: int) -> int:
+        """Where the opening bracket number u (from 1) stands."""
+        at = 0
+        while self.facts[a][0]:
+            left, right = self.parts[a]
+            if u <= self.facts[left][2]:
+                a = left
             else:
-                at -= size(left)
-                t = right[1]
-        refs.append(("r", ("element", t)))
-    program["__all"] = refs
-    return program, "__all"
+                u, at, a = u - self.facts[left][2], at + self.facts[left][1], right
+        return at
 
+    def closing(self, a: int, first: int) -> int:
+        """Where the bracket that opens at ``first`` is closed."""
+        depth, todo = 0, [(a, 0)]
+        while todo:
+            x, at = todo.pop()
+            height, n, _, step, low = self.facts[x]
+            if at + n <= first:
+                continue
+            if at >= first and depth + low > 0:
+                depth += step
+            elif not height:
+                return at
+            else:
+                left, right = self.parts[x]
+                todo += [(right, at + self.facts[left][1]), (left, at)]
+        raise IndexError(first)
+
+
+def subtrees_program_balanced(g: Grammar, numbers: list[int]) -> tuple[dict, object]:
+    """The same by substrings of the whole tree's program, balanced first: O(log) new rules for each number, any rank."""
+    strings, program, of = Balanced(), traversal(g), {}
+    for t in reversed(g.order()):
+        for j in range(g.ranks[t] + 1):
+            of[t, j] = None
+            for x in program[t, j]:
+                of[t, j] = strings.join(of[t, j], of[x[1]] if x[0] == "r" else strings.leaf(x))
+    whole, roots = of[g.start, 0], []
+    for u in sorted(numbers):
+        a = strings.opening(whole, u)
+        roots.append(strings.cut(whole, a, strings.closing(whole, a) + 1))
+    out: dict = {"__all": [("r", x) for x in roots]}
+    todo = list(roots)
+    while todo:
+        x = todo.pop()
+        if x not in out:
+            part = strings.parts[x]
+            out[x] = [("r", y) for y in part] if strings.facts[x][0] else [part]
+            todo += part if strings.facts[x][0] else ()
+    return out, "__all"
 
-def serialize(g: Grammar, walker: Walker, nested: bool = True) -> list[tuple[int, str]]:
-    """(pre-order number, XML) of every selected node; one token sequence holds the outermost results, the others are stretches of it.
 
-    ``nested``: False leaves out results inside results.
+def serialize_spans(g: Grammar, walker: Walker, nested: bool = True) -> list[tuple[str, list[tuple[int, int, int]]]]:
+    """The XML of each outermost selected node, once, with (pre-order number, start, stop) of every selected node in it, in order.
+
+    Only stretches of the marked grammar that hold marks, or lie inside a result, are entered.  ``nested``: False leaves out results inside results.
     """
-    numbers = locate(g, walker)
-    if not numbers:
-        return []
-    out: list[tuple[int, str]] = []
-    wanted = set(numbers)
-    texts: list[str] = []
-    opened: list[tuple[int, int]] = []
-    pre = inside = 0
-    program = traversal(g)
-    spans: dict[int, tuple[int, int]] = {}
-    for x in program_tokens(program, (g.start, 0)):
-        if x[0] == "<":
-            pre += 1
-            hit = pre in wanted
-            if inside or hit:
-                opened.append((pre if hit else 0, len(texts)))
-                texts.append(token_text(x))
-                inside += 1
-        elif inside:
-            texts.append(token_text(x))
-            inside -= 1
-            n, first = opened.pop()
-            if n and (nested or not inside):
-                spans[n] = (first, len(texts))
-    for n in sorted(spans):
-        out.append((n, "".join(texts[spans[n][0] : spans[n][1]])))
+    marked = mark(g, walker)
+    program, facts = traversal(marked), _marks(marked)
+    out: list[tuple[str, list[tuple[int, int, int]]]] = []
+    parts: list[str] = []
+    spans: list[tuple[int, int, int]] = []
+    opened: list[tuple[int, int, int]] = []  # number, depth inside, first character
+    pre = depth = size = 0
+    todo: list[tuple] = [("r", (marked.start, 0))]
+    while todo:
+        x = todo.pop()
+        if x[0] == "r":
+            if opened or facts[x[1]][1]:
+                todo += reversed(program[x[1]])
+            else:  # the brackets outside of results count, their depth doesn't matter
+                pre += facts[x[1]][0]
+        elif x[0] == "<":
+            pre, depth = pre + 1, depth + 1
+            if len(x) > 2 and (nested or not opened):
+                opened.append((pre, depth, size))
+            if opened:
+                parts.append(token_text(x))
+                size += len(parts[-1])
+        else:
+            if opened:
+                parts.append(token_text(x))
+                size += len(parts[-1])
+                if depth == opened[-1][1]:
+                    u, _, first = opened.pop()
+                    spans.append((u, first, size))
+                    if not opened:
+                        out.append(("".join(parts), sorted(spans)))
+                        parts, spans, size = [], [], 0
+            depth -= 1
     return out
 
 
+def _marks(marked: Grammar) -> dict:
+    """(nodes, marks) of each stretch."""
+    return {(t, j): x for t, (own, _) in gaps(marked).items() for j, x in enumerate(own)}
+
+
+def serialize(g: Grammar, walker: Walker, nested: bool = True) -> list[tuple[int, str]]:
+    """(pre-order number, XML) of every selected node, cut from the texts of the outermost ones."""
+    return [(u, text[a:b]) for text, spans in serialize_spans(g, walker, nested) for u, a, b in spans]
+
+
 def serialized_size(g: Grammar, walker: Walker) -> int:
-    """Sum of the sizes (nodes) of all selected subtrees, without writing any: marks weighted by how many selected nodes hold each node.
+    """Sum of the sizes (nodes) of all selected subtrees, without writing any.
 
-    A node counts once for each selected ancestor or self, so the walk carries that number down: one pass over the located nodes' spans.
+    A node counts once for each selected node that holds it.  Each stretch of the marked grammar gives its nodes, by how many marked brackets it
+    leaves more open, and the sum over its nodes of the marked brackets that are open there; stretches are put together bottom-up.
     """
-    numbers = locate(g, walker)
-    if not numbers:
-        return 0
-    total, pre, i = 0, 0, 0
-    wanted, depth = set(numbers), []
-    for x in program_tokens(traversal(g), (g.start, 0)):
-        if x[0] == "<":
-            pre += 1
-            depth.append(pre in wanted)
-            i += depth[-1]
-            total += i
-        else:
-            i -= depth.pop()
-    return total
+    marked = mark(g, walker)
+    program, facts = traversal(marked), {}
+    for t in reversed(marked.order()):
+        for j in range(marked.ranks[t] + 1):
+            nodes = inside = total = 0
+            for x in program[t, j]:
+                if x[0] == "r":
+                    n, more, own = facts[x[1]]
+                    nodes, total, inside = nodes + n, total + own + n * inside, inside + more
+                elif x[0] == "<":
+                    inside += len(x) > 2
+                    nodes, total = nodes + 1, total + inside
+                else:
+                    inside -= len(x) > 2
+            facts[t, j] = (nodes, inside, total)
+    return facts[marked.start, 0][2]
 
 
 # ---- filters
@@ -779,8 +987,15 @@ def annotate(g: Grammar, query: PathQuery, mode: str = "table", stats: dict | No
 
     ``table``: templates specialised by the filter states of their slots, only for tuples that occur.  ``matrix``: the state at a
     template's root is first written as a constant and, for each slot, what each of its bits sets; tuples are specialised from that.
+    ``lift``: marks that move up, for filters of child steps.  ``auto``: the cheapest by ``filter_plan``.
     """
     probes = query.probes
+    if mode == "auto":
+        mode, costs = filter_plan(g, query)
+        if stats is not None:
+            stats |= {"mode": mode, "costs": costs}
+    if mode == "lift":
+        return _lifted(g, probes, stats)
     widths = [2 * len(p) for p in probes]
 
     def node(label: str, left: int, right: int) -> tuple[int, int]:
@@ -829,18 +1044,33 @@ def annotate(g: Grammar, query: PathQuery, mode: str = "table", stats: dict | No
                     stack.append((const | base, own))
             roots[t] = stack[0]
 
-    memo: dict = {}
-    bodies: dict = {}
-
     def root(t, slots):
-        if mode == "matrix":
-            const, rows = roots[t]
-            for (i, b), gives in rows.items():
-                if slots[i - 1] >> b & 1:
-                    const |= gives
-            return const
-        return memo.get((t, slots))
+        const, rows = roots[t]
+        for (i, b), gives in rows.items():
+            if slots[i - 1] >> b & 1:
+                const |= gives
+        return const
+
+    def noted(s: tuple, left: int, right: int) -> tuple[int, tuple]:
+        state, held = node(s[1], left, right)
+        return state, (s[0], s[1], held)
+
+    out = _specialised(g, noted, root if mode == "matrix" else None)
+    if stats is not None:
+        by: dict = defaultdict(int)
+        for t, _ in out.bodies:
+            by[t] += 1
+        stats |= {"templates": len(g.bodies), "specialised": len(out.bodies), "most_tuples": max(by.values()), "bits": total}
+    return trim(out)
+
+
+def _specialised(g: Grammar, node, root=None) -> Grammar:
+    """Templates for each tuple of slot states that occurs: ``node(symbol, left, right)`` gives a state and the new symbol, 0 is the state of an absent node.
 
+    ``root(template, slots)``: the state at a template's root where it is known beforehand.
+    """
+    memo: dict = {}
+    bodies: dict = {}
     todo = [(g.start, ())]
     while todo:
         t, slots = key = todo[-1]
@@ -855,16 +1085,15 @@ def annotate(g: Grammar, query: PathQuery, mode: str = "table", stats: dict | No
                 stack.append(slots[s[1] - 1])
             elif s[0] == "t":
                 args = tuple(stack.pop() for _ in range(g.ranks[s[1]]))
-                got = root(s[1], args)
+                got = root(s[1], args) if root else memo.get((s[1], args))
                 if got is None:
                     wait = (s[1], args)
                     break
                 stack.append(got)
                 s = ("t", (s[1], args))
             else:
-                state, held = node(s[1], stack.pop(), stack.pop())
+                state, s = node(s, stack.pop(), stack.pop())
                 stack.append(state)
-                s = (s[0], s[1], held)
             body.append(s)
         if wait:
             todo.append(wait)
@@ -872,9 +1101,64 @@ def annotate(g: Grammar, query: PathQuery, mode: str = "table", stats: dict | No
         todo.pop()
         memo[key], bodies[key] = stack[0], body[::-1]
         todo += [s[1] for s in body if s[0] == "t" and s[1] not in bodies]
+    return Grammar((g.start, ()), bodies, {(t, s): g.ranks[t] for t, s in bodies})
+
+
+def _lifted(g: Grammar, probes: tuple, stats: dict | None) -> Grammar:
+    """Filters of child steps by marks that move up: the last nodes of a filter's path are marked from above, by the path as a query of its own, and marks then
+    move to the parents, a step at a time.  A template is copied for those of its slots' sibling chains that have a mark."""
+    copies = 0
+    for bit, path in enumerate(probes):
+        if any(s.axis != CHILD for s in path):
+            raise QueryError("lifting takes filters of child steps only")
+        g = mark(g, compile_query(PathQuery((Step(DESCENDANT, path[0].test), *path[1:]))), keep=True)
+        for k in reversed(range(len(path))):
+
+            def up(s: tuple, left: int, right: int, last: bool = not k, bit: int = bit) -> tuple[int, tuple]:
+                held = s[2] if len(s) > 2 else 0
+                # the state: this node, or a later sibling, is marked; a parent sees it in its first child's
+                return int(s[0] == "m" or right), (("l", s[1], held | left << bit) if last else ("m" if left else "l", s[1], held))
+
+            wide = _specialised(g, up)
+            copies += len(wide.bodies) - len({t for t, _ in wide.bodies})
+            g = trim(wide)
     if stats is not None:
-        by: dict = defaultdict(int)
-        for t, _ in bodies:
-            by[t] += 1
-        stats |= {"templates": len(g.bodies), "specialised": len(bodies), "most_tuples": max(by.values()), "bits": total}
-    return trim(Grammar((g.start, ()), bodies, {(t, s): g.ranks[t] for t, s in bodies}))
+        stats |= {"copies": copies, "templates": len(g.bodies)}
+    return g
+
+
+def filter_plan(g: Grammar, query: PathQuery) -> tuple[str, dict[str, int]]:
+    """The cheapest way to put a query's filters on a grammar, and what each is expected to cost: bounds by size, rank and state bits.
+
+    Tables pay for every tuple of slot states, matrices for the bits of each slot, lifting (child steps only) for one bit a slot and a pass a step.
+    """
+    bits, k, size = sum(2 * len(p) for p in query.probes), g.rank(), max(1, g.edges())
+    costs = {"table": size << min(bits * k, 200), "matrix": size * bits * (k * bits + 1)}
+    if all(s.axis == CHILD for p in query.probes for s in p):
+        costs["lift"] = (size << k) * sum(len(p) for p in query.probes)
+    return min(costs, key=costs.__getitem__), costs
+
+
+# ---- grammars as arrays
+
+
+def encode(g: Grammar) -> tuple[list[str], list[int], list[int], list[int]]:
+    """Labels, and for each template in order of use (the start first) its rank, its body's length and its symbols.
+
+    A symbol is one number: 0 an absent node, 3 i + 1 label i, 3 i + 2 template i, 3 i slot i (from 1).
+    """
+    order = [g.start, *(t for t in g.order() if t != g.start)]
+    number = {t: i for i, t in enumerate(order)}
+    labels: dict[str, int] = {}
+    code = {"_": lambda s: 0, "y": lambda s: 3 * s[1], "l": lambda s: 3 * labels.setdefault(s[1], len(labels)) + 1, "t": lambda s: 3 * number[s[1]] + 2}
+    symbols = [code[s[0]](s) for t in order for s in g.bodies[t]]
+    return list(labels), [g.ranks[t] for t in order], [len(g.bodies[t]) for t in order], symbols
+
+
+def decode(labels: list[str], ranks: list[int], lengths: list[int], symbols: list[int]) -> Grammar:
+    kinds = ([NULL, *(("y", i) for i in range(1, max(ranks, default=0) + 1))], [("l", w) for w in labels], [("t", i) for i in range(len(ranks))])
+    body = [kinds[c % 3][c // 3] for c in symbols]
+    bodies, at = {}, 0
+    for t, n in enumerate(lengths):
+        bodies[t], at = body[at : at + n], at + n
+    return Grammar(0, bodies, dict(enumerate(ranks)))

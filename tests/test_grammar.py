@@ -76,7 +76,8 @@ def test_all_methods_on_random_trees(seed):
         text = random_query(r)
         query, want = Q.parse(text), [i + 1 for i in brute(text, labels, depths)]
         for g in (plain, higher, hybrid):
-            for mode in ("table", "matrix"):
+            lifts = all(s.axis == Q.CHILD for p in query.probes for s in p)
+            for mode in ("table", "matrix", "auto", *(["lift"] if lifts else [])):
                 noted = G.annotate(g, query, mode) if query.probes else g
                 w = Q.compile_query(query)
                 assert G.count(noted, w) == len(want)
@@ -90,12 +91,70 @@ def test_all_methods_on_random_trees(seed):
         noted = G.annotate(higher, query) if query.probes else higher
         assert G.serialized_size(noted, Q.compile_query(query)) == sum(size(u - 1) for u in want)
         some = sorted(r.sample(range(1, len(labels) + 1), min(4, len(labels))))
-        for program, start in (G.subtrees_program(higher, some), G.subtrees_program_dag(plain, some), G.subtrees_program_dag(hybrid, some)):
+        for program, start in (G.subtrees_program(higher, some), G.subtrees_program_dag(plain, some), G.subtrees_program_dag(hybrid, some), G.subtrees_program_balanced(higher, some)):
             assert "".join(map(G.token_text, G.program_tokens(program, start))) == "".join(xml(labels, depths, u - 1) for u in some)
     program = G.traversal(higher)
     whole = list(G.program_tokens(program, (higher.start, 0)))
     assert len(whole) == 2 * len(labels) == G.program_length(program, (higher.start, 0))
     assert list(G.program_tokens(program, (higher.start, 0), 3, 9)) == whole[3:9]
+    assert [G.program_at(program, (higher.start, 0), i) for i in range(len(whole))] == whole
+    for g in (plain, higher, hybrid):
+        assert [G.node_at(g, u)[1] for u in range(1, len(labels) + 1)] == labels
+        back = G.decode(*G.encode(g))
+        assert not G.validate(back) and G.expand(back) == G.expand(plain) and back.edges() == g.edges()
+    full = G.digrams(plain)
+    assert not G.validate(full) and G.expand(full) == G.expand(plain)
+    with pytest.raises(IndexError):
+        G.node_at(higher, len(labels) + 1)
+
+
+def test_the_empty_forest():
+    for g in (G.binary_dag([], []), G.hybrid_dag([], []), G.digrams(G.binary_dag([], []))):
+        w = Q.compile_query("//a")
+        assert not G.validate(g) and G.count(g, w) == G.serialized_size(g, w) == 0 and G.locate(g, w) == G.serialize(g, w) == []
+        assert G.annotate(g, Q.parse("//a[./b]")).bodies and G.decode(*G.encode(g)).bodies == {0: [G.NULL]}
+
+
+def test_several_roots():
+    labels, depths = list("abacab"), [0, 1, 0, 1, 0, 1]
+    for g in (G.binary_dag(labels, depths), G.hybrid_dag(labels, depths), G.digrams(G.binary_dag(labels, depths), least=2)):
+        assert G.tree_size(g) == 6 and G.locate(g, Q.user_walker([(0, None, True, 0, 0)]), with_label=True) == list(enumerate(labels, 1))
+
+
+def test_serializing_does_not_expand_the_tree():
+    g, leaf = G.chain("a", 40), Q.compile_query("//e")
+    assert G.serialize(g, leaf) == [(2**40 + 1, "<e></e>")] and G.serialized_size(g, leaf) == 1
+    assert G.serialized_size(G.chain("a", 100), Q.compile_query("/a")) == 2**100 + 1
+    assert G.node_at(g, 2**40 + 1)[1] == "e"
+    program, start = G.subtrees_program_balanced(g, [2**39, 2**40 + 1])
+    assert G.program_length(program, start) == 2 * (2**40 + 1 - 2**39 + 1) + 2 and len(program) < 2000
+
+
+def test_spans_of_nested_results():
+    labels, depths = list("abab"), [0, 1, 2, 3]
+    ((text, spans),) = G.serialize_spans(G.binary_dag(labels, depths), Q.compile_query("//b"))
+    assert text == "<b><a><b></b></a></b>" and [(u, text[a:b]) for u, a, b in spans] == [(2, text), (4, "<b></b>")]
+    assert [len(s) for _, s in G.serialize_spans(G.binary_dag(labels, depths), Q.compile_query("//b"), nested=False)] == [1]
+
+
+def test_subtrees_of_a_long_sibling_chain():
+    labels, depths = ["r"] + ["x", "y"] * 3000, [0] + [1] * 6000
+    program, start = G.subtrees_program_dag(G.binary_dag(labels, depths), list(range(2, 6002)))
+    assert G.program_length(program, start) == 12_000
+    assert len(G.serialize(G.binary_dag(labels, depths), Q.compile_query("//x"))) == 3000
+
+
+def test_the_plan_of_filters():
+    r = random.Random(4)
+    labels, depths = tree(r, depth=6)
+    plain, higher = G.binary_dag(labels, depths), G.digrams(G.binary_dag(labels, depths), least=2)
+    query = Q.parse("//a[./b/c/d]/b")
+    assert G.filter_plan(plain, query)[0] == "table" and G.filter_plan(higher, query)[0] == "lift" and G.filter_plan(higher, Q.parse("//a[.//b/c/d]/b"))[0] == "matrix"
+    stats: dict = {}
+    G.annotate(higher, query, "lift", stats)
+    assert stats["copies"] >= 0
+    with pytest.raises(Q.QueryError):
+        G.annotate(higher, Q.parse("//a[.//b]"), "lift")
 
 
 def library():
