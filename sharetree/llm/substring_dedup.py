@@ -302,16 +302,12 @@ def _spans(docs: DataFrame, words: bool, length: int, seed: int, group: int, aut
     find = word_anchors(length, seed) if words else byte_anchors(length, seed)
     texts = distinct_texts(docs)
     spots = shared_anchors(docs, find, 2 * length - 1 if words else length, not words, group)
-    # both uses of the texts read the same exchange
-    stretches = texts.join(spots, "text_key", "left").mapInArrow(_cut(words, length, seed), STRETCHES)
+    stretches = materialize(texts.join(spots, "text_key", "left").mapInArrow(_cut(words, length, seed), STRETCHES), "stretches")
     sort = _passages(length, automaton_chars) if words else _repeated(length)
-    settled = None
-    if spots.where(F.exists("spots", lambda s: s["large"])).isEmpty():
-        rows = stretches.select(*_SORTED)
-    else:
-        stretches = materialize(stretches, "stretches")
+    rows, settled = stretches.where("not large").select(*_SORTED), None
+    if not stretches.where("large").isEmpty():
         parts, settled = _divided(stretches.where("large"), words, length, length - seed, group)
-        rows = stretches.where("not large").select(*_SORTED).unionByName(parts)
+        rows = rows.unionByName(parts)
     spans = rows.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(sort, SPANS)
     if settled is not None:
         spans = spans.unionByName(settled)
