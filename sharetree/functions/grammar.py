@@ -137,6 +137,18 @@ def expand(g: Grammar, most: int = 10_000_000) -> list[tuple]:
     return out
 
 
+def tree_of(g: Grammar) -> tuple[list[str], list[int]]:
+    """Labels and depths of the tree in pre-order."""
+    labels, depths, todo = [], [], [0]
+    for s in expand(g):
+        d = todo.pop()
+        if s[0] != "_":
+            labels.append(s[1])
+            depths.append(d)
+            todo += (d, d + 1)
+    return labels, depths
+
+
 # ---- trees and plain grammars
 
 
@@ -1055,8 +1067,9 @@ def annotate(g: Grammar, query: PathQuery, mode: str = "table", stats: dict | No
         state, held = node(s[1], left, right)
         return state, (s[0], s[1], held)
 
-    out = _specialised(g, noted, root if mode == "matrix" else None)
+    out, state = _specialised(g, noted, root if mode == "matrix" else None)
     if stats is not None:
+        stats["root"] = state
         by: dict = defaultdict(int)
         for t, _ in out.bodies:
             by[t] += 1
@@ -1064,8 +1077,9 @@ def annotate(g: Grammar, query: PathQuery, mode: str = "table", stats: dict | No
     return trim(out)
 
 
-def _specialised(g: Grammar, node, root=None) -> Grammar:
-    """Templates for each tuple of slot states that occurs: ``node(symbol, left, right)`` gives a state and the new symbol, 0 is the state of an absent node.
+def _specialised(g: Grammar, node, root=None) -> tuple[Grammar, int]:
+    """Templates for each tuple of slot states that occurs, and the state at the root: ``node(symbol, left, right)`` gives a state and the new symbol, 0 is the
+    state of an absent node.
 
     ``root(template, slots)``: the state at a template's root where it is known beforehand.
     """
@@ -1101,7 +1115,7 @@ def _specialised(g: Grammar, node, root=None) -> Grammar:
         todo.pop()
         memo[key], bodies[key] = stack[0], body[::-1]
         todo += [s[1] for s in body if s[0] == "t" and s[1] not in bodies]
-    return Grammar((g.start, ()), bodies, {(t, s): g.ranks[t] for t, s in bodies})
+    return Grammar((g.start, ()), bodies, {(t, s): g.ranks[t] for t, s in bodies}), memo[g.start, ()]
 
 
 def _lifted(g: Grammar, probes: tuple, stats: dict | None) -> Grammar:
@@ -1119,7 +1133,7 @@ def _lifted(g: Grammar, probes: tuple, stats: dict | None) -> Grammar:
                 # the state: this node, or a later sibling, is marked; a parent sees it in its first child's
                 return int(s[0] == "m" or right), (("l", s[1], held | left << bit) if last else ("m" if left else "l", s[1], held))
 
-            wide = _specialised(g, up)
+            wide, _ = _specialised(g, up)
             copies += len(wide.bodies) - len({t for t, _ in wide.bodies})
             g = trim(wide)
     if stats is not None:

@@ -15,7 +15,7 @@ from sharetree.sources.forests import Forest, nodes
 def structural(forest: Forest, query: str) -> DataFrame:
     """unit and pre of the nodes that a query, entered at the units' roots, selects: one join a step, an interval join for descendants."""
     steps = parse(query).steps
-    tree = nodes(forest).select("unit", "pre", "parent_pre", "size", "label")
+    tree = nodes(forest, keyed=True).select("unit", "top", "before", "pre", "parent_pre", "size", "label")
     now = None
     for s in steps:
         own = tree if s.test == "*" else tree.where(F.col("label") == s.test)
@@ -23,7 +23,7 @@ def structural(forest: Forest, query: str) -> DataFrame:
             now = own.where("parent_pre is null") if s.axis == CHILD else own if s.axis == DESCENDANT else own.where("false")
         else:
             a, b = now.alias("a"), own.alias("b")
-            same = F.col("a.unit") == F.col("b.unit")
+            same = (F.col("a.top") == F.col("b.top")) & (F.col("a.before") == F.col("b.before"))
             if s.axis == CHILD:
                 near = same & (F.col("b.parent_pre") == F.col("a.pre"))
             elif s.axis == DESCENDANT:
@@ -41,10 +41,10 @@ def _lifted(tree: DataFrame, context: DataFrame, probe) -> DataFrame:
     if any(s.axis != CHILD for s in probe):
         raise QueryError("lifting takes filters of child steps only")
     test = lambda s: F.lit(True) if s.test == "*" else F.col("label") == s.test
-    marks = tree.where(test(probe[-1])).select("unit", F.col("parent_pre").alias("pre")).distinct()
+    marks = tree.where(test(probe[-1])).select("top", "before", F.col("parent_pre").alias("pre")).distinct()
     for s in reversed(probe[:-1]):
-        marks = tree.where(test(s)).join(marks, ["unit", "pre"], "left_semi").select("unit", F.col("parent_pre").alias("pre")).distinct()
-    return context.join(marks, ["unit", "pre"], "left_semi")
+        marks = tree.where(test(s)).join(marks, ["top", "before", "pre"], "left_semi").select("top", "before", F.col("parent_pre").alias("pre")).distinct()
+    return context.join(marks, ["top", "before", "pre"], "left_semi")
 
 
 def paths(forest: Forest, query: str) -> DataFrame:
@@ -56,7 +56,7 @@ def paths(forest: Forest, query: str) -> DataFrame:
         for batch in batches:
             counts = []
             for labels, depths in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-                way, n = [1], 0
+                way, n = [1], 0  # the states along the way down; 1 is the automaton's first
                 for w, d in zip(labels, depths):
                     del way[d + 1 :]
                     q = rules[way[-1], w if w in names else None]

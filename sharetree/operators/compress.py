@@ -29,8 +29,9 @@ def unit_pieces(labels: list[str], depths: list[int], kind: str) -> dict[bytes,
     kids, roots = G.from_tree(labels, depths)
     element, out = [b""] * len(labels), {}
     tails: list[bytes] = [b""] * len(labels)
-    for i in reversed(range(len(labels))):
-        w, own = labels[i].encode(), kids[i]
+    # several roots are a sibling chain, whose digests its element names; the root of one tree has no chain of its own in the hybrid
+    for i in [*reversed(range(len(labels))), *([-1] if kind != "unranked" and roots and (kind == "binary" or len(roots) > 1) else [])]:
+        w, own = labels[i].encode() if i >= 0 else b"", kids[i] if i >= 0 else roots
         if kind == "unranked":
             element[i] = _digest(w, *(element[k] for k in own))
             out[element[i]] = len(own)
@@ -41,12 +42,11 @@ def unit_pieces(labels: list[str], depths: list[int], kind: str) -> dict[bytes,
             name = _digest(labels[k].encode(), left, tail) if kind == "binary" else _digest(b"chain", left, tail)
             out[name] = bool(tail) + (kind == "binary" and bool(left))
             tail = name
-        tails[i] = tail
-        if kind == "hybrid":
-            element[i] = _digest(b"element", w, tail)
-            out[element[i]] = int(bool(own))
-    if kind == "binary":
-        out[_digest(labels[0].encode(), tails[0], b"")] = int(bool(tails[0]))
+        if i >= 0:
+            tails[i] = tail
+            if kind == "hybrid":
+                element[i] = _digest(b"element", w, tail)
+                out[element[i]] = int(bool(own))
     return out
 
 
@@ -63,7 +63,7 @@ def _pieces(kind: str):
 
 def sharing(forest: Forest, kind: str) -> DataFrame:
     """One row: edges of the units' trees, and edges and nodes of what is left when the corpus shares them."""
-    trees = forest.units.agg(F.sum(F.size("labels") - 1).cast("long").alias("tree_edges"), F.lit(1).alias("k"))
+    trees = forest.units.agg(F.sum(F.greatest(F.size("labels") - 1, F.lit(0))).cast("long").alias("tree_edges"), F.lit(1).alias("k"))
     pieces = forest.units.select("labels", "depths").mapInArrow(_pieces(kind), PIECES)
     shared = pieces.groupBy("digest").agg(F.first("edges").alias("edges")).agg(F.sum("edges").cast("long").alias("shared_edges"), F.count("*").cast("long").alias("shared_nodes"), F.lit(1).alias("k"))
     return trees.join(shared, "k").drop("k")

@@ -32,7 +32,8 @@ class Step:
     probes: tuple[tuple["Step", ...], ...] = ()
 
     def accepts(self, label: str) -> bool:
-        return self.test in ("*", label)
+        # a label with a constant (``constants``) is still one of its name
+        return self.test in ("*", label) or ("=" in label and "=" not in self.test and label.startswith((self.test + "@", self.test + "#")))
 
 
 @dataclass(frozen=True)
@@ -49,6 +50,8 @@ class PathQuery:
         return frozenset(s.test for s in self.steps if s.test != "*") | {s.test for p in self.probes for s in p if s.test != "*"}
 
 
+#: A comparison with an attribute's value, or with an element's own text.
+_CONSTANT = re.compile(r"@([A-Za-z][A-Za-z0-9-]*)='([^']*)'|text\(\)='([^']*)'")
 _STEP = re.compile(r"(//?)(?:([a-z-]+)::)?(\*|[^/\[\]:]+)")
 
 
@@ -71,6 +74,11 @@ def _steps(text: str, filters: bool) -> tuple[Step, ...]:
                 raise QueryError("a filter inside a filter")
             end = text.find("]", at)
             inner = text[at + 1 : end]
+            if constant := _CONSTANT.fullmatch(inner):
+                if test == "*" or "=" in test or probes:
+                    raise QueryError("one constant a step, on a name, before its filters")
+                test, at = f"{test}@{constant[1]}={constant[2]}" if constant[1] else f"{test}#={constant[3]}", end + 1
+                continue
             if end < 0 or not inner.startswith("./"):
                 raise QueryError("a filter is [./path] or [.//path]")
             if "[" in inner:
@@ -154,6 +162,7 @@ class StepWalker(Walker):
         steps = self.query.steps
         waiting = [i for i in range(len(steps)) if key[0] >> i & 1]
         left, right, selects = {i for i in waiting if steps[i].axis == DESCENDANT}, set(waiting), False
+        label = "\0" if key[1] is None else label  # one rule for all labels without a name in the query
         for i in waiting:
             if steps[i].accepts(label) and not self.need[i] & ~key[2]:
                 if i + 1 == len(steps):
@@ -191,13 +200,46 @@ def depth_mod(m: int, c: int) -> Walker:
     return user_walker([(q, None, q == c % m, (q + 1) % m, q) for q in range(m)])
 
 
+def constants(query: PathQuery | str) -> frozenset[str]:
+    """The labels with constants that a query asks for: ``name@attribute=value`` or ``name#=text``; readers give them to the elements they hold for."""
+    return frozenset(x for x in (parse(query) if isinstance(query, str) else query).names if "=" in x)
+
+
 def path_dfa(query: PathQuery | str) -> dict[tuple[int, str | None], int]:
-    """The automaton over label paths for child and descendant steps: (state, label or None) -> state; states ``-1 - q`` accept."""
+    """The automaton over label paths for child and descendant steps: (state, label or None) -> state; states ``-1 - q`` accept.
+
+    Subset construction over how many steps a path has matched: step i matches the path's last label if step i - 1 matched the label before it
+    (child) or any label before it (descendant).  States are numbered as they are met, from 1; 0 can't match any more.
+    """
     query = parse(query) if isinstance(query, str) else query
-    if any(s.axis == FOLLOWING for s in query.steps) or query.probes:
+    steps = query.steps
+    if any(s.axis == FOLLOWING for s in steps) or query.probes:
         raise QueryError("a path automaton takes child and descendant steps without filters")
-    w = compile_query(query).close()
-    return {(q, label): -1 - a if s else a for (q, label, _), (s, a, _) in w.rules.items()}
+    # a state: the steps that the next label may match
+    numbers: dict[frozenset[int], int] = {frozenset(): 0, frozenset([0]): 1}
+    rules: dict[tuple[int, str | None], int] = {}
+    todo = [frozenset(), frozenset([0])]
+    while todo:
+        state = todo.pop()
+        for label in (*sorted(query.names), None):
+            hit = {i for i in state if steps[i].accepts("\0" if label is None else label)}
+            after = frozenset({i for i in state if steps[i].axis == DESCENDANT} | {i + 1 for i in hit if i + 1 < len(steps)})
+            if after not in numbers:
+                numbers[after] = len(numbers)
+                todo.append(after)
+            rules[numbers[state], label] = -1 - numbers[after] if len(steps) - 1 in hit else numbers[after]
+    return rules
+
+
+def walker_from_dfa(rules: dict[tuple[int, str | None], int], start: int = 1) -> Walker:
+    """The walker of a path automaton: the first child goes on in the state after the label, the next sibling in the state before it."""
+    return user_walker([(q, w, p < 0, -1 - p if p < 0 else p, q) for (q, w), p in rules.items()], start)
+
+
+def acceptor(rows: list[tuple[int, str | None, int, int]], reject: int, start: int = 0) -> Walker:
+    """A walker that selects the nodes at which a deterministic top-down tree automaton (state, label, left, right) goes into its reject state: a tree is
+    accepted if nothing is selected."""
+    return user_walker([(q, w, reject in (a, b) and q != reject, a, b) for q, w, a, b in rows], start)
 
 
 def sibling_walker(names: list[str]) -> StepWalker:

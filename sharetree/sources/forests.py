@@ -2,14 +2,15 @@
 
 A forest is a small top tree, held by the driver, and units: one row a page, customer, user, conversation or document, with the unit's
 whole tree as arrays of labels and depths in pre-order.  Units are the grain of distribution; a unit hangs under a top node, after
-``before`` sibling units whose roots have the same label.
+``before`` sibling units.  A unit may have no root (an empty page) or several.
 """
 
 from __future__ import annotations
 
 import re
 from collections.abc import Callable, Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -21,6 +22,7 @@ from sharetree.sources.tables import ranked, table
 MAX_TOP = 100_000
 # Elements that never have content.
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
+_ATTRIBUTE = re.compile(r"""([A-Za-z][A-Za-z0-9-]*)\s*=\s*("[^"]*"|'[^']*')""")
 UNIT = "unit long, labels array<string>, depths array<int>"
 
 
@@ -28,53 +30,72 @@ UNIT = "unit long, labels array<string>, depths array<int>"
 class Forest:
     #: (id, parent id or None, label) in pre-order; siblings in order.
     top: list[tuple[int, int | None, str]]
-    #: unit, top, before, labels, depths
+    #: unit, top, before, labels, depths; (top, before) is a unit's key: unit ids may be null or repeat
     units: DataFrame
+    #: What has been built of it so far, on disk: dictionary and grammars.
+    built: dict = field(default_factory=dict, repr=False, compare=False)
 
 
-def html_tree(html: str) -> tuple[list[str], list[int]]:
+def html_tree(html: str, constants: frozenset[str] = frozenset()) -> tuple[list[str], list[int]]:
     """Labels and depths of the elements of a page, however malformed.
 
+    ``constants``: labels ``name@attribute=value`` or ``name#=text`` that elements get for which they hold.
+
     Comments, declarations and the content of script and style go; names are lower-cased; void and self-closed elements are leaves; an end
     tag closes the nearest open element of its name and what is open inside, or is ignored; the end of input closes the rest.
     """
     html = re.sub(r"<!--.*?-->|<![^>]*>", "", html, flags=re.S)
     html = re.sub(r"(<(script|style)\b[^>]*>).*?(</\2\s*>)", r"\1\3", html, flags=re.S | re.I)
     labels, depths, way = [], [], []
+    texts: dict[int, str] = {}  # an element's own text, if a constant asks for texts
+    numbers: list[int] = []
+    at = 0
+    by_text = any("#=" in c for c in constants)
     for m in re.finditer(r"<(/?)([A-Za-z][A-Za-z0-9]*)([^>]*)>", html):
         name = m[2].lower()
+        if by_text and numbers:
+            texts[numbers[-1]] = texts.get(numbers[-1], "") + html[at : m.start()]
+        at = m.end()
         if m[1]:
             if name in way:
-                del way[len(way) - 1 - way[::-1].index(name) :]
+                n = len(way) - 1 - way[::-1].index(name)
+                del way[n:], numbers[n:]
         else:
-            labels.append(name)
+            hold = [c for k, v in _ATTRIBUTE.findall(m[3]) if (c := f"{name}@{k.lower()}={v[1:-1]}") in constants] if constants else ()
+            labels.append(hold[0] if hold else name)
             depths.append(len(way))
             if name not in VOID and not m[3].endswith("/"):
                 way.append(name)
+                numbers.append(len(labels) - 1)
+    for i, text in texts.items():
+        if f"{labels[i]}#={text.strip()}" in constants:
+            labels[i] = f"{labels[i]}#={text.strip()}"
     return labels, depths
 
 
-def _parsed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        trees = [html_tree(x or "") for x in batch.column(1).to_pylist()]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([t[0] for t in trees], pa.list_(pa.string())), pa.array([t[1] for t in trees], pa.list_(pa.int32()))], names=["unit", "labels", "depths"])
-
+def html_units(pages: DataFrame, id_col: str, html_col: str, constants: frozenset[str] = frozenset()) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            trees = [html_tree(x or "", constants) for x in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([t[0] for t in trees], pa.list_(pa.string())), pa.array([t[1] for t in trees], pa.list_(pa.int32()))], names=["unit", "labels", "depths"])
 
-def html_units(pages: DataFrame, id_col: str, html_col: str) -> DataFrame:
-    return pages.select(F.col(id_col).cast("long"), html_col).mapInArrow(_parsed, UNIT)
+    return pages.select(F.col(id_col).cast("long"), html_col).mapInArrow(run, UNIT)
 
 
 def _under_root(units: DataFrame, root: str) -> Forest:
     return Forest([(0, None, root)], ranked(units, "unit", name="before").withColumn("top", F.lit(0)))
 
 
-def pages(spark: SparkSession, sf_dir: str) -> Forest:
-    """pages > html > ..."""
-    return _under_root(html_units(table(spark, sf_dir, "pages"), "page_id", "html"), "pages")
+def pages(spark: SparkSession, sf_dir: str, constants: frozenset[str] = frozenset()) -> Forest:
+    """pages > html > ...; a null or empty page is a unit without nodes."""
+    return _under_root(html_units(table(spark, sf_dir, "pages"), "page_id", "html", constants), "pages")
 
 
 def trade(spark: SparkSession, sf_dir: str) -> Forest:
-    """trade > region > nation > customer > (market segment, order > (status, lineitem > return flag))."""
+    """trade > region > nation > customer > (market segment, order > (status, lineitem > return flag)).
+
+    The tree is what can be reached from a region: rows whose key is null or leads nowhere have no place in it (``trade_orphans`` counts them).
+    """
     read = lambda name: table(spark, sf_dir, name)
     line = F.struct("l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_quantity", "l_extendedprice", "l_returnflag")
     lines = read("lineitem").groupBy("l_orderkey").agg(F.sort_array(F.collect_list(line))["l_returnflag"].alias("flags"))
@@ -108,6 +129,14 @@ def trade(spark: SparkSession, sf_dir: str) -> Forest:
     return Forest(top, placed.join(F.broadcast(first), "top").withColumn("before", F.col("place") - F.col("first")).drop("place", "first"))
 
 
+def trade_orphans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """level and n: rows of each table that hang under no row of the level above."""
+    read = lambda name: table(spark, sf_dir, name)
+    levels = [("nation", "n_regionkey", "region", "r_regionkey"), ("customer", "c_nationkey", "nation", "n_nationkey"), ("orders", "o_custkey", "customer", "c_custkey"), ("lineitem", "l_orderkey", "orders", "o_orderkey")]
+    counts = [read(a).join(read(b), F.col(x) == F.col(y), "left_anti").agg(F.lit(a).alias("level"), F.count("*").alias("n")) for a, x, b, y in levels]
+    return reduce(DataFrame.unionByName, counts)
+
+
 def _sequence(df: DataFrame, unit: str, order: list[str], label: str, root: str) -> DataFrame:
     """A unit for each value of ``unit``: a root and one leaf for each row, in order."""
     rows = df.groupBy(F.col(unit).cast("long").alias("unit")).agg(F.sort_array(F.collect_list(F.struct(*order, F.col(label).alias("label"))))["label"].alias("own"))
@@ -153,14 +182,35 @@ def bench(spark: SparkSession, sf_dir: str) -> Forest:
     return _under_root(units, "bench")
 
 
+_open: dict[tuple, Forest] = {}
+
+
+def opened(spark: SparkSession, sf_dir: str, name: str) -> Forest:
+    """A forest over the given tables that this session builds once: later queries find its units, dictionary and grammars on disk.
+
+    It is built anew when the tables' files have changed, or its own files have gone.
+    """
+    path = spark._jvm.org.apache.hadoop.fs.Path
+    conf = spark._jsc.hadoopConfiguration()
+    found = path(f"{sf_dir}/*.parquet")
+    files = tuple(sorted((f.getPath().getName(), f.getModificationTime(), f.getLen()) for f in found.getFileSystem(conf).globStatus(found) or ()))
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    have = _open.get(key)
+    if have and have.built["files"] == files and all(path(p).getFileSystem(conf).exists(path(p)) for p in [*have.units.inputFiles(), *have.built.get("paths", ())]):
+        return have
+    _open[key] = FORESTS[name](spark, sf_dir)
+    _open[key].built["files"] = files
+    return _open[key]
+
+
 FORESTS: dict[str, Callable[[SparkSession, str], Forest]] = {"pages": pages, "trade": trade, "log": log, "talk": talk, "prose": prose, "parts": parts, "bench": bench}
 
 
 def _nodes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    names = ["unit", "pre", "post", "parent_pre", "ord", "depth", "size", "label"]
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.string()]
+    names = ["unit", "top", "before", "pre", "post", "parent_pre", "ord", "depth", "size", "label"]
+    kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.string()]
     for batch in batches:
-        for unit, labels, depths in zip(*(c.to_pylist() for c in batch.columns)):
+        for unit, top, before, labels, depths in zip(*(c.to_pylist() for c in batch.columns)):
             n, way = len(labels), []
             parent, order, kids, size, post = [None] * n, [0] * n, [0] * n, [1] * n, [0] * n
             done = 0
@@ -176,20 +226,25 @@ def _nodes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                         kids[way[-1]] += 1
                         order[i] = kids[way[-1]] - 1
                     way.append(i)
-            columns = [[unit] * n, list(range(1, n + 1)), post, parent, order, depths, size, labels]
+            columns = [[unit] * n, [top] * n, [before] * n, list(range(1, n + 1)), post, parent, order, depths, size, labels]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names=names)
 
 
-def nodes(forest: Forest) -> DataFrame:
-    """A row for each node of the units: unit, pre (from 1), post, parent_pre, ord, depth, size, label."""
-    return forest.units.select("unit", "labels", "depths").mapInArrow(_nodes, "unit long, pre long, post long, parent_pre long, ord int, depth int, size long, label string")
+def nodes(forest: Forest, keyed: bool = False) -> DataFrame:
+    """A row for each node of the units: unit, pre (from 1), post, parent_pre, ord, depth, size, label; ``keyed``: and the unit's key (top, before)."""
+    units = forest.units.select("unit", F.col("top").cast("int").alias("top"), F.col("before").cast("long").alias("before"), "labels", "depths")
+    rows = units.mapInArrow(_nodes, "unit long, top int, before long, pre long, post long, parent_pre long, ord int, depth int, size long, label string")
+    return rows if keyed else rows.drop("top", "before")
 
 
 def binary(tree: DataFrame) -> DataFrame:
-    """First child and next sibling of every node, by windows over siblings."""
-    kids = tree.where("parent_pre is not null").groupBy("unit", "parent_pre").agg(F.min("pre").alias("left_pre")).withColumnRenamed("parent_pre", "pre")
-    after = F.lead("pre").over(Window.partitionBy("unit", "parent_pre").orderBy("ord"))
-    return tree.withColumn("right_pre", after).join(kids, ["unit", "pre"], "left").select("unit", "pre", "label", "left_pre", "right_pre")
+    """First child and next sibling of every node, by windows over siblings; a unit is told apart by (top, before) if the rows have them, else by its id."""
+    key = [c for c in ("top", "before") if c in tree.columns] or ["unit"]
+    kids = tree.where("parent_pre is not null").groupBy(*key, "parent_pre").agg(F.min("pre").alias("left_pre"))
+    kids = kids.select(*(F.col(c).alias(f"{c}_of") for c in key), F.col("parent_pre").alias("pre_of"), "left_pre")
+    after = F.lead("pre").over(Window.partitionBy(*key, "parent_pre").orderBy("ord"))
+    same = reduce(lambda a, b: a & b, (F.col(c).eqNullSafe(F.col(f"{c}_of")) for c in [*key, "pre"]))
+    return tree.withColumn("right_pre", after).join(kids, same, "left").select("unit", *(c for c in key if c != "unit"), "pre", "label", "left_pre", "right_pre")
 
 
 def unranked(pairs: DataFrame) -> DataFrame:
