@@ -7,7 +7,9 @@ aggregation, so subtrees shared between units count once.  Edges to absent nodes
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
 from collections.abc import Iterator
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -88,5 +90,38 @@ def dictionary_update(known: DataFrame, fresh: DataFrame) -> DataFrame:
     return fresh.dropDuplicates(["digest"]).join(known.select("digest"), "digest", "left_anti")
 
 
-def pieces(forest: Forest, kind: str) -> DataFrame:
-    return forest.units.select("labels", "depths").mapInArrow(_pieces(kind), PIECES)
+def piece_rows(units: DataFrame, kind: str) -> DataFrame:
+    """digest and edges of the distinct nodes of units (labels, depths), a batch of rows at a time."""
+    return units.select("labels", "depths").mapInArrow(_pieces(kind), PIECES)
+
+
+def ratios(forest: Forest) -> DataFrame:
+    """kind, tree_edges, shared_edges and their ratio for the three kinds of sharing."""
+    rows = reduce(DataFrame.unionByName, (sharing(forest, kind).withColumn("kind", F.lit(kind)) for kind in ("unranked", "binary", "hybrid")))
+    return rows.select("kind", "tree_edges", "shared_edges", (F.col("shared_edges") / F.col("tree_edges")).alias("ratio"))
+
+
+def hybrid_is_least(forest: Forest) -> DataFrame:
+    """One row: whether the hybrid has no more edges than either other kind, as it must."""
+    edges = ratios(forest).agg(*(F.max(F.when(F.col("kind") == k, F.col("shared_edges"))).alias(k) for k in ("unranked", "binary", "hybrid")))
+    return edges.select((F.col("hybrid") <= F.least("unranked", "binary")).alias("holds"))
+
+
+def frequent_pairs(forest: Forest, least: int) -> DataFrame:
+    """parent, child (binary form), side and n of the pairs that occur at least so often in the units' trees."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            count: Counter = Counter()
+            for labels, depths in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                kids, roots = G.from_tree(labels, depths)
+                for i, own in enumerate(kids):
+                    if own:
+                        count[labels[i], "first child", labels[own[0]]] += 1
+                for own in [*kids, roots]:
+                    for a, b in zip(own, own[1:]):
+                        count[labels[a], "next sibling", labels[b]] += 1
+            yield pa.RecordBatch.from_arrays([*(pa.array([k[i] for k in count], pa.string()) for i in range(3)), pa.array(list(count.values()), pa.int64())], names=["parent", "side", "child", "n"])
+
+    rows = forest.units.select("labels", "depths").mapInArrow(run, "parent string, side string, child string, n long")
+    return rows.groupBy("parent", "side", "child").agg(F.sum("n").alias("n")).where(F.col("n") >= least)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -13,11 +13,73 @@ from sharetree.plans.query import Walker, compile_query, parse
 from sharetree.sources.forests import Forest
 
 
+SUBTREES = {"plain": G.subtrees_program_dag, "general": G.subtrees_program, "balanced": G.subtrees_program_balanced}
+
+
+def _by_unit(forest: Forest, fields: str, measure: Callable[[list[str], list[int]], tuple]) -> DataFrame:
+    """unit and whole numbers that a function gives for its tree."""
+    names = fields.split()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [(unit, *measure(labels, depths)) for unit, labels, depths in zip(*(c.to_pylist() for c in batch.columns))]
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(len(names) + 1)], names=["unit", *names])
+
+    return forest.units.select("unit", "labels", "depths").mapInArrow(run, ", ".join(f"{n} long" for n in ["unit", *names]))
+
+
+def count_work(forest: Forest, query: str, mode: str = "full", compress: str = "binary") -> DataFrame:
+    """unit, body symbols that a count visits, states, symbols, and their product: the bound on the visits."""
+
+    def measure(labels: list[str], depths: list[int]) -> tuple:
+        walker, g, seen = compile_query(query), COMPRESSORS[compress](labels, depths), []
+        G.behaviours(g, walker, mode, seen)
+        states, symbols = walker.close().states, sum(map(len, g.bodies.values()))
+        return seen[0], states, symbols, states * symbols
+
+    return _by_unit(forest, "visits states symbols bound", measure)
+
+
+def mark_sizes(forest: Forest, query: str, compress: str = "digrams") -> DataFrame:
+    """unit, templates, marked templates as made and as kept, states, and edges before and after marking."""
+
+    def measure(labels: list[str], depths: list[int]) -> tuple:
+        walker, g, stats = compile_query(query), COMPRESSORS[compress](labels, depths), {}
+        marked = G.mark(g, walker, stats=stats)
+        return len(g.bodies), stats["made"], len(marked.bodies), walker.close().states, g.edges(), marked.edges()
+
+    return _by_unit(forest, "templates made kept states edges marked_edges", measure)
+
+
+def lift_costs(forest: Forest, query: str, compress: str = "digrams") -> DataFrame:
+    """unit, templates, copies that lifting made, and templates after it."""
+
+    def measure(labels: list[str], depths: list[int]) -> tuple:
+        g, stats = COMPRESSORS[compress](labels, depths), {}
+        G.annotate(g, parse(query), "lift", stats)
+        return len(g.bodies), stats["copies"], stats["templates"]
+
+    return _by_unit(forest, "templates copies lifted", measure)
+
+
+def output_sizes(forest: Forest, query: str, method: str = "plain", compress: str = "binary") -> DataFrame:
+    """unit, results, tokens of their XML written out, size of their string program, and the bound on it: the grammar's for plain grammars."""
+
+    def measure(labels: list[str], depths: list[int]) -> tuple:
+        g, walker = COMPRESSORS[compress](labels, depths), compile_query(query)
+        numbers = G.locate(g, walker)
+        p, _ = SUBTREES[method](g, numbers)
+        symbols = sum(map(len, g.bodies.values()))
+        return len(numbers), 2 * G.serialized_size(g, walker), G.program_size(p), 2 * symbols + len(numbers) if method == "plain" else 4 * symbols * (len(numbers) + 1)
+
+    return _by_unit(forest, "r tokens size bound", measure)
+
+
 def subtree_programs(forest: Forest, query: str, method: str = "plain", compress: str = "binary", text: bool = True) -> DataFrame:
     """unit, selected nodes, grammar edges, size and length of the string program of their subtrees, and (``text``) what it spells.
 
-    ``plain``: for plain grammars, size O(|G| + r).  ``general``: any rank, a start body for each node, size O(|G| r).  The query is
-    entered at the unit's root.
+    ``plain``: for plain grammars, size O(|G| + r).  ``general``: any rank, a start body for each node, size O(|G| r).  ``balanced``: any rank,
+    substrings of the unit's balanced program, O(log) rules a node.  The query is entered at the unit's root.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -28,7 +90,7 @@ def subtree_programs(forest: Forest, query: str, method: str = "plain", compress
                 g = COMPRESSORS[compress](labels, depths)
                 noted = G.annotate(g, parse(query)) if parse(query).probes else g
                 numbers = G.locate(noted, walker)
-                p, start = (G.subtrees_program_dag if method == "plain" else G.subtrees_program)(g, numbers)
+                p, start = SUBTREES[method](g, numbers)
                 spelt = "".join(map(G.token_text, G.program_tokens(p, start))) if text else None
                 rows.append((unit, len(numbers), g.edges(), G.program_size(p), G.program_length(p, start), spelt))
             yield pa.RecordBatch.from_arrays([*(pa.array([r[i] for r in rows], pa.int64()) for i in range(5)), pa.array([r[5] for r in rows], pa.string())], names=["unit", "r", "edges", "size", "length", "text"])
@@ -75,13 +137,9 @@ def chain_counts(spark: SparkSession, doublings: list[int], modulus: int = 3) ->
 def filter_costs(forest: Forest, query: str, mode: str, compress: str = "digrams") -> DataFrame:
     """unit, templates before and after filter states specialise them, the most states of one template, and the state's bits."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = []
-            for unit, labels, depths in zip(*(c.to_pylist() for c in batch.columns)):
-                stats: dict = {}
-                G.annotate(COMPRESSORS[compress](labels, depths), parse(query), mode, stats)
-                rows.append((unit, stats["templates"], stats["specialised"], stats["most_tuples"], stats["bits"]))
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(5)], names=["unit", "templates", "specialised", "most_tuples", "bits"])
+    def measure(labels: list[str], depths: list[int]) -> tuple:
+        stats: dict = {}
+        G.annotate(COMPRESSORS[compress](labels, depths), parse(query), mode, stats)
+        return stats["templates"], stats["specialised"], stats["most_tuples"], stats["bits"]
 
-    return forest.units.select("unit", "labels", "depths").mapInArrow(run, "unit long, templates long, specialised long, most_tuples long, bits long")
+    return _by_unit(forest, "templates specialised most_tuples bits", measure)

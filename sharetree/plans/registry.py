@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from sharetree.functions import sql as surface
 from sharetree.operators import baseline, compress, evaluate, programs
 from sharetree.plans.query import compile_query, depth_mod
-from sharetree.sources.forests import FORESTS, binary, nodes
+from sharetree.sources.forests import binary, nodes, opened
 from sharetree.sources.tables import table
 from sharetree.streaming import streams
 
@@ -27,7 +27,7 @@ def add(name: str, query: Query, oracle: str | None = None) -> None:
 
 
 def on(forest: str, f, *args, **options) -> Query:
-    return lambda spark, sf_dir: f(FORESTS[forest](spark, sf_dir), *args, **options)
+    return lambda spark, sf_dir: f(opened(spark, sf_dir, forest), *args, **options)
 
 
 # ---- the trees, in SQL
@@ -141,9 +141,9 @@ add("locate_nation_trade", on("trade", evaluate.locate, "//nation"), "SELECT CAS
 
 _USERS = "SELECT CAST(conv_id AS BIGINT) AS unit, CAST(sum(CASE WHEN role = 'user' THEN 1 ELSE 0 END) AS BIGINT) AS r, CAST(2 * sum(CASE WHEN role = 'user' THEN 1 ELSE 0 END) AS BIGINT) AS length, repeat('<user></user>', CAST(sum(CASE WHEN role = 'user' THEN 1 ELSE 0 END) AS BIGINT)) AS text FROM conversations GROUP BY conv_id"
 for _name, _options in (("dag", {}), ("general", {"method": "general", "compress": "digrams"}), ("hybrid", {"compress": "hybrid"})):
-    add(f"slp_subtrees_{_name}_talk", lambda spark, sf_dir, o=_options: programs.subtree_programs(FORESTS["talk"](spark, sf_dir), "//user", **o).select("unit", "r", "length", "text"), _USERS)
+    add(f"slp_subtrees_{_name}_talk", lambda spark, sf_dir, o=_options: programs.subtree_programs(opened(spark, sf_dir, "talk"), "//user", **o).select("unit", "r", "length", "text"), _USERS)
 add("slp_sizes_pages", on("pages", programs.subtree_programs, "//ul", text=False))
-add("slp_traversal_talk", lambda spark, sf_dir: programs.traversal_programs(FORESTS["talk"](spark, sf_dir)).select("unit", "length"), "SELECT CAST(conv_id AS BIGINT) AS unit, CAST(2 * count(*) + 2 AS BIGINT) AS length FROM conversations GROUP BY conv_id")
+add("slp_traversal_talk", lambda spark, sf_dir: programs.traversal_programs(opened(spark, sf_dir, "talk")).select("unit", "length"), "SELECT CAST(conv_id AS BIGINT) AS unit, CAST(2 * count(*) + 2 AS BIGINT) AS length FROM conversations GROUP BY conv_id")
 add("slp_traversal_sizes_trade", on("trade", programs.traversal_programs))
 
 # ---- compression
@@ -168,9 +168,9 @@ for _name in ("pages", "trade"):
 
 _W1 = f"SELECT CAST(c_custkey AS BIGINT) AS unit, CAST(count(*) AS BIGINT) AS n FROM {LINES} WHERE l_returnflag = 'R' GROUP BY c_custkey"
 add("baseline_paths_w1", on("trade", baseline.paths, "//order//lineitem/R"), _W1)
-add("baseline_structural_w1", lambda spark, sf_dir: baseline.structural(FORESTS["trade"](spark, sf_dir), "//order//lineitem/R").groupBy("unit").agg(F.count("*").alias("n")), _W1)
+add("baseline_structural_w1", lambda spark, sf_dir: baseline.structural(opened(spark, sf_dir, "trade"), "//order//lineitem/R").groupBy("unit").agg(F.count("*").alias("n")), _W1)
 add("baseline_structural_w2_log", on("log", baseline.structural, "//view/following-sibling::purchase"), _LOCATE_LOG)
-add("baseline_lift_w8", lambda spark, sf_dir: baseline.structural(FORESTS["trade"](spark, sf_dir), "//order[./lineitem/R]").agg(F.count("*").alias("n")), _count["filter_w8_order"][2])
+add("baseline_lift_w8", lambda spark, sf_dir: baseline.structural(opened(spark, sf_dir, "trade"), "//order[./lineitem/R]").agg(F.count("*").alias("n")), _count["filter_w8_order"][2])
 
 # ---- measures
 
@@ -183,7 +183,7 @@ add("cost_filters_matrix", on("trade", programs.filter_costs, "//customer[.//ord
 
 
 def of_nodes(forest: str, f: Callable[[DataFrame], DataFrame]) -> Query:
-    return lambda spark, sf_dir: f(nodes(FORESTS[forest](spark, sf_dir)))
+    return lambda spark, sf_dir: f(nodes(opened(spark, sf_dir, forest)))
 
 
 _TALK_NODES = TALK + ", t AS (SELECT CAST(conv_id AS BIGINT) AS unit, CAST(k + 1 AS BIGINT) AS pre, CAST(1 AS BIGINT) AS parent_pre, 1 AS depth, CAST(1 AS BIGINT) AS size, label FROM n UNION ALL SELECT CAST(conv_id AS BIGINT), CAST(1 AS BIGINT), NULL, 0, CAST(count(*) + 1 AS BIGINT), 'conv' FROM n GROUP BY conv_id) "
@@ -207,7 +207,7 @@ add("win_top3_units", of_nodes("talk", lambda d: d.where("depth = 0").select("un
 add("join_parent_child", of_nodes("pages", lambda d: d.alias("c").join(d.alias("p"), (F.col("c.unit") == F.col("p.unit")) & (F.col("c.parent_pre") == F.col("p.pre"))).groupBy(F.col("p.label").alias("parent"), F.col("c.label").alias("child")).agg(F.count("*").alias("n"))), PAGES + f"SELECT p.label AS parent, c.label AS child, {N} FROM n c JOIN n p ON c.page_id = p.page_id AND c.parent_pre = p.pre GROUP BY ALL")
 add("join_ancestor_desc", on("pages", lambda f: baseline.structural(f, "//article//b").agg(F.count("*").alias("n"))), PAGES + f"SELECT {N} FROM n WHERE regexp_matches(path, '/article/(.*/)?b$')")
 add("asof_prev_view", lambda spark, sf_dir: table(spark, sf_dir, "events").select("event_id", F.last(F.when(F.col("event_type") == "view", F.col("event_id")), ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)).alias("view_id")), "SELECT event_id, last_value(CASE WHEN event_type = 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS view_id FROM events")
-_li = lambda q: (lambda spark, sf_dir: evaluate.locate(FORESTS["pages"](spark, sf_dir), q))
+_li = lambda q: (lambda spark, sf_dir: evaluate.locate(opened(spark, sf_dir, "pages"), q))
 _SET = PAGES + "SELECT CAST(page_id AS BIGINT) AS unit, CAST(pre AS BIGINT) AS pre FROM n WHERE "
 add("set_union", lambda s, d: _li("//p")(s, d).union(_li("//li//a")(s, d)).distinct(), _SET + "label = 'p' OR regexp_matches(path, '/li/(.*/)?a$')")
 add("set_intersect", lambda s, d: _li("//p")(s, d).intersect(_li("//article//*")(s, d)), _SET + "label = 'p' AND regexp_matches(path, '/article/')")

@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from sharetree.sources.scratch import scratch
 from sharetree.sources.tables import ranked, table
 
 #: Nodes that a top tree may have; it is held by the driver.
@@ -247,6 +248,35 @@ def binary(tree: DataFrame) -> DataFrame:
     return tree.withColumn("right_pre", after).join(kids, same, "left").select("unit", *(c for c in key if c != "unit"), "pre", "label", "left_pre", "right_pre")
 
 
+def edges(links: DataFrame, most: int = 1_000) -> DataFrame:
+    """id, pre, depth, size and label of the nodes of a tree or forest given as rows (id, parent or null, ord, label), siblings in order of (ord, id).
+
+    A level a round, each written before the next; a node's way from its root orders it, and counts for the size of each node on it.  Rows that no root
+    leads to are left out; more than ``most`` levels are an error.
+    """
+    spark = links.sparkSession
+
+    def put(df: DataFrame) -> DataFrame:
+        path = scratch(spark, "levels")
+        df.write.parquet(path)
+        return spark.read.schema(df.schema).parquet(path)
+
+    step = F.array(F.struct(F.col("ord").cast("long").alias("ord"), F.col("id").alias("id")))
+    level = put(links.where("parent is null").select("id", "label", step.alias("way")))
+    levels = []
+    while not level.isEmpty():
+        levels.append(level)
+        if len(levels) > most:
+            raise ValueError("too many levels, or a circle")
+        up = level.select(F.col("id").alias("parent"), F.col("way").alias("above"))
+        level = put(links.join(up, "parent").select("id", "label", F.concat("above", step).alias("way")))
+    if not levels:
+        return links.select("id", F.lit(0).cast("long").alias("pre"), F.lit(0).alias("depth"), F.lit(0).cast("long").alias("size"), "label").where("false")
+    rows = ranked(reduce(DataFrame.unionByName, levels), "way")
+    sizes = rows.select(F.explode("way.id").alias("id")).groupBy("id").agg(F.count("*").alias("size"))
+    return rows.join(sizes, "id").select("id", (F.col("place") + 1).cast("long").alias("pre"), (F.size("way") - 1).alias("depth"), "size", "label")
+
+
 def unranked(pairs: DataFrame) -> DataFrame:
     """The inverse of ``binary``: labels and depths in pre-order, by a walk inside each unit."""
 

@@ -23,16 +23,25 @@ def stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def drain(df: DataFrame, mode: str = "append") -> DataFrame:
-    """Run to the end of what is there; append mode goes to Parquet, the others to the latest state of a table in memory."""
+    """Run to the end of what is there and read back what was written: append mode by the file sink, the others a folder a micro-batch.
+
+    Complete mode gives the last batch's table, update mode the rows of all batches.  A batch that runs again replaces its folder.
+    """
     spark = df.sparkSession
-    writer = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", scratch(spark, "stream"))
+    path, writer = scratch(spark, "stream-out"), df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", scratch(spark, "stream"))
     if mode == "append":
-        path = scratch(spark, "stream-out")
         writer.format("parquet").option("path", path).start().awaitTermination()
         return spark.read.schema(df.schema).parquet(path)
-    name = "t" + scratch(spark, "memory").rpartition("-")[2]
-    writer.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
+    done: list[int] = []
+
+    def put(batch: DataFrame, i: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{i}")
+        done.append(i)
+
+    writer.foreachBatch(put).start().awaitTermination()
+    if not done:
+        return spark.createDataFrame([], df.schema)
+    return spark.read.schema(df.schema).parquet(*(f"{path}/{i}" for i in (sorted(set(done))[-1:] if mode == "complete" else sorted(set(done)))))
 
 
 def count_pages(pages: DataFrame, query: str) -> DataFrame:
@@ -54,28 +63,76 @@ def count_pages(pages: DataFrame, query: str) -> DataFrame:
     return pages.select(F.col("page_id").cast("long"), "html").mapInArrow(run, "page_id long, n long")
 
 
-def walk_siblings(events: DataFrame, query: str, root: str = "log", unit: str = "user") -> DataFrame:
+def walk_siblings(events: DataFrame, query: str, root: str = "log", unit: str = "user", late: str = "1 hour", forget: str | None = None) -> DataFrame:
     """user_id and n: the walker's state along each user's events is kept, so an event costs one rule.
 
-    Events of a micro-batch are put in order of (ts, event_id); what is late against an earlier batch is walked where it comes.
+    Events wait until the watermark has passed them, and are walked in order of (ts, event_id), so the order in which they come doesn't matter; n counts
+    those that still wait, too, as they stand.  An event that comes more than ``late`` behind is left out once later ones have been walked.  ``forget``: a user
+    without events for so long (in event time) loses its state; None keeps it.
     """
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     walker = compile_query(query)
     start = walker.rule(walker.rule(walker.start, root)[1], unit)
-    later = walker.rule(start[2], unit)
-    first = later[1]
+    first = walker.rule(start[2], unit)[1]
+    keep = None if forget is None else int(pd.Timedelta(forget).total_seconds() * 1000)
 
-    def step(key, frames, state: GroupState):
-        q, n = state.get if state.exists else (first, 0)
-        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
-        for label in rows["event_type"]:
+    def along(q: int, n: int, rows: list[tuple]) -> tuple[int, int]:
+        for _, _, label in rows:
             hit, _, q = walker.rule(q, label)
             n += bool(hit)
-        state.update((q, n))
-        yield pd.DataFrame({"user_id": [key[0]], "n": [n]})
+        return q, n
+
+    def step(key, frames, state: GroupState):
+        q, n, walked, ts, ids, labels = state.get if state.exists else (first, 0, -1, [], [], [])
+        if state.hasTimedOut and not ts:
+            state.remove()
+            return
+        waiting = list(zip(ts, ids, labels))
+        for frame in frames:
+            waiting += [x for x in zip(frame["micros"].tolist(), frame["event_id"].tolist(), frame["event_type"].tolist()) if x[0] > walked]
+        waiting.sort()
+        mark = state.getCurrentWatermarkMs() * 1000
+        passed = [x for x in waiting if x[0] <= mark]
+        waiting = waiting[len(passed) :]
+        if passed:
+            (q, n), walked = along(q, n, passed), passed[-1][0]
+        state.update((q, n, walked, [x[0] for x in waiting], [x[1] for x in waiting], [x[2] for x in waiting]))
+        if waiting:
+            state.setTimeoutTimestamp(max(waiting[0][0], mark) // 1000 + 1)
+        elif keep is not None:
+            state.setTimeoutTimestamp(max(walked, mark) // 1000 + keep + 1)
+        yield pd.DataFrame({"user_id": [key[0]], "n": [along(q, n, waiting)[1]]})
+
+    kept = "q long, n long, walked long, ts array<long>, ids array<long>, labels array<string>"
+    rows = events.withWatermark("ts", late).select("user_id", "ts", F.unix_micros("ts").alias("micros"), "event_id", "event_type")
+    return rows.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long", kept, "update", GroupStateTimeout.EventTimeTimeout)
+
+
+def with_customers(events: DataFrame, customers: DataFrame) -> DataFrame:
+    """Arriving events with their customer's market segment: a join of a stream with a table."""
+    return events.join(customers.select(F.col("c_custkey").alias("user_id"), "c_mktsegment"), "user_id").select("event_id", "user_id", "event_type", "c_mktsegment")
+
+
+def grow_dictionary(pages: DataFrame, kind: str = "unranked") -> DataFrame:
+    """Run a stream of pages to its end, adding the distinct nodes that are new to a dictionary on disk; returns the dictionary (digest, edges).
+
+    Each micro-batch's nodes are matched against what earlier batches wrote, and go into a folder of its own, which a repeated batch replaces.
+    """
+    from sharetree.operators.compress import PIECES, dictionary_update, piece_rows
+    from sharetree.sources.forests import html_units
+
+    spark, path = pages.sparkSession, scratch(pages.sparkSession, "dictionary")
+    done: list[int] = []
+
+    def put(batch: DataFrame, i: int) -> None:
+        before = [f"{path}/{k}" for k in done if k != i]
+        known = spark.read.schema(PIECES).parquet(*before) if before else spark.createDataFrame([], PIECES)
+        dictionary_update(known, piece_rows(html_units(batch, "page_id", "html"), kind)).write.mode("overwrite").parquet(f"{path}/{i}")
+        done.append(i)
 
-    return events.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long", "q long, n long", "update", GroupStateTimeout.NoTimeout)
+    pages.writeStream.trigger(availableNow=True).option("checkpointLocation", scratch(spark, "stream")).foreachBatch(put).start().awaitTermination()
+    return spark.read.schema(PIECES).parquet(*(f"{path}/{k}" for k in sorted(set(done)))) if done else spark.createDataFrame([], PIECES)
 
 
 def tumbling(events: DataFrame, width: str = "1 day", late: str = "1 hour") -> DataFrame:

@@ -6,9 +6,11 @@ import pytest
 from pyspark.sql import SparkSession
 
 from sharetree.functions import grammar as G
-from sharetree.operators import baseline, compress, evaluate, programs
-from sharetree.plans.query import QueryError, depth_mod
-from sharetree.sources.forests import FORESTS, Forest, binary, html_tree, nodes, unranked
+from sharetree.operators import baseline, compress, evaluate, programs, segments
+from sharetree.plans.query import QueryError, constants, depth_mod
+from sharetree.sources import stored
+from sharetree.sources.forests import FORESTS, Forest, _under_root, binary, edges, html_tree, html_units, nodes, unranked
+from sharetree.streaming import streams
 from tests.test_grammar import brute, tree
 
 
@@ -109,3 +111,111 @@ def test_locate_and_serialize_take_in_the_nodes_above_units(forest, text):
 def test_everything_selected_on_the_pages(spark):
     assert evaluate.serialized_size(FORESTS["pages"](spark, "/root/testdata/sf0.01"), "//*").first().s == 58_219  # SURVEY W4
     assert [(r.unit, r.pre) for r in evaluate.locate(FORESTS["trade"](spark, "/root/testdata/sf0.001"), "/trade").collect()] == [(None, 1)]
+
+
+@pytest.fixture(scope="module")
+def odd_forest(spark):
+    """Units without nodes, with several roots, with repeated and null ids, and roots of different labels."""
+    trees = [("h", [0]), ("", []), ("dab", [0, 1, 1]), ("hd", [0, 0]), ("hab", [0, 1, 2]), ("", []), ("dh", [0, 1]), ("hab", [0, 1, 2])]
+    ids = [1, 2, 2, None, 4, None, 6, 6]
+    rows = [(u, 0, i, list(w), d) for i, (u, (w, d)) in enumerate(zip(ids, trees))]
+    units = spark.createDataFrame(rows, "unit long, top int, before long, labels array<string>, depths array<int>")
+    labels, depths = ["r"], [0]
+    for w, d in trees:
+        labels += w
+        depths += [x + 1 for x in d]
+    return Forest([(0, None, "r")], units), labels, depths
+
+
+ODD_QUERIES = ["//h", "/r/d/following-sibling::h", "/r/h/following-sibling::d", "//a", "//h[./a/b]", "/r/h/following-sibling::h/a", "//*", "/r/d/following-sibling::d/following-sibling::h", "//a/following-sibling::b"]
+
+
+@pytest.mark.parametrize("chunk", [evaluate.CHUNK, 3])
+def test_odd_units_count_as_the_whole_tree(odd_forest, chunk, monkeypatch):
+    f, labels, depths = odd_forest
+    monkeypatch.setattr(evaluate, "CHUNK", chunk)
+    got = {r.query: r.n for r in evaluate.count_many(f, ODD_QUERIES).collect()}
+    assert got == {text: len(brute(text, labels, depths)) for text in ODD_QUERIES}
+    for text in ODD_QUERIES[:4]:
+        for options in ({}, {"compress": "digrams"}, {"compress": "hybrid"}, {"compress": "tree"}):
+            assert evaluate.count(f, text, **options).first().n == got[text]
+
+
+def test_odd_units_through_every_function(odd_forest):
+    f, labels, depths = odd_forest
+    assert evaluate.exists(f, "//a").count() == 8 and evaluate.exists(f, "//a").where("hit").count() == 3
+    assert sorted((str(r.unit), r.pre, r.label) for r in evaluate.locate(f, "//b", with_label=True).collect()) == [("2", 3, "b"), ("4", 3, "b"), ("6", 3, "b")]
+    assert evaluate.tree_size(f).first().total == len(labels) and evaluate.selectivity(f, "//b").first().n == 3
+    assert [r.xml for r in evaluate.serialize(f, "/r").collect()] == [evaluate._xml(labels, depths)]
+    assert evaluate.serialized_size(f, "//*").first().s == sum(d + 1 for d in depths)
+    assert baseline.structural(f, "//a").count() == 3 and baseline.structural(f, "//h//b").count() == 2 and sum(r.n for r in baseline.paths(f, "//a").collect()) == 3
+    assert nodes(f).count() == len(labels) - 1 and binary(nodes(f, keyed=True)).count() == len(labels) - 1
+    for kind in ("unranked", "binary", "hybrid"):
+        assert compress.sharing(f, kind).first().shared_nodes > 0
+    assert compress.grammar_stats(f, "digrams").count() == 8 and programs.traversal_programs(f).count() == 8
+    assert programs.subtree_programs(f, "//a").count() == 8
+
+
+def test_stored_forest_answers_alike(spark, forest, tmp_path):
+    f, labels, depths = forest
+    for kind in ("binary", "digrams"):
+        stored.save(f, f"file://{tmp_path}/{kind}", kind)
+        g = stored.load(spark, f"file://{tmp_path}/{kind}")
+        for text in ("//a", "//b[./a/c]", "//*", "/c/b/following-sibling::b"):
+            hits = brute(text, labels, depths)
+            assert evaluate.count(g, text, compress=kind).first().n == len(hits) == evaluate.locate(g, text, compress=kind).count()
+            assert sorted(r.xml for r in evaluate.serialize(g, text, compress=kind).collect()) == sorted(r.xml for r in evaluate.serialize(f, text).collect())
+        assert evaluate.count(g, "//a", compress="tree").first().n == len(brute("//a", labels, depths))
+    assert {(r.unit, r.pre, r.label) for r in evaluate.node_at(f, nodes(f)).collect()} == {(r.unit, r.pre, r.label) for r in nodes(f).collect()}
+
+
+def test_filters_lifted_and_planned(forest):
+    f, labels, depths = forest
+    for text in ("//b[./a/c]/a[./b]", "//a[./b/c]"):
+        for options in ({"filters": "lift"}, {"filters": "auto"}, {"compress": "digrams", "filters": "lift"}, {"compress": "tree"}):
+            assert evaluate.count(f, text, **options).first().n == len(brute(text, labels, depths))
+    with pytest.raises(QueryError):
+        evaluate.count(f, "//a" + "[.//b/c/d/a]" * 1 + "".join(f"[./{'a/' * k}b]" for k in range(1, 9))).first()
+
+
+def test_segments_equal_whole_units(spark):
+    r = random.Random(2)
+    trees = [tree(r, depth=4) for _ in range(4)]
+    trees = [(["u", *w[1:]], d) for w, d in trees]
+    bare = Forest([(0, None, "r")], spark.createDataFrame([(i, 0, i, ["u"], [0]) for i in range(4)], "unit long, top int, before long, labels array<string>, depths array<int>"))
+    whole = Forest([(0, None, "r")], spark.createDataFrame([(i, 0, i, w, d) for i, (w, d) in enumerate(trees)], "unit long, top int, before long, labels array<string>, depths array<int>"))
+    cut = spark.createDataFrame([(i, k, w[5 * k : 5 * k + 5], d[5 * k : 5 * k + 5]) for i, (w, d) in enumerate(trees) for k in range(-(-len(w) // 5))], segments.SEGMENT)
+    for text in ("//a/*/b", "/r/u/following-sibling::u//a", "//b/following-sibling::c/d"):
+        want = sorted((x.unit, x.pre) for x in evaluate.locate(whole, text, top=False).collect())
+        assert sorted((x.unit, x.pre) for x in segments.locate(bare, cut, text, 5).collect()) == want
+        assert sum(x.n for x in segments.count_by_unit(bare, cut, text).collect()) == len(want)
+
+
+def test_empty_pages_and_constants(spark):
+    pages = spark.createDataFrame([(1, None), (2, ""), (3, "<p>x</p>"), (3, "<p class='k'>y</p><p><b>y</b></p>"), (None, "<i>")], "page_id long, html string")
+    f = _under_root(html_units(pages, "page_id", "html"), "pages")
+    assert evaluate.count(f, "//p").first().n == 3 and evaluate.count(f, "/pages/p/following-sibling::p").first().n == 2
+    for text, n in (("//p[@class='k']", 1), ("//p[text()='x']", 1), ("//*[./b]", 1), ("//p", 3)):
+        g = _under_root(html_units(pages, "page_id", "html", constants(text)), "pages")
+        assert evaluate.count(g, text).first().n == n
+
+
+def test_late_events_are_walked_in_order(spark, tmp_path):
+    rows = [(i, i * 60, 1 if i % 3 else 2, ["view", "purchase", "error", "view"][i % 4]) for i in range(60)]
+    random.Random(1).shuffle(rows)
+    df = spark.createDataFrame(rows, "event_id long, s long, user_id long, event_type string").selectExpr("event_id", "timestamp_seconds(s) as ts", "user_id", "event_type")
+    for k, part in enumerate(df.randomSplit([1.0, 1.0, 1.0], 4)):
+        part.coalesce(1).write.parquet(f"file://{tmp_path}/in/{k}")
+    events = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(f"file://{tmp_path}/in")
+    got = {r.user_id: r.n for r in streams.drain(streams.walk_siblings(events, "//view/following-sibling::purchase", late="2 hours"), "update").groupBy("user_id").max("n").withColumnRenamed("max(n)", "n").collect()}
+    want = {}
+    for u in (1, 2):
+        own = [e for _, _, v, e in sorted(rows) if v == u]
+        want[u] = sum(e == "purchase" and "view" in own[:i] for i, e in enumerate(own))
+    assert got == want
+
+
+def test_edges_need_roots_and_may_be_empty(spark):
+    links = spark.createDataFrame([("a", None, 1, "x"), ("b", "a", 2, "y"), ("c", "a", 1, "z"), ("d", "b", 1, "w"), ("e", "q", 1, "lost")], "id string, parent string, ord long, label string")
+    assert [tuple(r) for r in edges(links).orderBy("pre").collect()] == [("a", 1, 0, 4, "x"), ("c", 2, 1, 1, "z"), ("b", 3, 1, 2, "y"), ("d", 4, 2, 1, "w")]
+    assert edges(links.limit(0)).count() == 0
