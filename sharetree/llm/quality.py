@@ -16,14 +16,17 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 from operator import eq
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 FOLDS, MAX_FIT, ROUNDS, L2 = 5, 1500, 200, 1e-3
+#: Bytes of texts of one label that the fit reads.
+MAX_FIT_BYTES = 1 << 25
 THRESHOLD = 0.3
 
 #: Byte classes: 0 other control, 1 lower, 2 upper, 3 digit, 4 space, 5 sentence marks, 6 quotes and hyphens, 7 bars and brackets, 8 other signs, 9 beyond ASCII (lead), 10 beyond ASCII (trail).
@@ -159,12 +162,17 @@ def fold(doc_id: str | Column) -> Column:
     return F.crc32(F.col(doc_id).cast("string") if isinstance(doc_id, str) else doc_id.cast("string")) % FOLDS
 
 
-def fit_from(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> Field:
-    """Fit on at most ``max_fit`` documents of each label, none of them held out."""
+def fit_from(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT, max_bytes: int = MAX_FIT_BYTES) -> Field:
+    """Fit on at most ``max_fit`` documents of each label, none of them held out, and of those on the first, in a hashed order, that have ``max_bytes`` together."""
     usable = labels.where(F.col("quality").isin(0, 1) & (fold("doc_id") != 0)).select("doc_id", "quality").distinct()
     some = [usable.where(F.col("quality") == v).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_fit) for v in (0, 1)]
     picked = some[0].unionByName(some[1])  # 2 * max_fit short rows
-    rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").orderBy("doc_id", "quality", "text").collect()
+    order = [F.xxhash64("doc_id"), F.col("doc_id"), F.md5("text")]
+    rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id")
+    # ids may repeat: the window is over no more rows than ids were picked
+    rows = reduce(DataFrame.unionByName, (rows.where(F.col("quality") == v).orderBy(*order).limit(max_fit) for v in (0, 1)))
+    size = F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 8).over(Window.partitionBy("quality").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))
+    rows = rows.withColumn("size", size).where(F.col("size") <= max_bytes).orderBy("doc_id", "quality", "text").collect()
     return fit([(r["text"] or "").encode() for r in rows], [r["quality"] for r in rows])
 
 

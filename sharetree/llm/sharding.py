@@ -60,7 +60,7 @@ def shard(docs: DataFrame, shards: int, seed: int = 42) -> DataFrame:
     firsts = _first_ranks(slim, source, "range").join(sizes, source).drop("in_bucket")
     within = Window.partitionBy(*source, "range").orderBy("digest")
     ranked = slim.withColumn("in_range", F.row_number().over(within) - 1).join(firsts, [*source, "range"])
-    # (rank + 1/2) / n as a fraction of integers is exact where doubles round
+    # one division of integers: equal fractions give the same double, and it keeps their order
     fraction = (2 * (F.col("first") + F.col("in_range")) + 1) / (2 * F.col("of_source"))
     placed = ranked.select("doc_id", "source", "no_source", "size", "text_crc32", "digest", fraction.alias("fraction"))
     placed = placed.withColumn("range", F.least(F.floor(F.col("fraction") * ranges), F.lit(ranges - 1)).cast("int"))

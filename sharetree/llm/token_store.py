@@ -306,7 +306,7 @@ def write_token_store(docs: DataFrame, path: str, tokenizer: str, end_id: int =
     """Encode ``docs`` (doc_id, text) and write the store.
 
     ``order``: ``doc_id`` sorts by it; ``stored`` keeps the order in which the files that ``docs`` reads have the rows (for a
-    corpus that was shuffled before).
+    corpus that was shuffled before), so ``docs`` must be a plain scan of files then.
     """
     if order == "stored":
         keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("_metadata.file_name").alias("k1"), F.col("_metadata.row_index").alias("k2"))

@@ -121,22 +121,108 @@ def test_held_out_accuracy(spark):
     assert sum(r.predicted == r.quality for r in got) / len(got) > 0.9
 
 
-def test_pipeline_stages_on_a_small_corpus(spark):
-    sf, docs, kept = "/root/testdata/sf0.001", None, []
+def pairs(df):
+    return sorted(((r.doc_id, r.text) for r in df.select("doc_id", "text").collect()), key=repr)
+
+
+def one_of_each_component(rows):
+    from tests.llm.test_near_duplicates import sets_of
+
+    sets, up = [sets_of(t) for _, t in rows], list(range(len(rows)))
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            if a and b and 100 * len(a & b) >= 75 * len(a | b):
+                up[root(i)] = root(j)
+    order = lambda i: (rows[i][0] is None, rows[i][0] or 0, hashlib.md5((rows[i][1] or "").encode()).hexdigest())
+    best = {}
+    for i in range(len(rows)):
+        k = root(i)
+        best[k] = min(best.get(k, i), i, key=order)
+    return sorted((rows[i] for i in best.values()), key=repr)
+
+
+def without_benchmark(rows, items):
+    grams = set()
+    for x in items:
+        w = words(x)
+        n = min(10, len(w))
+        grams |= {tuple(w[i : i + n]) for i in range(len(w) - n + 1)} if w else set()
+    lengths = {len(g) for g in grams}
+    clean = lambda w: not any(tuple(w[i : i + n]) in grams for n in lengths for i in range(len(w) - n + 1))
+    return sorted((r for r in rows if clean(words(r[1]))), key=repr)
+
+
+def mixed(rows, weights, seed):
+    size = Counter()
+    for _, text, source in rows:
+        size[source] += len((text or "").encode()) + 8
+    weight = {s: weights.get(s, 1.0) for s in size}
+    out = []
+    for d, text, s in rows:
+        rate = weight[s] / sum(weight.values()) * 1.0 * sum(size.values()) / size[s]
+        digest = hashlib.md5(f"{'~' if d is None else d}:{text or ''}".encode()).hexdigest()
+        parts = max(1, math.ceil(rate / 200))
+        mean, k = rate / parts, 0
+        for part in range(1, parts + 1):
+            u = int(hashlib.md5(f"{seed}:{part}:{digest}".encode()).hexdigest()[:13], 16) / 2**52
+            p = cdf = math.exp(-mean)
+            n = 0
+            while cdf <= u and n <= math.ceil(mean + 12 * math.sqrt(mean) + 20):
+                n += 1
+                p *= mean / n
+                cdf += p
+            k += n
+        out += [(d, text)] * k
+    return sorted(out, key=repr)
+
+
+def test_pipeline_stages_equal_brute_force(spark, odd):
+    from sharetree.llm.registry import MIX_WEIGHTS, SEED, tokenizer_path
     from sharetree.llm.storage import materialize, table
-
-    docs = table(spark, sf, "documents")
+    from sharetree.llm.token_store import encoder
+
+    sf = "/root/testdata/sf0.001"
+    whole = table(spark, sf, "documents")
+    # awkward rows, and columns with the names of inner ones
+    docs = whole.unionByName(odd.select(*whole.columns)).selectExpr("*", "1 as row", "2 as score", "3 as copy", "4 as text_key", "5 as rid", "6 as kept")
+    docs = materialize(docs, "pipeline-test")
+    field = quality.fit_from(docs, table(spark, sf, "labels"))
+    items = [r.text for r in table(spark, sf, "benchmark").collect()]
+    seen = []
     for name, stage in corpus_pipeline.STAGES:
+        before = [(r.doc_id, r.text) for r in docs.collect()]
         out = materialize(stage(spark, docs, sf), name)
-        if name != "token_output":
-            assert out.columns == docs.columns
-        kept.append((name, docs, out))
+        seen.append((len(before), out.count()))
+        if name == "quality_classifier":
+            want = sorted((r for r, x in zip(before, field.scores([(t or "").encode() for _, t in before])) if x >= quality.THRESHOLD), key=repr)
+        elif name == "near_dedup":
+            want = one_of_each_component(before)
+        elif name == "benchmark_decontamination":
+            want = without_benchmark(before, items)
+        elif name == "target_mixture":
+            want = mixed([(r.doc_id, r.text, r.source) for r in docs.collect()], MIX_WEIGHTS, SEED)
+        else:
+            t = encoder(tokenizer_path()).tokenizer
+            ids = [(d, np.array([*t.encode(x or "", add_special_tokens=False).ids, 2], "<u4")) for d, x in before]
+            got = out.orderBy("start").collect()
+            assert sorted(((r.doc_id, r.n_tokens, r.ids_crc32) for r in got), key=repr) == sorted(((d, len(x), zlib.crc32(x.tobytes())) for d, x in ids), key=repr)
+            assert got[0].start == 0 and all(a.start + a.n_tokens == b.start for a, b in zip(got, got[1:]))
+            break
+        assert pairs(out) == want and out.columns == docs.columns, name
         docs = out
-    texts = {r.doc_id: r.text for r in kept[0][1].collect()}
-    for name, before, after in kept[:4]:
-        assert all(texts[r.doc_id] == r.text for r in after.collect()), name
-    stored = [r.doc_id for r in kept[3][2].select("doc_id").collect()]
-    assert sorted(stored) == sorted(r.doc_id for r in kept[4][2].collect())
-    assert {r.doc_id for r in kept[3][2].collect()} <= {r.doc_id for r in kept[2][2].collect()}
-    last = kept[4][2].orderBy("start").collect()
-    assert last[0].start == 0 and all(a.start + a.n_tokens == b.start for a, b in zip(last, last[1:]))
+    assert all(b < a for a, b in seen[:3])  # each of the first three found something to remove
+
+
+def test_pipeline_of_an_empty_table(spark, odd):
+    sf, docs = "/root/testdata/sf0.001", odd.limit(0)
+    from sharetree.llm.storage import materialize
+
+    for name, stage in corpus_pipeline.STAGES[1:4]:
+        docs = materialize(stage(spark, docs, sf), name)
+        assert docs.columns == odd.columns and docs.count() == 0
