@@ -1,7 +1,12 @@
 """A corpus pipeline: quality, near duplicates, benchmark decontamination, mixture, token ids.
 
 Each stage takes (spark, docs, sf_dir) and returns a frame that is written as Parquet and read again as the next stage's
-documents.  All but the last return the columns of ``documents``.
+documents.  All but the last return the columns of ``documents``, whatever other ones there are and whatever they are called.
+
+Defined cases, by stage: ``quality_classifier`` scores null and empty texts like any other text, and keeps a row for each input row that it
+keeps; ``near_dedup`` leaves rows without words alone, of rows alike in doc_id and text one stays, and a null doc_id comes last in its
+component; ``benchmark_decontamination`` keeps rows without words; ``target_mixture`` takes a null source for a source of its own and draws rows that are alike
+alike; ``token_output`` gives null and empty texts the end id alone.  An empty table goes through all stages as an empty table.
 """
 
 from __future__ import annotations
