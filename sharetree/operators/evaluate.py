@@ -58,6 +58,12 @@ def _stored(forest: Forest, df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def _dealt(df: DataFrame) -> DataFrame:
+    """Rows by entry over a fixed number of tasks: what follows is work in Python, which small partitions joined into one would leave to one task."""
+    spark = df.sparkSession
+    return df.repartition(max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism), "entry")
+
+
 def dictionary(forest: Forest) -> tuple[DataFrame, DataFrame]:
     """(entry, roots, nodes, labels, depths) of the distinct unit trees, and the units (unit, top, before) with their entry; written once for a forest."""
     if "dictionary" not in forest.built:
@@ -65,7 +71,7 @@ def dictionary(forest: Forest) -> tuple[DataFrame, DataFrame]:
         entries = units.groupBy("entry").agg(F.first("labels").alias("labels"), F.first("depths").alias("depths"))
         roots = F.expr("filter(labels, (w, i) -> depths[i] = 0)")
         entries = entries.select("entry", roots.alias("roots"), F.size("labels").cast("long").alias("nodes"), "labels", "depths")
-        forest.built["dictionary"] = _stored(forest, entries, "entries"), _stored(forest, units.select("unit", "top", F.col("before").cast("long").alias("before"), "entry"), "units")
+        forest.built["dictionary"] = _stored(forest, _dealt(entries), "entries"), _stored(forest, units.select("unit", "top", F.col("before").cast("long").alias("before"), "entry"), "units")
     return forest.built["dictionary"]
 
 
@@ -341,7 +347,7 @@ def _answers(forest: Forest, query: str | Walker, what: str, compress: str = "bi
     alive = at if walker.dead is None else at.where(F.col("state") != walker.dead)  # nothing can be selected in other units
     column, kind, _ = RESULTS[what]
     source = _source(forest, compress)
-    todo = alive.select("entry", "state").distinct().join(source, "entry").select("entry", "state", *source.columns[1:])
+    todo = _dealt(alive.select("entry", "state")).distinct().join(_dealt(source), "entry").select("entry", "state", *source.columns[1:])
     done = todo.mapInArrow(_task(what, parsed, walker, compress, options), f"entry string, state long, {column} {kind}")
     return at.join(done, ["entry", "state"], "left" if outer else "inner").select("unit", "top", "entry", column), selected
 
@@ -381,7 +387,7 @@ def count_many(forest: Forest, queries: list[str], compress: str = "binary", **o
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds)], names=["entry", "k", "state", "n"])
 
     # the pairs of an entry: at most (queries) * (states)
-    todo = every.groupBy("entry").agg(F.collect_set(F.struct("k", "state")).alias("asked")).join(source, "entry").select("entry", "asked", *source.columns[1:])
+    todo = _dealt(every.distinct()).groupBy("entry").agg(F.collect_set(F.struct("k", "state")).alias("asked")).join(_dealt(source), "entry").select("entry", "asked", *source.columns[1:])
     done = todo.mapInArrow(run, "entry string, k int, state long, n decimal(38,0)")
     sums = every.join(done, ["entry", "k", "state"]).groupBy("k").agg(F.sum("n").alias("n"))
     base = source.sparkSession.createDataFrame(above, "k int, query string, own long")
@@ -412,7 +418,7 @@ def node_at(forest: Forest, numbers: DataFrame, compress: str = "binary") -> Dat
     entries, units = dictionary(forest)
     asked = numbers.select("unit", "pre").join(units, "unit").select("unit", "entry", "pre")
     # numbers of an entry: no more than its nodes
-    todo = asked.groupBy("entry").agg(F.collect_set("pre").alias("wanted")).join(grammars(forest, compress), "entry").select("entry", "wanted", "labels", "ranks", "lengths", "symbols")
+    todo = _dealt(asked.groupBy("entry").agg(F.collect_set("pre").alias("wanted"))).join(_dealt(grammars(forest, compress)), "entry").select("entry", "wanted", "labels", "ranks", "lengths", "symbols")
     return asked.join(todo.mapInArrow(run, "entry string, pre long, label string, template long"), ["entry", "pre"]).select("unit", "pre", "label", "template")
 
 
