@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sharetree.llm.storage import materialize
+from sharetree.llm.storage import join_counted, materialize
 
 #: Bits of a packed number that hold the position; the others hold the leading bits of the hash.
 POSITION_BITS = np.uint64(31)
@@ -78,7 +78,8 @@ def shared_anchors(docs: DataFrame, find: Callable[[bytes], tuple[np.ndarray, np
     found = materialize(rows.mapInArrow(_anchor_rows(find), "anchor long, text_key binary, at int"), "anchors")
     # two places of equal hash would hide each other only where an anchor has no third one: 2**-64 for each anchor
     place = F.xxhash64("text_key", "at") if within_text else F.xxhash64("text_key")
-    twice = found.groupBy("anchor").agg(F.min(place).alias("a"), F.max(place).alias("b"), F.count("*").alias("n")).where("a <> b").select("anchor", (F.col("n") > group).alias("large"))
+    twice = found.groupBy("anchor").agg(F.min(place).alias("a"), F.max(place).alias("b"), F.count("*").alias("n")).where("a <> b").select("anchor", "n", (F.col("n") > group).alias("large"))
+    shared = join_counted(found, materialize(twice, "shared-anchors"), ["anchor"], "n", found.count())
     # sets merge before they are shuffled, so many copies of a text arrive as one
-    spots = found.join(twice, "anchor").groupBy("text_key").agg(F.collect_set(F.struct("anchor", "at", "large")).alias("spots"))
+    spots = shared.groupBy("text_key").agg(F.collect_set(F.struct("anchor", "at", "large")).alias("spots"))
     return materialize(spots, "anchor-spots")

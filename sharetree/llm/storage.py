@@ -47,3 +47,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def utf8(text: str | Column) -> Column:
     """The text's UTF-8 bytes; null counts as empty."""
     return F.encode(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit("")), "UTF-8")
+
+
+#: Keys that may each have more than one row in this many.
+HEAVY = 1000
+
+
+def join_counted(rows: DataFrame, counts: DataFrame, on: list[str], n: str, total: int) -> DataFrame:
+    """``rows`` joined with the row that ``counts`` has for a key; a key has at most ``counts[n]`` of the ``total`` rows.
+
+    The counts of all keys add up to ``total`` at most, so fewer than ``HEAVY`` keys exceed its ``HEAVY``th part: these are broadcast and
+    their rows stay where they are.  All other keys are shuffled.  Both frames are read twice: give stored ones.
+    """
+    heavy = F.broadcast(counts.where(F.col(n) > total // HEAVY))
+    light = rows.join(heavy.select(*on), on, "left_anti").join(counts.where(F.col(n) <= total // HEAVY), on)
+    return light.unionByName(rows.join(heavy, on))

@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from sharetree.llm.anchors import GROUP, LAST, anchors, distinct_texts, shared_anchors, text_key
 from sharetree.llm.rolling import windows_hash, word_hashes
-from sharetree.llm.storage import materialize
+from sharetree.llm.storage import join_counted, materialize
 from sharetree.llm.suffix_sort import extents
 
 #: Bytes of a repeated string, and of the part that anchors hash.
@@ -44,8 +44,6 @@ AUTOMATON_CHARS = 200_000
 SPANS = "text_key binary, start int, stop int"
 #: Bytes of stretches that wait for one automaton.
 HELD_BYTES = 32_000_000
-#: Tasks over which the members of one kind of stretch are dealt, where it is looked up.
-SALTS = 8
 #: A stretch around an anchor: ``places`` are the anchor's positions in the text, ``before`` the units before it.
 STRETCHES = "anchor long, large boolean, text_key binary, doc long, places array<int>, before int, stretch binary"
 _STRETCH_NAMES = [c.split()[0] for c in STRETCHES.split(", ")]
@@ -282,14 +280,14 @@ def _divided(large: DataFrame, words: bool, length: int, reach: int, group: int)
     while True:
         cut = materialize(rows.mapInArrow(_halves(words, length, divide), PARTS), "anchor-parts")
         place = F.struct("text_key", F.element_at("places", 1).alias("at"))
-        kinds = cut.groupBy("anchor", "kind").agg(F.sum(F.size("places")).alias("n"), F.min("doc").alias("first"), F.min(place).alias("chosen"))
-        parts = kinds.groupBy("anchor").agg(F.count("*").alias("kinds"))
-        salted = kinds.select("*", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-        known = cut.withColumn("salt", F.pmod(F.xxhash64("text_key", "places"), F.lit(SALTS)).cast("int")).join(salted, ["anchor", "kind", "salt"])
+        kinds = cut.groupBy("anchor", "kind").agg(F.count("*").alias("members"), F.sum(F.size("places")).alias("n"), F.min("doc").alias("first"), F.min(place).alias("chosen"))
+        kinds, total = materialize(kinds, "anchor-part-kinds"), cut.count()
+        parts = materialize(kinds.groupBy("anchor").agg(F.count("*").alias("kinds"), F.sum("members").alias("members")), "anchor-part-sizes")
+        known = join_counted(cut, kinds, ["anchor", "kind"], "members", total).drop("members")
         known = materialize(known.withColumns({"lost": F.col("doc") > F.col("first") if words else F.col("n") > 1, "goes_on": F.col("doc") == F.col("first") if words else place == F.col("chosen")}), "anchor-kinds")
         start = F.explode(F.transform("places", lambda at: at - F.col("before")))
         settled.append(known.where("lost").select("text_key", start.alias("start"), "size").select("text_key", "start", (F.col("start") + F.col("size")).alias("stop")))
-        rest = known.where("goes_on").join(parts.where("kinds > 1"), "anchor").select("anchor", "least", "most", "text_key", "doc", "places", "before", "stretch", "kinds")
+        rest = join_counted(known.where("goes_on"), parts.where("kinds > 1"), ["anchor"], "members", total).select("anchor", "least", "most", "text_key", "doc", "places", "before", "stretch", "kinds")
         ready.append(rest.where(F.col("kinds") <= group).select(*_SORTED))
         rows = rest.where(F.col("kinds") > group).drop("kinds")
         if rows.isEmpty():
