@@ -2,10 +2,13 @@
 
 ``build`` writes a container whose single audio track holds the payload as unsigned 8-bit samples in blocks of 64, 64 blocks a
 chunk, the first block of each chunk being a key frame.  ``describe`` walks the nested boxes of any such container, decodes the
-sample tables and returns codec, time scale, duration, and the byte ranges of samples and key frames; it skips ``mdat``.
+sample tables, those of movie fragments as well, and returns codec, time scale, duration, and the byte ranges of samples and key
+frames of every track; it skips ``mdat``.
 
 Defined cases: a null or empty text is a payload of one block of zeros; equal texts give equal bytes; a container that is cut
-short or malformed gives ``ValueError`` (column form: null codec and the message in ``error``).
+short or malformed gives ``ValueError`` (column form: null codec and the message in ``error``), and so does one whose tables tell
+of more samples than it has bytes, or whose fragment belongs to no track; a track's duration is that of its header, if known,
+plus that of its fragments.
 """
 
 from __future__ import annotations
@@ -88,14 +91,36 @@ class Track:
     handler: str = ""
     time_scale: int = 0
     duration: int = 0
+    number: int = 0
+    room: int = 0
     tables: dict[bytes, memoryview] = field(default_factory=dict)
-
-    def samples(self) -> tuple[np.ndarray, np.ndarray]:
-        """Offset and size of every sample, from the size, chunk and offset tables."""
-        if b"stsz" not in self.tables:
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        size, n = struct.unpack_from(">II", self.tables[b"stsz"], 4)
-        sizes = np.full(n, size, np.int64) if size else np.frombuffer(self.tables[b"stsz"], ">u4", n, 12).astype(np.int64)
+    #: Offsets, sizes and whether they are key frames, of the samples of each run of a fragment.
+    runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = field(default_factory=list)
+
+    def _sizes(self) -> np.ndarray:
+        """The size table, in its plain or its compact form."""
+        if b"stsz" in self.tables:
+            size, n = struct.unpack_from(">II", self.tables[b"stsz"], 4)
+            if n > self.room:
+                raise ValueError("more samples than bytes")
+            return np.full(n, size, np.int64) if size else np.frombuffer(self.tables[b"stsz"], ">u4", n, 12).astype(np.int64)
+        if b"stz2" in self.tables:
+            bits, n = struct.unpack_from(">II", self.tables[b"stz2"], 4)
+            bits &= 0xFF
+            if bits == 4:
+                pairs = np.frombuffer(self.tables[b"stz2"], np.uint8, (n + 1) // 2, 12)
+                return np.stack((pairs >> 4, pairs & 15), 1).ravel()[:n].astype(np.int64)
+            if bits not in (8, 16):
+                raise ValueError("a size table of unknown width")
+            return np.frombuffer(self.tables[b"stz2"], f">u{bits // 8}", n, 12).astype(np.int64)
+        return np.zeros(0, np.int64)
+
+    def _tabled(self) -> tuple[np.ndarray, np.ndarray]:
+        """Offset and size of the samples that the size, chunk and offset tables tell of."""
+        sizes = self._sizes()
+        n = len(sizes)
+        if not n:
+            return sizes, sizes
         kind = b"co64" if b"co64" in self.tables else b"stco"
         (chunks,) = struct.unpack_from(">I", self.tables[kind], 4)
         offsets = np.frombuffer(self.tables[kind], ">u8" if kind == b"co64" else ">u4", chunks, 8).astype(np.int64)
@@ -109,16 +134,25 @@ class Track:
         first = np.concatenate(([0], np.cumsum(per_chunk)))[:-1][chunk]
         return offsets[chunk] + (ends - sizes) - (ends - sizes)[first], sizes
 
+    def samples(self) -> tuple[np.ndarray, np.ndarray]:
+        """Offset and size of every sample, those of fragments last."""
+        offsets, sizes = zip(self._tabled(), *((o, s) for o, s, _ in self.runs))
+        return np.concatenate(offsets), np.concatenate(sizes)
+
     def keys(self) -> np.ndarray:
         """Numbers of the key frames, from 0; without a table every sample is one."""
-        if b"stss" not in self.tables:
-            return np.arange(struct.unpack_from(">I", self.tables[b"stsz"], 8)[0]) if b"stsz" in self.tables else np.zeros(0, np.int64)
-        (n,) = struct.unpack_from(">I", self.tables[b"stss"], 4)
-        return np.frombuffer(self.tables[b"stss"], ">u4", n, 8).astype(np.int64) - 1
-
-
-def walk(data: memoryview, start: int = 0, stop: int | None = None) -> Iterator[tuple[bytes, int, int]]:
-    """(type, start, stop) of each box's content, depth first; containers are entered, payloads are not read."""
+        n = len(self._sizes())
+        if b"stss" in self.tables:
+            (some,) = struct.unpack_from(">I", self.tables[b"stss"], 4)
+            numbers = np.frombuffer(self.tables[b"stss"], ">u4", some, 8).astype(np.int64) - 1
+        else:
+            numbers = np.arange(n)
+        marks = [k for _, _, k in self.runs]
+        return np.concatenate((numbers, n + np.flatnonzero(np.concatenate(marks)))) if marks else numbers
+
+
+def walk(data: memoryview, start: int = 0, stop: int | None = None) -> Iterator[tuple[bytes, int, int, int]]:
+    """(type, box start, content start, stop) of each box, depth first; containers are entered, payloads are not read."""
     stop = len(data) if stop is None else stop
     while start < stop:
         if stop - start < 8:
@@ -133,31 +167,97 @@ def walk(data: memoryview, start: int = 0, stop: int | None = None) -> Iterator[
             size = stop - start
         if size < head or start + size > stop:
             raise ValueError("a box is larger than what holds it")
-        yield kind, start + head, start + size
+        yield kind, start, start + head, start + size
         if kind in CONTAINERS:
             yield from walk(data, start + head, start + size)
         start += size
 
 
+@dataclass
+class Fragment:
+    """What the boxes of a movie fragment have said so far."""
+
+    start: int  # of the fragment's box
+    end: int  # of the data told of
+    base: int = 0
+    number: int = 0
+    #: Duration, size and flags of samples that don't give their own.
+    values: list[int] = field(default_factory=list)
+
+    def head(self, view: memoryview, at: int, defaults: dict[int, list[int]]) -> None:
+        flags, self.number = struct.unpack_from(">II", view, at)
+        self.values = list(defaults.get(self.number, (0, 0, 0)))
+        self.base = self.start if flags & 0x20000 else self.end
+        at += 8
+        if flags & 1:
+            (self.base,) = struct.unpack_from(">Q", view, at)
+            at += 8
+        at += 4 if flags & 2 else 0
+        for i, bit in enumerate((0x8, 0x10, 0x20)):
+            if flags & bit:
+                (self.values[i],) = struct.unpack_from(">I", view, at)
+                at += 4
+        self.end = self.base
+
+    def run(self, view: memoryview, at: int, stop: int, track: Track) -> None:
+        """Gives the track the samples of a run."""
+        flags, n = struct.unpack_from(">II", view, at)
+        at += 8
+        if flags & 1:
+            self.end = self.base + struct.unpack_from(">i", view, at)[0]
+            at += 4
+        first = None
+        if flags & 4:
+            (first,) = struct.unpack_from(">I", view, at)
+            at += 4
+        given = [i for i, bit in enumerate((0x100, 0x200, 0x400, 0x800)) if flags & bit]
+        if n > len(view) or at + 4 * n * len(given) > stop:
+            raise ValueError("more samples than bytes")
+        table = np.frombuffer(view, ">u4", n * len(given), at).reshape(n, len(given)).astype(np.int64)
+        durations, sizes, marks = (table[:, given.index(i)] if i in given else np.full(n, self.values[i], np.int64) for i in range(3))
+        if first is not None:
+            marks[:1] = first
+        ends = self.end + np.cumsum(sizes)
+        track.runs.append((ends - sizes, sizes, (marks & 0x10000) == 0))
+        track.duration += int(durations.sum())
+        self.end += int(sizes.sum())
+
+
 def describe(data: bytes) -> list[Track]:
     """The tracks of a container."""
     view, tracks = memoryview(data), []
+    defaults: dict[int, list[int]] = {}
+    fragment = Fragment(0, 0)
     try:
-        for kind, a, b in walk(view):
+        for kind, start, a, b in walk(view):
             if kind == b"trak":
-                tracks.append(Track())
+                tracks.append(Track(room=len(view)))
+            elif kind == b"trex":
+                number, _, *defaults[number] = struct.unpack_from(">5I", view, a + 4)
+            elif kind == b"moof":
+                fragment = Fragment(start, start)
+            elif kind == b"tfhd":
+                fragment.head(view, a, defaults)
+            elif kind == b"trun":
+                owner = next((t for t in tracks if t.number == fragment.number), None)
+                if owner is None:
+                    raise ValueError("a fragment of no track")
+                fragment.run(view, a, b, owner)
             elif not tracks:
                 continue
+            elif kind == b"tkhd":
+                (tracks[-1].number,) = struct.unpack_from(">I", view, a + (20 if view[a] == 1 else 12))
             elif kind == b"mdhd":
                 wide = view[a] == 1
-                tracks[-1].time_scale, tracks[-1].duration = struct.unpack_from(">IQ" if wide else ">II", view, a + (20 if wide else 12))
+                tracks[-1].time_scale, duration = struct.unpack_from(">IQ" if wide else ">II", view, a + (20 if wide else 12))
+                tracks[-1].duration = 0 if duration == (1 << (64 if wide else 32)) - 1 else duration  # all ones: not known
             elif kind == b"hdlr":
                 tracks[-1].handler = bytes(view[a + 8 : a + 12]).decode("latin-1")
             elif kind == b"stsd":
                 tracks[-1].codec = bytes(view[a + 12 : a + 16]).decode("latin-1")
-            elif kind in (b"stts", b"stsc", b"stsz", b"stco", b"co64", b"stss"):
+            elif kind in (b"stts", b"stsc", b"stsz", b"stz2", b"stco", b"co64", b"stss"):
                 tracks[-1].tables[kind] = view[a:b]
-    except struct.error as e:
+    except (struct.error, IndexError) as e:
         raise ValueError("a box is cut short") from e
     return tracks
 
@@ -212,27 +312,39 @@ def media_features(stored: DataFrame) -> DataFrame:
     return stored.select("doc_id", "n_bytes", "media").mapInArrow(_read, FEATURES_SCHEMA)
 
 
+TRACK_SCHEMA = "handler string, codec string, seconds double, samples long, key_ranges array<struct<start:long,stop:long>>"
+
+
+def _columns_of(track: Track) -> dict:
+    offsets, sizes = track.samples()
+    keys = track.keys()
+    return {
+        "handler": track.handler, "codec": track.codec, "seconds": track.duration / track.time_scale if track.time_scale else None, "samples": len(sizes),
+        "key_ranges": [{"start": a, "stop": b} for a, b in zip(offsets[keys].tolist(), (offsets + sizes)[keys].tolist())],
+    }
+
+
 def _describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    key = pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())]))
+    spans = pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())]))
+    kinds = {"handler": pa.string(), "codec": pa.string(), "seconds": pa.float64(), "samples": pa.int64(), "key_ranges": spans}
     for batch in batches:
-        out: list[list] = [[], [], [], [], []]
+        rows: list[list[dict]] = []
+        errors: list[str | None] = []
         for media in batch.column(1).to_pylist():
-            row: tuple = (None, None, None, None, None)
             try:
-                for track in describe(media or b"")[:1]:
-                    offsets, sizes = track.samples()
-                    keys = track.keys()
-                    spans = [{"start": a, "stop": b} for a, b in zip(offsets[keys].tolist(), (offsets + sizes)[keys].tolist())]
-                    row = (track.codec, track.duration / track.time_scale if track.time_scale else None, len(sizes), spans, None)
+                rows.append([_columns_of(track) for track in describe(media or b"")])
+                errors.append(None)
             except (ValueError, KeyError, IndexError, struct.error) as e:
-                row = (None, None, None, None, str(e) or type(e).__name__)
-            for column, x in zip(out, row):
-                column.append(x)
-        kinds = [pa.string(), pa.float64(), pa.int64(), key, pa.string()]
-        yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(out, kinds))], names=["media_id", "codec", "seconds", "samples", "key_ranges", "error"])
+                rows.append([])
+                errors.append(str(e) or type(e).__name__)
+        main = [next((t for t in tracks if t["handler"] == "vide"), tracks[0] if tracks else {}) for tracks in rows]
+        columns = {c: pa.array([t.get(c) for t in main], k) for c, k in kinds.items() if c != "handler"}
+        tracks = pa.array(rows, pa.list_(pa.struct(list(kinds.items()))))
+        yield pa.RecordBatch.from_arrays([batch.column(0), *columns.values(), pa.array(errors, pa.string()), tracks], names=["media_id", *columns, "error", "tracks"])
 
 
 def media_columns(df: DataFrame, id_col: str, media_col: str) -> DataFrame:
-    """codec, seconds, samples, key-frame byte ranges and error of the first track of each container in a column."""
-    schema = "media_id long, codec string, seconds double, samples long, key_ranges array<struct<start:long,stop:long>>, error string"
+    """Codec, seconds, samples and key-frame byte ranges of a container's first video track (without one: its first track), error, and all its tracks."""
+    inner = TRACK_SCHEMA.replace("handler string, ", "")
+    schema = f"media_id long, {inner}, error string, tracks array<struct<{TRACK_SCHEMA.replace(' ', ':').replace(',:', ',')}>>"
     return df.selectExpr(f"cast(`{id_col}` as long) as media_id", f"cast(`{media_col}` as binary) as media").mapInArrow(_describe, schema)

@@ -57,6 +57,12 @@ def test_equal_to_brute_force(spark, bucket):
     assert sorted((r.doc_id, r.n_shingles, r.component_id) for r in got.collect()) == sorted(brute(rows))
 
 
+def test_whole_table_equals_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    got = near_duplicates(docs).collect()
+    assert sorted((r.doc_id, r.n_shingles, r.component_id) for r in got) == sorted(brute([(r.doc_id, r.text) for r in docs.collect()]))
+
+
 def test_odd_rows(spark, odd):
     got = near_duplicates(odd).collect()
     assert len(got) == odd.count() and near_duplicates(odd.limit(0)).count() == 0
