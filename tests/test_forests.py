@@ -4,6 +4,7 @@ import random
 
 import pytest
 from pyspark.sql import SparkSession
+from pyspark.sql import functions as F
 
 from sharetree.functions import grammar as G
 from sharetree.operators import baseline, compress, evaluate, programs, segments
@@ -219,3 +220,21 @@ def test_edges_need_roots_and_may_be_empty(spark):
     links = spark.createDataFrame([("a", None, 1, "x"), ("b", "a", 2, "y"), ("c", "a", 1, "z"), ("d", "b", 1, "w"), ("e", "q", 1, "lost")], "id string, parent string, ord long, label string")
     assert [tuple(r) for r in edges(links).orderBy("pre").collect()] == [("a", 1, 0, 4, "x"), ("c", 2, 1, 1, "z"), ("b", 3, 1, 2, "y"), ("d", 4, 2, 1, "w")]
     assert edges(links.limit(0)).count() == 0
+
+
+def test_segments_of_many_units_stay_whole_when_a_join_is_planned_anew(spark):
+    """Rows of a side that is made smaller or broadcast on the way lie in other parts than the roots': each segment is still one row."""
+    rows = spark.range(20_000).select((F.col("id") % 400).alias("user"), "id", F.lit("x" * 50).alias("label"))
+    small = {"spark.sql.shuffle.partitions": "20", "spark.sql.adaptive.advisoryPartitionSizeInBytes": "4k", "spark.sql.adaptive.coalescePartitions.parallelismFirst": "false", "spark.sql.autoBroadcastJoinThreshold": "256k"}
+    before = {k: spark.conf.get(k, None) for k in small}
+    try:
+        for k, v in small.items():
+            spark.conf.set(k, v)
+        cut = segments.sequence(rows, "user", ["id"], "label", "root", 20)
+        keys = cut.select("unit", "segment", F.size("labels").alias("n")).collect()
+        assert "Union" not in cut._jdf.queryExecution().executedPlan().toString() and cut.inputFiles()
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v) if v is not None else spark.conf.unset(k)
+    assert len(keys) == len({(r.unit, r.segment) for r in keys}) == 400 * 3
+    assert sum(r.n for r in keys) == 20_400
