@@ -238,3 +238,18 @@ def test_segments_of_many_units_stay_whole_when_a_join_is_planned_anew(spark):
             spark.conf.set(k, v) if v is not None else spark.conf.unset(k)
     assert len(keys) == len({(r.unit, r.segment) for r in keys}) == 400 * 3
     assert sum(r.n for r in keys) == 20_400
+
+
+@pytest.mark.parametrize("name", ["cost_walker_rules", "cost_walker_states", "count_depthmod_chain", "udtf_walker_rules"])
+def test_measures_take_their_rows_from_a_given_table(spark, name):
+    import duckdb
+
+    from sharetree.plans.workloads import ORACLES, QUERIES
+
+    sf_dir, c = "/root/testdata/sf0.001", duckdb.connect()
+    for t in ("customer", "orders", "lineitem"):
+        c.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf_dir}/{t}.parquet'")
+    got, want = QUERIES[name](spark, sf_dir), c.sql(ORACLES[name])
+    assert got.columns == want.columns
+    assert sorted(map(repr, map(tuple, got.collect()))) == sorted(map(repr, want.fetchall()))
+    assert {f.split("/")[-1] for f in got.inputFiles()} & {"orders.parquet", "lineitem.parquet"}
