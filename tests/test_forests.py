@@ -253,3 +253,11 @@ def test_measures_take_their_rows_from_a_given_table(spark, name):
     assert got.columns == want.columns
     assert sorted(map(repr, map(tuple, got.collect()))) == sorted(map(repr, want.fetchall()))
     assert {f.split("/")[-1] for f in got.inputFiles()} & {"orders.parquet", "lineitem.parquet"}
+
+
+def test_tasks_hold_a_bounded_number_of_nodes():
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_arrays([pa.array(range(6)), pa.array([["a"] * 3, [], None, ["a"] * 9, ["a"] * 2, ["a"] * 2])], names=["k", "labels"])
+    parts = [b.column(0).to_pylist() for b in evaluate.sliced(iter([batch]), 1, 4)]
+    assert parts == [[0, 1, 2], [3], [4, 5]]
