@@ -1,22 +1,52 @@
-"""Connected components of an edge table by alternating star contractions; nothing reaches the driver but two numbers a round."""
+"""Connected components of an edge table by alternating star contractions; nothing reaches the driver but two numbers a round.
+
+A table of few edges is contracted by one task, by union-find: each round is a dozen stages, which the driver keeps records of.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sharetree.llm.storage import materialize
 
+#: Edges that one task contracts (some 100 MB of Python objects at most); more go through the rounds.
+FEW = 1 << 18
+
+
+def _united(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    up: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while up[x] != x:
+            up[x] = x = up[up[x]]
+        return x
+
+    for batch in batches:
+        for u, v in zip(*(c.to_pylist() for c in batch.columns)):
+            x, y = root(up.setdefault(u, u)), root(up.setdefault(v, v))
+            up[max(x, y)] = min(x, y)
+    nodes = list(up)
+    for i in range(0, len(nodes), 10_000):
+        some = nodes[i : i + 10_000]
+        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), pa.array(map(root, some), pa.int64())], names=["node", "component"])
+
 
-def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+def components(edges: DataFrame, a: str = "a", b: str = "b", few: int = FEW) -> DataFrame:
     """(node, component) for every node of an edge; the component is the smallest node that can be reached.
 
-    Each round hangs every larger neighbour of a node, then every node with its smaller neighbours, on the smallest of them; the
+    With more than ``few`` edges, each round hangs every larger neighbour of a node, then every node with its smaller neighbours, on the smallest of them; the
     rounds are logarithmic in the length of the paths.  Minima are aggregated before they are joined, so a node with very
     many edges is a skewed join, which Spark splits, never a list in one row.
     """
-    pairs = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
+    pairs = edges.select(F.greatest(a, b).cast("long").alias("u"), F.least(a, b).cast("long").alias("v")).where("u <> v")
     pairs = materialize(pairs, "edges")
+    if pairs.count() <= few:
+        return materialize(pairs.coalesce(1).mapInArrow(_united, "node long, component long"), "components")
+    pairs = materialize(pairs.distinct(), "edges")
     seen = None
     while True:
         both = pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v")))

@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from sharetree.llm.storage import utf8
+
 FOLDS, MAX_FIT, ROUNDS, L2 = 5, 1500, 200, 1e-3
 #: Bytes of texts of one label that the fit reads.
 MAX_FIT_BYTES = 1 << 25
@@ -35,12 +37,16 @@ for _chars, _k in ((b"abcdefghijklmnopqrstuvwxyz", 1), (b"ABCDEFGHIJKLMNOPQRSTUV
     _CLASS[list(_chars)] = _k
 _CLASS[192:256], _CLASS[128:192] = 9, 10
 CLASSES = 11
+#: Shares of a line: ten byte classes and words that repeat the word before.
+SHARES = 11
+#: Bytes of texts whose features are made at once.
+BLOCK = 1 << 20
 #: Steps that each share is also compared with, so that the linear field can bend.
 STEPS = (0.0, 0.05, 0.2, 0.5)
 
 
-def line_features(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Features (a row a line), the number of lines of each text, and the length of each line plus one."""
+def own_features(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Features of each line alone, without its neighbours (a row a line), the number of lines of each text, and the length of each line plus one."""
     split = [x.split(b"\n") for x in texts]
     counts = np.array([len(x) for x in split], np.int64)
     n = int(counts.sum())
@@ -68,14 +74,72 @@ def line_features(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarra
     shape = np.stack([np.log1p(chars) / 8, np.minimum(chars / words, 30) / 30, np.minimum(words, 100) / 100, by_class[:, 2] / words / 4, by_class[:, 8] / words, by_class[:, 7] / words, again, chars <= 1], 1)
     share = np.concatenate([share, twice[:, None]], 1)
     bent = np.concatenate([share > s for s in STEPS], 1)
-    own = np.concatenate([share, np.minimum(shape, 2), bent], 1)
+    return np.concatenate([share, np.minimum(shape, 2), bent], 1), counts, lengths + 1
+
+
+def line_features(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Features (a row a line), the number of lines of each text, and the length of each line plus one."""
+    own, counts, lengths = own_features(texts)
+    n = len(own)
     first = np.concatenate(([0], np.cumsum(counts)))[:-1]
     last = first + counts - 1
     before, after = np.roll(own, 1, 0), np.roll(own, -1, 0)
     before[first], after[last] = 0, 0
     edges = np.zeros((n, 2))
     edges[first, 0], edges[last, 1] = 1, 1
-    return np.concatenate([np.ones((n, 1)), own, 0.5 * before, 0.5 * after, edges], 1), counts, lengths + 1
+    return np.concatenate([np.ones((n, 1)), own, 0.5 * before, 0.5 * after, edges], 1), counts, lengths
+
+
+class Lines:
+    """The lines of texts for a fit: the features that ``line_features`` gives, as products with weights and residuals, kept in some 200 bytes a line.
+
+    A line's own features are kept once, shares and shape as numbers and the comparisons as bits of a byte; those of its neighbours are the rows beside it.
+    """
+
+    def __init__(self, texts: list[bytes]):
+        self.blocks: list[tuple[np.ndarray, np.ndarray]] = []
+        counts, held, size = [], [], 0
+        for i, x in enumerate(texts):
+            held.append(x)
+            size += len(x)
+            if size > BLOCK or i == len(texts) - 1:
+                own, some, _ = own_features(held)
+                self.width, bits = own.shape[1], len(STEPS) * SHARES
+                self.blocks.append((own[:, :-bits].copy(), own[:, -bits:].astype(bool)))
+                counts.append(some)
+                held, size = [], 0
+        self.counts = np.concatenate(counts)
+        self.first = np.concatenate(([0], np.cumsum(self.counts)))[:-1]
+        self.last = self.first + self.counts - 1
+
+    def _parts(self, weights: np.ndarray) -> tuple[float, list[np.ndarray], np.ndarray]:
+        k = self.width
+        return weights[0], [weights[1 : 1 + k], 0.5 * weights[1 + k : 1 + 2 * k], 0.5 * weights[1 + 2 * k : 1 + 3 * k]], weights[1 + 3 * k :]
+
+    def scores(self, weights: np.ndarray) -> np.ndarray:
+        """Weights times the features of each line."""
+        base, ways, edges = self._parts(weights)
+        own, before, after = (np.concatenate([np.einsum("ij,j->i", a, w[: a.shape[1]]) + np.einsum("ij,j->i", b, w[a.shape[1] :]) for a, b in self.blocks]) for w in ways)
+        before, after = np.roll(before, 1), np.roll(after, -1)
+        before[self.first], after[self.last] = 0, 0
+        out = base + own + before + after
+        out[self.first] += edges[0]
+        out[self.last] += edges[1]
+        return out
+
+    def sums(self, residuals: np.ndarray) -> np.ndarray:
+        """Residuals of the lines times their features: one number a feature."""
+        before, after = residuals.copy(), residuals.copy()
+        before[self.first], after[self.last] = 0, 0
+        # the line before gives its features to this one's residual, so this one's residual goes to the line before
+        out, at = [np.zeros(self.width) for _ in range(3)], 0
+        ways = [residuals, 0.5 * np.roll(before, -1), 0.5 * np.roll(after, 1)]
+        for a, b in self.blocks:
+            for total, r in zip(out, ways):
+                some = r[at : at + len(a)]
+                total += np.concatenate((np.einsum("ij,i->j", a, some), np.einsum("ij,i->j", b, some)))
+            at += len(a)
+        return np.concatenate([[residuals.sum()], *out, [residuals[self.first].sum(), residuals[self.last].sum()]])
 
 
 @dataclass
@@ -87,8 +151,12 @@ class Field:
 
     def marginals(self, x: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
         """Probability that each line is good, expected counts of label pairs, and the sum of the log partition functions."""
-        score = np.zeros((len(x), 2))
-        score[:, 1] = np.einsum("ij,j->i", x, self.weights)  # not BLAS: its threads would fight the other tasks'
+        return self.chains(np.einsum("ij,j->i", x, self.weights), counts)  # not BLAS: its threads would fight the other tasks'
+
+    def chains(self, of_good: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+        """``marginals`` from the score that each line gives to label good."""
+        score = np.zeros((len(of_good), 2))
+        score[:, 1] = of_good
         order = np.argsort(-counts, kind="stable")
         lengths = counts[order]
         first = (np.concatenate(([0], np.cumsum(counts)))[:-1])[order]
@@ -127,26 +195,21 @@ class Field:
 
 def fit(texts: list[bytes], labels: list[int], rounds: int = ROUNDS) -> Field:
     """Maximum likelihood with an L2 penalty, each label with the same total weight of documents, by adaptive gradient steps."""
-    x, counts, _ = line_features(texts or [b""])
-    field = Field(np.zeros(x.shape[1]), np.zeros((2, 2)))
+    field = Field(np.zeros(line_features([b""])[0].shape[1]), np.zeros((2, 2)))
     if len(set(labels)) < 2:
         return field
-    y = np.array(labels, np.float64)
     # a long document must not outweigh the others: documents of one label and weight form a group of the gradient
-    steps = [(np.flatnonzero(y == v), 0.5 / max(1, (y == v).sum())) for v in (0, 1)]
-    starts = np.concatenate(([0], np.cumsum(counts)))
-    parts = []
-    for v, (docs, weight) in enumerate(steps):
-        rows = np.concatenate([np.arange(starts[d], starts[d + 1]) for d in docs])
-        parts.append((x[rows], counts[docs], float(v), weight))
+    groups = [[x for x, y in zip(texts, labels) if y == v] for v in (0, 1)]
+    parts = [(Lines(own), float(v), 0.5 / max(1, len(own))) for v, own in enumerate(groups)]
     m = [np.zeros_like(field.weights), np.zeros((2, 2))]
     s = [np.zeros_like(field.weights), np.zeros((2, 2))]
     for i in range(1, rounds + 1):
         g, h = L2 * field.weights, L2 * field.pairs
-        for px, pc, v, weight in parts:
-            good, expected, _ = field.marginals(px, pc)
+        for lines, v, weight in parts:
+            pc = lines.counts
+            good, expected, _ = field.chains(lines.scores(field.weights), pc)
             per_line = weight / np.repeat(pc, pc)
-            g = g - np.einsum("ij,i->j", px, (v - good) * per_line)
+            g = g - lines.sums((v - good) * per_line)
             seen = np.zeros((2, 2))
             seen[int(v), int(v)] = (pc - 1).sum()
             h = h - (seen - expected) * weight / max(1.0, pc.mean())
@@ -172,8 +235,8 @@ def fit_from(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT, max_byt
     # ids may repeat: the window is over no more rows than ids were picked
     rows = reduce(DataFrame.unionByName, (rows.where(F.col("quality") == v).orderBy(*order).limit(max_fit) for v in (0, 1)))
     size = F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 8).over(Window.partitionBy("quality").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))
-    rows = rows.withColumn("size", size).where(F.col("size") <= max_bytes).orderBy("doc_id", "quality", "text").collect()
-    return fit([(r["text"] or "").encode() for r in rows], [r["quality"] for r in rows])
+    rows = rows.withColumn("size", size).where(F.col("size") <= max_bytes).orderBy("doc_id", "quality", "text").select("quality", utf8("text").alias("text")).collect()
+    return fit([bytes(r["text"]) for r in rows], [r["quality"] for r in rows])
 
 
 def _scorer(field: Field):
@@ -186,7 +249,7 @@ def _scorer(field: Field):
             for x in texts.to_pylist():
                 held.append((x or "").encode())
                 size += len(held[-1])
-                if size > 1 << 20:  # bounds what the feature table takes
+                if size > BLOCK:  # bounds what the feature table takes
                     scores.append(field.scores(held))
                     held, size = [], 0
             scores.append(field.scores(held))

@@ -226,3 +226,21 @@ def test_pipeline_of_an_empty_table(spark, odd):
     for name, stage in corpus_pipeline.STAGES[1:4]:
         docs = materialize(stage(spark, docs, sf), name)
         assert docs.columns == odd.columns and docs.count() == 0
+
+
+def test_fit_keeps_lines_compactly():
+    import tracemalloc
+
+    rng = np.random.default_rng(5)
+    words = [b"alpha", b"Beta", b"9", b"||", b"the", b"a,", b"\xc3\xa9t\xc3\xa9"]
+    texts = [b"\n".join(b" ".join(words[i] for i in rng.integers(0, 7, 12)) for _ in range(n)) for n in rng.integers(1, 400, 200)]
+    labels = [int(i) % 2 for i in range(200)]
+    tracemalloc.start()
+    quality.fit(texts, labels, 2)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 60e6  # for 2 MB of text; all features at once took 196e6
+    lines = quality.Lines(texts[:60])
+    x, counts, _ = quality.line_features(texts[:60])
+    w, r = rng.normal(size=x.shape[1]), rng.normal(size=len(x))
+    assert np.allclose(lines.scores(w), x @ w) and np.allclose(lines.sums(r), r @ x) and (lines.counts == counts).all()

@@ -77,6 +77,20 @@ def test_components_of_a_path(spark):
     assert components(edges.limit(0)).count() == 0
 
 
+def test_few_edges_are_contracted_by_one_task(spark):
+    rows = [(i, i + 1) for i in range(40)] + [(101, 100), (102, 100), (100, 101), (7, 7)]
+    edges = spark.createDataFrame(rows, "a long, b long")
+    want = {(i, 0) for i in range(41)} | {(100, 100), (101, 100), (102, 100)}
+    for few in (0, len(rows)):  # 0: by rounds
+        got = [(r.node, r.component) for r in components(edges, few=few).collect()]
+        assert len(got) == len(want) and set(got) == want
+    context = spark.sparkContext
+    context.setJobGroup("few-edges", "")
+    components(edges).collect()
+    context.setJobGroup("other", "")
+    assert len(context.statusTracker().getJobIdsForGroup("few-edges")) < 8  # each round alone is several jobs
+
+
 def test_bounds_and_signatures():
     bounds = least_matches()
     assert len(bounds) == HASHES // 16 and bounds == sorted(bounds) and bounds[-1] < 96
