@@ -261,3 +261,13 @@ def test_tasks_hold_a_bounded_number_of_nodes():
     batch = pa.RecordBatch.from_arrays([pa.array(range(6)), pa.array([["a"] * 3, [], None, ["a"] * 9, ["a"] * 2, ["a"] * 2])], names=["k", "labels"])
     parts = [b.column(0).to_pylist() for b in evaluate.sliced(iter([batch]), 1, 4)]
     assert parts == [[0, 1, 2], [3], [4, 5]]
+
+
+def test_all_kinds_of_sharing_are_measured_in_one_pass(spark):
+    units = spark.createDataFrame([(1, ["a", "b", "c", "b", "c"], [0, 1, 2, 1, 2], 0, 0), (2, ["b", "c"], [0, 1], 0, 1), (3, [], [], 0, 2)], "unit long, labels array<string>, depths array<int>, top int, before long")
+    for some in (units, units.where("unit = 3")):
+        forest = Forest([(0, None, "t")], some)
+        got = compress.ratios(forest)
+        assert got._jdf.queryExecution().optimizedPlan().toString().count("MapInArrow") == 1
+        want = {(k, *compress.sharing(forest, k).select("tree_edges", "shared_edges").first()) for k in compress.KINDS}
+        assert {(r.kind, r.tree_edges, r.shared_edges) for r in got.collect()} == want
