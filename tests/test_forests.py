@@ -2,6 +2,8 @@
 
 import random
 
+import pyarrow as pa
+import pyarrow.compute as pc
 import pytest
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
@@ -9,7 +11,7 @@ from pyspark.sql import functions as F
 from sharetree.functions import grammar as G
 from sharetree.operators import baseline, compress, evaluate, programs, segments
 from sharetree.plans.query import QueryError, constants, depth_mod
-from sharetree.sources import stored
+from sharetree.sources import forests, stored
 from sharetree.sources.forests import FORESTS, Forest, _under_root, binary, edges, html_tree, html_units, nodes, unranked
 from sharetree.streaming import streams
 from tests.test_grammar import brute, tree
@@ -271,3 +273,46 @@ def test_all_kinds_of_sharing_are_measured_in_one_pass(spark):
         assert got._jdf.queryExecution().optimizedPlan().toString().count("MapInArrow") == 1
         want = {(k, *compress.sharing(forest, k).select("tree_edges", "shared_edges").first()) for k in compress.KINDS}
         assert {(r.kind, r.tree_edges, r.shared_edges) for r in got.collect()} == want
+
+
+def test_names_over_arrays_tell_the_same_nodes_apart_as_digests(spark, monkeypatch):
+    rng = random.Random(7)
+    trees: list[tuple[list, list]] = [([], []), (["a"], [0]), (["a", "é", "é", "", "a"], [0, 0, 1, 1, 0]), (["a"] * 50, list(range(50))), (["a", "b"] * 20, [0, *([1] * 39)]), (["a", "b", "c"], [0, 2, 2])]
+    for _ in range(150):
+        depths = [0]
+        for _ in range(rng.randrange(40)):
+            depths.append(rng.randrange(rng.random() < 0.1, depths[-1] + 2))
+        trees.append(([rng.choice("ab") for _ in depths], depths))
+    want = {kind: {} for kind in compress.KINDS}
+    for kind, own in want.items():
+        for tree in trees:
+            own |= compress.unit_pieces(*tree, kind)
+    units = spark.createDataFrame([(i, *t, 0, i) for i, t in enumerate(trees)], "unit long, labels array<string>, depths array<int>, top int, before long")
+    for most in (1, 500, 1_000_000):  # slices of one unit, of some, of all
+        monkeypatch.setattr(compress, "NODES", most)
+        batch = pa.RecordBatch.from_arrays([pa.array([t[0] for t in trees]), pa.array([t[1] for t in trees], pa.list_(pa.int32()))], names=["labels", "depths"])
+        packed = pa.Table.from_batches(compress._all_pieces(iter([batch])))
+        sums = {kind: 0 for kind in want}
+        for bucket in packed["bucket"].unique().to_pylist():
+            for kind, n in compress._edges(packed.filter(pc.equal(packed["bucket"], bucket))).to_pylist()[0].items():
+                if kind in sums:
+                    sums[kind] += n or 0
+        assert sums == {kind: sum(own.values()) for kind, own in want.items()}
+    got = {r.kind: (r.tree_edges, r.shared_edges) for r in compress.ratios(Forest([(0, None, "t")], units)).collect()}
+    assert got == {kind: (sum(max(len(t[0]) - 1, 0) for t in trees), sum(own.values())) for kind, own in want.items()}
+    nulls = spark.createDataFrame([([None, "a"], [0, 1]), (["", "a"], [0, 1]), (None, None), ([None, "a"], [0, 1])], "labels array<string>, depths array<int>")
+    assert [(r.tree_edges, r.shared_edges) for r in compress.ratios(Forest([(0, None, "t")], nulls)).where("kind = 'unranked'").collect()] == [(3, 2)]
+
+
+def test_what_needs_no_places_leaves_units_unplaced(spark, tmp_path):
+    texts = [(1, None), (2, ""), (None, "x"), (4, " a  b \n\n c\r\n"), (5, "doc line\tq"), (6, "x")]
+    spark.createDataFrame(texts, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    forest = forests.prose(spark, str(tmp_path))
+    shared = {r.kind: r.shared_edges for r in compress.ratios(forest).collect()}
+    assert not forest.has_units
+    assert {(r.unit, r.before): (r.labels, r.depths) for r in forest.units.collect()} == {
+        (None, 0): (["doc", "line", "x"], [0, 1, 2]), (1, 1): (["doc", "line"], [0, 1]), (2, 2): (["doc", "line"], [0, 1]),
+        (4, 3): (["doc", "line", "a", "b", "line", "line", "c\r", "line"], [0, 1, 2, 2, 1, 1, 2, 1]),
+        (5, 4): (["doc", "line", "doc", "line\tq"], [0, 1, 2, 2]), (6, 5): (["doc", "line", "x"], [0, 1, 2]),
+    }
+    assert forest.has_units and shared == {r.kind: r.shared_edges for r in compress.ratios(forest).collect()}
